@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from .exact_dedup import OP10_SQL, op10_exact_dedup
+from .line_dedup import OP9_SQL, op9_line_dedup
 from .mixing import OP8_SQL, op8_mixing
 from .quality import op6_quality
 from .url_filter import OP4_SQL, op4_url_filter
@@ -11,11 +12,13 @@ QUERIES = {
     "op4_url_filter": op4_url_filter,
     "op6_quality": op6_quality,
     "op8_mixing": op8_mixing,
+    "op9_line_dedup": op9_line_dedup,
     "op10_exact_dedup": op10_exact_dedup,
 }
 
 ORACLE_SQL = {
     "op4_url_filter": OP4_SQL,
     "op8_mixing": OP8_SQL,
+    "op9_line_dedup": OP9_SQL,
     "op10_exact_dedup": OP10_SQL,
 }
