@@ -5,11 +5,13 @@ from __future__ import annotations
 from .exact_dedup import OP10_SQL, op10_exact_dedup
 from .line_dedup import OP9_SQL, op9_line_dedup
 from .mixing import OP8_SQL, op8_mixing
+from .packing import op2_packing
 from .pii import op3_pii
 from .quality import op6_quality
 from .url_filter import OP4_SQL, op4_url_filter
 
 QUERIES = {
+    "op2_packing": op2_packing,
     "op3_pii": op3_pii,
     "op4_url_filter": op4_url_filter,
     "op6_quality": op6_quality,
