@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from .exact_dedup import OP10_SQL, op10_exact_dedup
 from .line_dedup import OP9_SQL, op9_line_dedup
+from .media import op5_media
 from .mixing import OP8_SQL, op8_mixing
 from .packing import op2_packing
 from .pii import op3_pii
@@ -14,6 +15,7 @@ QUERIES = {
     "op2_packing": op2_packing,
     "op3_pii": op3_pii,
     "op4_url_filter": op4_url_filter,
+    "op5_media": op5_media,
     "op6_quality": op6_quality,
     "op8_mixing": op8_mixing,
     "op9_line_dedup": op9_line_dedup,
