@@ -10,9 +10,11 @@ from .ngram_join import op7_ngram_join
 from .packing import op2_packing
 from .pii import op3_pii
 from .quality import op6_quality
+from .substring_dedup import op1_suffix_dedup
 from .url_filter import OP4_SQL, op4_url_filter
 
 QUERIES = {
+    "op1_suffix_dedup": op1_suffix_dedup,
     "op2_packing": op2_packing,
     "op3_pii": op3_pii,
     "op4_url_filter": op4_url_filter,
