@@ -155,8 +155,11 @@ def quality_scores(docs: DataFrame, labels: DataFrame) -> DataFrame:
 
 
 def keep_quality(docs: DataFrame, labels: DataFrame, least: float = 0.5) -> DataFrame:
-    """The rows of docs that score `least` or more, columns as they were."""
-    learn = add_statistics(docs.select("doc_id", "text").join(labels.where(~held_out()).select("doc_id").distinct(), "doc_id"))
+    """The rows of docs that score `least` or more, columns as they were.
+
+    The statistics are taken twice, once to learn and once to score, so that no text is shuffled or stored.
+    """
+    learn = staged(add_statistics(docs.select("doc_id", "text")).select("doc_id", "stats"), "statistics")
     model = fit_discriminant(training_rows(learn, labels))
     stats, score = fresh("stats", docs.columns), fresh("score", docs.columns)
     scored = add_score(add_statistics(docs, "text", stats), model, stats, score)
