@@ -1,3 +1,57 @@
-"""Placeholder until the stages exist."""
+"""The corpus pipeline: five stages, each one of the training-data operators.
 
-STAGES: list = []
+Every stage takes (spark, docs, sf_dir) and works on all that the one before kept; all but the last return the
+columns of documents. Between stages the rows are written as Parquet in the shared folder and read
+again, so a lost executor never costs an earlier stage.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+
+from linefault.llm.common import staged, table
+from linefault.llm.exact_dedup import exact_dedup
+from linefault.llm.mixing import mix_sources
+from linefault.llm.ngram_join import drop_near_duplicates
+from linefault.llm.packing import pack
+from linefault.llm.quality import keep_quality
+
+
+def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the classifier accepts; it learns from the labels of this table's documents."""
+    return keep_quality(docs, table(spark, sf_dir, "labels"))
+
+
+def exact_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of equal texts the largest doc_id."""
+    return exact_dedup(docs)
+
+
+def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each class of near duplicates."""
+    return drop_near_duplicates(docs)
+
+
+def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Each document as often as its source's target weight takes it."""
+    return mix_sources(docs)
+
+
+def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Pieces with their place in fixed windows."""
+    return pack(docs)
+
+
+STAGES = [("quality", quality_stage), ("exact_dedup", exact_stage), ("near_dedup", near_stage), ("mixing", mixing_stage), ("packing", packing_stage)]
+
+#: The discriminant, the banding and the packing plan have no SQL; tests/llm holds the brute-force versions.
+ORACLE_SQL = None
+
+
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    for i, (name, stage) in enumerate(STAGES):
+        docs = stage(spark, docs, sf_dir)
+        if i < len(STAGES) - 1:
+            docs = staged(docs, name)
+    return docs
