@@ -2,11 +2,12 @@
 
 Equal texts are one node. Every node's word n-grams give a MinHash signature, cut into bands whose
 number and width follow from the similarity and the target recall. Nodes meet by band hash. Inside a bucket
-each node is compared with the bucket's least node, not with all; the verified links give components. Where a bucket
-then still holds nodes of different components, its pairs across components are compared as well, so
-no link between classes that the bands offer is lost, and a bucket whose nodes are one class costs one
-comparison a node. Pairs whose n-gram counts differ by more than the similarity allows are left out,
-which is exact.
+each node is compared with the bucket's hub (the node that meets most others), not with all; the verified
+links give components. Where a bucket then still holds nodes of different components, its pairs across components
+are looked at as well, so a bucket whose nodes are one class costs one comparison a node. These pairs first meet in
+blocks, on sketches of the signature: a pair goes on to its full sets unless its sketch lies more than MARGIN standard
+deviations below the similarity, and only in the first band it shares. Pairs whose n-gram counts differ by more than the
+similarity allows are left out, which is exact.
 
 Words are runs of non-blank bytes ([^\\x20\\x09-\\x0D]+), as they are. A text of fewer than n words has its whole
 word sequence as its only n-gram; a text without words has none and is linked to equal texts only.
@@ -30,6 +31,12 @@ from .graph import connected_components
 
 N, SIMILARITY, RECALL, MOST_HASHES = 5, 0.8, 0.9999, 128
 SEED = 7
+#: MinHash values of the sketch, and how many standard deviations below the similarity it may lie.
+SKETCH, MARGIN = 160, 3.5
+#: Nodes of a bucket that meet in one block; larger buckets are cut into tiles that meet in pairs.
+TILE = 4096
+#: Bucket rows that one group of blocks holds on average.
+GROUP_ROWS = 2000
 #: n-grams hashed at once, so that very long texts need bounded memory.
 CHUNK = 4096
 #: Bits of the filter that spares texts of no pair the shuffle; fixed, so the broadcast is bounded.
@@ -60,8 +67,9 @@ class Hasher:
         self.letters = rng.integers(0, 2**64, 256, dtype=np.uint64)
         self.base, self.step, self.mix = rng.integers(0, 2**63, 3, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
         self.powers = np.ones(64, np.uint64)
-        self.mult = rng.integers(0, 2**63, bands * rows, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
-        self.add = rng.integers(0, 2**64, bands * rows, dtype=np.uint64)
+        hashes = max(bands * rows, SKETCH)
+        self.mult = rng.integers(0, 2**63, hashes, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+        self.add = rng.integers(0, 2**64, hashes, dtype=np.uint64)
         self.join = rng.integers(0, 2**63, rows, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
     def ngrams(self, text: bytes) -> np.ndarray:
@@ -90,12 +98,15 @@ class Hasher:
         x = (x ^ (x >> np.uint64(31))) * self.mix
         return x ^ (x >> np.uint64(29))
 
-    def band_hashes(self, grams: np.ndarray) -> np.ndarray:
+    def band_hashes(self, grams: np.ndarray) -> tuple[np.ndarray, bytes]:
+        """The hash of each band, and the sketch: 16 bits of each of the first SKETCH minima."""
         least = np.full(len(self.mult), np.iinfo(np.uint64).max, np.uint64)
         for i in range(0, len(grams), CHUNK):
             part = grams[i : i + CHUNK, None] * self.mult[None, :] + self.add[None, :]
             least = np.minimum(least, part.min(axis=0))
-        return self._mixed((self._mixed(least).reshape(self.bands, self.rows) * self.join[None, :]).sum(axis=1, dtype=np.uint64)).astype(np.int64)
+        least = self._mixed(least)
+        bands = least[: self.bands * self.rows].reshape(self.bands, self.rows)
+        return self._mixed((bands * self.join[None, :]).sum(axis=1, dtype=np.uint64)).astype(np.int64), least[:SKETCH].astype("<u2").tobytes()
 
 
 def ngram_set(text: bytes, n: int = N) -> set:
@@ -116,23 +127,25 @@ def _texts(docs: DataFrame, text_col: str) -> DataFrame:
 
 
 def signatures(docs: DataFrame, n: int, bands: int, rows: int, text_col: str = "text", id_col: str = "doc_id") -> DataFrame:
-    """(doc_id, node, grams, hashes) of every document."""
+    """(doc_id, node, grams, hashes, sketch) of every document."""
 
     def run(batches):
         hasher = Hasher(n, bands, rows)
         for batch in batches:
-            counts, hashes = [], []
+            counts, hashes, sketches = [], [], []
             for text in batch["text"]:
                 grams = hasher.ngrams(text.as_py())
                 counts.append(len(grams))
-                hashes.append(hasher.band_hashes(grams) if len(grams) else np.zeros(0, np.int64))
+                band, sketch = hasher.band_hashes(grams) if len(grams) else (np.zeros(0, np.int64), b"")
+                hashes.append(band)
+                sketches.append(sketch)
             ends = np.concatenate([[0], np.cumsum([len(h) for h in hashes])]).astype(np.int32)
             flat = np.concatenate(hashes) if hashes else np.zeros(0, np.int64)
-            yield pa.RecordBatch.from_arrays([batch["doc_id"], batch["node"], pa.array(counts, pa.int64()), pa.ListArray.from_arrays(pa.array(ends), pa.array(flat, pa.int64()))], ["doc_id", "node", "grams", "hashes"])
+            yield pa.RecordBatch.from_arrays([batch["doc_id"], batch["node"], pa.array(counts, pa.int64()), pa.ListArray.from_arrays(pa.array(ends), pa.array(flat, pa.int64())), pa.array(sketches, pa.binary())], ["doc_id", "node", "grams", "hashes", "sketch"])
 
     text = F.coalesce(F.col(text_col).cast("binary"), F.lit(b""))
     rows_ = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.unhex(F.md5(text)).alias("node"), text.alias("text"))
-    return rows_.mapInArrow(run, "doc_id long, node binary, grams long, hashes array<long>")
+    return rows_.mapInArrow(run, "doc_id long, node binary, grams long, hashes array<long>, sketch binary")
 
 
 def _near(pairs: DataFrame, texts: DataFrame, n: int, similarity: float) -> DataFrame:
@@ -162,23 +175,60 @@ def _near(pairs: DataFrame, texts: DataFrame, n: int, similarity: float) -> Data
     return pairs.join(one, "a").join(two, "b").select("a", "b", "text_a", "text_b").mapInArrow(run, "a binary, b binary")
 
 
+def _across(part: pd.DataFrame, similarity: float) -> pd.DataFrame:
+    """Pairs of different components in the buckets of one group that their sketches don't rule out."""
+    floor = similarity - MARGIN * math.sqrt(similarity * (1 - similarity) / SKETCH)
+    out: list[tuple] = []
+    for (band, _, low, high), rows in part.groupby(["band", "hash", "low", "high"], sort=False):
+        if rows["root"].nunique() < 2:
+            continue
+        node, grams = rows["node"].to_numpy(), rows["grams"].to_numpy()
+        root = pd.factorize(rows["root"])[0]
+        sketch = np.frombuffer(b"".join(rows["sketch"]), "<u2").reshape(len(rows), SKETCH)
+        earlier = np.stack(rows["hashes"].to_list())[:, :band]
+        tile = rows["tile"].to_numpy()
+        one, two = np.flatnonzero(tile == low), np.flatnonzero(tile == high)
+        step = max(1, 2**23 // (SKETCH * max(1, len(two))))
+        for at in range(0, len(one), step):
+            i = one[at : at + step]
+            a, b = grams[i][:, None], grams[two][None, :]
+            may = (root[i][:, None] != root[two][None, :]) & (np.minimum(a, b) >= similarity * np.maximum(a, b))
+            if low == high:
+                may &= i[:, None] < two[None, :]
+            x, y = np.nonzero(may)
+            x, y = i[x], two[y]
+            for cut in range(0, len(x), 2**16):  # sketches and earlier bands of what is left, in pieces
+                p, q = x[cut : cut + 2**16], y[cut : cut + 2**16]
+                like = (sketch[p] == sketch[q]).mean(axis=1) >= floor
+                p, q = p[like], q[like]
+                new = ~(earlier[p] == earlier[q]).any(axis=1)
+                out += zip(node[p[new]], node[q[new]], strict=True)
+    pairs = [(max(a, b), min(a, b)) for a, b in out]
+    return pd.DataFrame(pairs, columns=["a", "b"])
+
+
 def similar_links(signed: DataFrame, texts: DataFrame, n: int = N, similarity: float = SIMILARITY) -> tuple[DataFrame, DataFrame]:
-    """Verified links (a, b) and components (node, root) of the nodes of `signed` (node, grams, hashes)."""
-    nodes = signed.groupBy("node").agg(F.first("grams").alias("grams"), F.first("hashes").alias("hashes"))
+    """Verified links (a, b) and components (node, root) of the nodes of `signed` (node, grams, hashes, sketch)."""
+    nodes = signed.groupBy("node").agg(F.first("grams").alias("grams"), F.first("hashes").alias("hashes"), F.first("sketch").alias("sketch"))
     met = nodes.select("node", "grams", F.posexplode("hashes").alias("band", "hash"))
-    least = met.groupBy("band", "hash").agg(F.min(F.struct("node", "grams")).alias("pivot"), F.count(F.lit(1)).alias("n")).where("n > 1").select("band", "hash", F.col("pivot.node").alias("pivot"), F.col("pivot.grams").alias("pivot_grams"))
-    buckets = staged(met.join(least, ["band", "hash"]), "buckets")
-    fits = lambda x, y: (F.least(x, y) >= F.lit(similarity) * F.greatest(x, y))
-    stars = staged(buckets.where((F.col("node") != F.col("pivot")) & fits(F.col("grams"), F.col("pivot_grams"))).select(F.col("node").alias("a"), F.col("pivot").alias("b")).distinct(), "stars")
+    shared = met.groupBy("band", "hash").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    buckets = staged(met.join(shared, ["band", "hash"]), "buckets")
+    meets = buckets.groupBy("node").agg(F.sum("n").alias("meets"))
+    rated = buckets.join(meets, "node")
+    hubs = rated.groupBy("band", "hash").agg(F.max(F.struct("meets", "node", "grams")).alias("hub")).select("band", "hash", F.col("hub.node").alias("hub"), F.col("hub.grams").alias("hub_grams"))
+    fits = F.least("grams", "hub_grams") >= F.lit(similarity) * F.greatest("grams", "hub_grams")
+    stars = staged(buckets.join(hubs, ["band", "hash"]).where((F.col("node") != F.col("hub")) & fits).select(F.greatest("node", "hub").alias("a"), F.least("node", "hub").alias("b")).distinct(), "stars")
     links = staged(_near(stars, texts, n, similarity), "links")
     roots = staged(connected_components(links), "roots")
-    # Buckets whose nodes fell into several components: compare across components.
-    placed = buckets.select("band", "hash", "node", "grams").join(roots, "node", "left").select("band", "hash", "node", "grams", F.coalesce("root", "node").alias("root"))
-    split = placed.groupBy("band", "hash").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high").select("band", "hash")
-    mixed = staged(placed.join(split, ["band", "hash"]), "mixed")
-    left = mixed.select("band", "hash", F.col("node").alias("a"), F.col("grams").alias("grams_a"), F.col("root").alias("root_a"))
-    right = mixed.select("band", "hash", F.col("node").alias("b"), F.col("grams").alias("grams_b"), F.col("root").alias("root_b"))
-    more = left.join(right, ["band", "hash"]).where((F.col("a") > F.col("b")) & (F.col("root_a") != F.col("root_b")) & fits(F.col("grams_a"), F.col("grams_b"))).select("a", "b").distinct()
+    # Buckets whose nodes fell into several components: look across components.
+    placed = buckets.join(roots, "node", "left").select("band", "hash", "n", "node", F.coalesce("root", "node").alias("root"))
+    split = placed.groupBy("band", "hash").agg(F.min("root").alias("r"), F.max("root").alias("s")).where("r <> s").select("band", "hash")
+    tiles = F.ceil(F.col("n") / TILE).cast("int")
+    mixed = staged(placed.join(split, ["band", "hash"]).withColumn("tile", F.pmod(F.xxhash64("node"), tiles).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), tiles - 1))), "mixed")
+    groups = max(16, mixed.count() // GROUP_ROWS)
+    tiled = mixed.withColumn("low", F.least("tile", "other")).withColumn("high", F.greatest("tile", "other")).withColumn("group", F.pmod(F.xxhash64("band", "hash", "low", "high"), F.lit(groups)))
+    seen = tiled.join(nodes, "node").select("group", "band", "hash", "low", "high", "tile", "node", "root", "grams", "sketch", "hashes")
+    more = seen.groupBy("group").applyInPandas(lambda part: _across(part, similarity), "a binary, b binary")
     more = staged(more.join(stars, ["a", "b"], "left_anti"), "more")
     added = staged(_near(more, texts, n, similarity), "links")
     if added.isEmpty():
