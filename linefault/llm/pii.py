@@ -127,13 +127,9 @@ def disclosing_terms(docs: DataFrame, text_col: str = "text", support: int = SUP
     n_terms = joint.select("term").distinct().count()
     if not n_terms:
         return joint.select("term", "entity", "n_joint", F.lit(0).cast("long").alias("n_term"), "n_entity", F.lit(0.0).alias("pmi"), F.lit(0.0).alias("ic"))
-    words = power_of_two(n_terms * 16, 2**12, TERM_FILTER_BITS) // 64
-    place = lambda h: (F.pmod(h, F.lit(words)), F.call_function("shiftleft", F.lit(1).cast("long"), F.shiftrightunsigned(h, 58).cast("int")))
-    word, bit = place(F.xxhash64("term"))
-    bloom = joint.select(word.alias("word"), bit.alias("bit")).groupBy("word").agg(F.bit_or("bit").alias("bits"))
+    bloom, words = _term_filter(joint.select("term"), n_terms)
     spoken = lines.select(F.xxhash64("text").alias("line"), F.explode(terms).alias("term"))
-    word, bit = place(F.xxhash64("term"))
-    possible = spoken.join(F.broadcast(bloom), word == F.col("word")).where(F.col("bits").bitwiseAND(bit) != 0).select("term", "line")
+    possible = _possible_terms(spoken, bloom, words)
     heard = possible.distinct().groupBy("term").agg(F.count(F.lit(1)).alias("n_term"))
     total = lines.select(F.xxhash64("text").alias("line")).distinct().count()
     scored = joint.join(heard, "term").withColumn("pmi", F.log2(F.lit(float(total)) * F.col("n_joint") / (F.col("n_term") * F.col("n_entity")))).withColumn("ic", F.log2(F.lit(float(total)) / F.col("n_entity")))
@@ -147,16 +143,37 @@ def find_personal_data(docs: DataFrame, support: int = SUPPORT, disclosure: floa
     found = named.select("doc_id", _text_key(F.col("text")).alias("key"), *[base_spans(F.col("text"), k).alias(k) for k in KINDS])
     base = F.concat(*[_as_spans(F.col(k), k, i) for i, k in enumerate(KINDS)])
     counted = staged(found.select("doc_id", "key", *[F.size(k).cast("long").alias(f"n_{k}") for k in KINDS], base.alias("base")), "base")
-    terms = disclosing_terms(docs, "text", support, disclosure).select("term").distinct()
+    terms = staged(disclosing_terms(docs, "text", support, disclosure).select("term").distinct(), "terms")
     extra = term_spans(named.select(_text_key(F.col("text")).alias("key"), "text"), terms)
     joined = counted.join(extra, "key", "left").withColumn("all_spans", F.concat("base", F.coalesce("extra", F.array().cast("array<struct<start:int,rank:int,end:int,kind:string>>"))))
     return joined.select("doc_id", *[f"n_{k}" for k in KINDS], F.sha2(_listed(F.col("base")), 256).alias("base_sha256"), _listed(F.col("all_spans")).alias("spans"), "all_spans")
 
 
+def _term_filter(terms: DataFrame, n_terms: int) -> tuple[DataFrame, int]:
+    """(word, bits) of a filter of bounded size over column term, and its number of words."""
+    words = power_of_two(n_terms * 16, 2**12, TERM_FILTER_BITS) // 64
+    word, bit = _term_place(words)
+    return terms.select(word.alias("word"), bit.alias("bit")).groupBy("word").agg(F.bit_or("bit").alias("bits")), words
+
+
+def _term_place(words: int) -> tuple[Column, Column]:
+    h = F.xxhash64("term")
+    return F.pmod(h, F.lit(words)), F.call_function("shiftleft", F.lit(1).cast("long"), F.shiftrightunsigned(h, 58).cast("int"))
+
+
+def _possible_terms(spoken: DataFrame, bloom: DataFrame, words: int) -> DataFrame:
+    """Rows whose term the filter may hold; decided where the rows are, before any shuffle."""
+    word, bit = _term_place(words)
+    return spoken.join(F.broadcast(bloom), word == F.col("word")).where(F.col("bits").bitwiseAND(bit) != 0).drop("word", "bits")
+
+
 def term_spans(texts: DataFrame, terms: DataFrame) -> DataFrame:
     """(key, extra): where the disclosing terms stand, once per distinct text that holds any."""
     spoken = texts.select("key", F.explode(F.array_distinct(F.transform(F.regexp_extract_all("text", F.lit(TERM), F.lit(0)), F.lower))).alias("term"))
-    held = spoken.join(terms, "term", "left_semi").groupBy("key").agg(F.collect_set("term").alias("terms"))
+    bloom, words = _term_filter(terms, terms.count())
+    held = staged(_possible_terms(spoken, bloom, words).join(terms, "term", "left_semi").groupBy("key").agg(F.collect_set("term").alias("terms")), "held")
+    if held.isEmpty():
+        return held.select("key", F.array().cast("array<struct<start:int,rank:int,end:int,kind:string>>").alias("extra"))
     placed = texts.join(held, "key").groupBy("key").agg(F.first("text").alias("text"), F.first("terms").alias("terms"))
     own = F.filter(_located(F.col("text"), TERM), lambda x: F.array_contains("terms", F.lower(x["value"])))
     return placed.select("key", _as_spans(own, TERM_KIND, len(KINDS)).alias("extra"))
