@@ -123,7 +123,13 @@ def disclosing_terms(docs: DataFrame, text_col: str = "text", support: int = SUP
     entity_lines = context.select("line", "terms", F.explode("entities").alias("entity"))
     entities = entity_lines.groupBy("entity").agg(F.count(F.lit(1)).alias("n_entity")).where(F.col("n_entity") >= support)
     joint = entity_lines.join(entities, "entity").select("entity", "n_entity", F.explode("terms").alias("term")).groupBy("entity", "term").agg(F.count(F.lit(1)).alias("n_joint"), F.max("n_entity").alias("n_entity")).where(F.col("n_joint") >= support)
-    joint = staged(joint, "joint")
+    total = lines.select(F.xxhash64("text").alias("line")).distinct().count()
+    bits = lambda n_term: F.log2(F.lit(float(max(total, 1))) * F.col("n_joint") / (F.col(n_term) * F.col("n_entity")))
+    own = F.log2(F.lit(float(max(total, 1))) / F.col("n_entity"))
+    # A term stands in at least as many lines as in lines with entities, so most terms are ruled out, exactly,
+    # before the corpus is counted.
+    least = context.select("line", F.explode("terms").alias("term")).groupBy("term").agg(F.count(F.lit(1)).alias("n_least"))
+    joint = staged(joint.join(least, "term").where((own > 0) & (bits("n_least") >= disclosure * own)).drop("n_least"), "joint")
     n_terms = joint.select("term").distinct().count()
     if not n_terms:
         return joint.select("term", "entity", "n_joint", F.lit(0).cast("long").alias("n_term"), "n_entity", F.lit(0.0).alias("pmi"), F.lit(0.0).alias("ic"))
@@ -131,9 +137,8 @@ def disclosing_terms(docs: DataFrame, text_col: str = "text", support: int = SUP
     spoken = lines.select(F.xxhash64("text").alias("line"), F.explode(terms).alias("term"))
     possible = _possible_terms(spoken, bloom, words)
     heard = possible.distinct().groupBy("term").agg(F.count(F.lit(1)).alias("n_term"))
-    total = lines.select(F.xxhash64("text").alias("line")).distinct().count()
-    scored = joint.join(heard, "term").withColumn("pmi", F.log2(F.lit(float(total)) * F.col("n_joint") / (F.col("n_term") * F.col("n_entity")))).withColumn("ic", F.log2(F.lit(float(total)) / F.col("n_entity")))
-    return scored.where((F.col("ic") > 0) & (F.col("pmi") >= disclosure * F.col("ic")))
+    scored = joint.join(heard, "term").withColumn("pmi", bits("n_term")).withColumn("ic", own)
+    return scored.where(F.col("pmi") >= disclosure * F.col("ic"))
 
 
 def find_personal_data(docs: DataFrame, support: int = SUPPORT, disclosure: float = DISCLOSURE) -> DataFrame:
