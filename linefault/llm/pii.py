@@ -45,6 +45,9 @@ TERM_KIND = "term"
 #: Bits of the filter that keeps the corpus count to possible terms; fixed, so the broadcast is bounded
 #: (2**18 words); more candidate terms only let more words through to the exact join.
 TERM_FILTER_BITS = 2**24
+#: The lines of one in PART hash classes are counted first. What they hold is a lower bound of a term's count and so
+#: rules terms out exactly; only the terms left are counted over all lines.
+PART = 16
 
 
 def _digits(x: Column) -> Column:
@@ -116,9 +119,13 @@ def disclosing_terms(docs: DataFrame, text_col: str = "text", support: int = SUP
     texts = docs.select(_text(docs, text_col).alias("text"))
     any_hint = reduce(lambda a, b: a | b, [F.contains("text", F.lit("@")), *[F.col("text").rlike(HINTS[k]) for k in KINDS[1:]]])
     lines = texts.select(F.explode(F.split("text", "\n")).alias("text")).where(F.col("text") != "")
-    marked = lines.where(any_hint).withColumn("entities", F.array_distinct(F.flatten(F.array(*[F.transform(base_spans(F.col("text"), k), lambda x, k=k: F.concat(F.lit(f"{k}:"), x["value"])) for k in KINDS]))))
-    terms = F.array_distinct(F.transform(F.regexp_extract_all("text", F.lit(TERM), F.lit(0)), F.lower))
-    context = staged(marked.where(F.size("entities") > 0).select(F.xxhash64("text").alias("line"), "entities", terms.alias("terms")), "contexts").dropDuplicates(["line"])
+    named = lambda kind: F.transform(base_spans(F.col("text"), kind), lambda x: F.concat(F.lit(f"{kind}:"), x["value"]))
+    marked = lines.where(any_hint).withColumn("entities", F.array_distinct(F.flatten(F.array(*[named(k) for k in KINDS]))))
+    words = lambda text: F.array_distinct(F.transform(F.regexp_extract_all(text, F.lit(TERM), F.lit(0)), F.lower))
+    terms, bare = words(F.col("text")), F.col("text")
+    for k in KINDS:  # an entity's own letters are no evidence
+        bare = F.regexp_replace(bare, PATTERNS[k], " ")
+    context = staged(marked.where(F.size("entities") > 0).select(F.xxhash64("text").alias("line"), "entities", words(bare).alias("terms")), "contexts").dropDuplicates(["line"])
     # Entities seen in fewer lines than the support can have no supported term.
     entity_lines = context.select("line", "terms", F.explode("entities").alias("entity"))
     entities = entity_lines.groupBy("entity").agg(F.count(F.lit(1)).alias("n_entity")).where(F.col("n_entity") >= support)
@@ -130,13 +137,22 @@ def disclosing_terms(docs: DataFrame, text_col: str = "text", support: int = SUP
     # before the corpus is counted.
     least = context.select("line", F.explode("terms").alias("term")).groupBy("term").agg(F.count(F.lit(1)).alias("n_least"))
     joint = staged(joint.join(least, "term").where((own > 0) & (bits("n_least") >= disclosure * own)).drop("n_least"), "joint")
-    n_terms = joint.select("term").distinct().count()
-    if not n_terms:
-        return joint.select("term", "entity", "n_joint", F.lit(0).cast("long").alias("n_term"), "n_entity", F.lit(0.0).alias("pmi"), F.lit(0.0).alias("ic"))
-    bloom, words = _term_filter(joint.select("term"), n_terms)
     spoken = lines.select(F.xxhash64("text").alias("line"), F.explode(terms).alias("term"))
-    possible = _possible_terms(spoken, bloom, words)
-    heard = possible.distinct().groupBy("term").agg(F.count(F.lit(1)).alias("n_term"))
+
+    def heard_in(rows: DataFrame, wanted: DataFrame, n_terms: int) -> DataFrame:
+        """(term, n_term): in how many distinct lines of `rows` each wanted term stands."""
+        bloom, words = _term_filter(wanted, n_terms)
+        possible = _possible_terms(rows, bloom, words)
+        return possible.distinct().groupBy("term").agg(F.count(F.lit(1)).alias("n_term"))
+
+    for rows in (spoken.where(F.pmod("line", F.lit(PART)) == 0), spoken):
+        wanted = joint.select("term").distinct()
+        n_terms = wanted.count()
+        if not n_terms:
+            return joint.select("term", "entity", "n_joint", F.lit(0).cast("long").alias("n_term"), "n_entity", F.lit(0.0).alias("pmi"), F.lit(0.0).alias("ic"))
+        heard = heard_in(rows, wanted, n_terms)
+        least = joint.join(heard, "term", "left").withColumn("n_term", F.greatest(F.coalesce("n_term", F.lit(0)), "n_joint"))
+        joint = staged(least.where(bits("n_term") >= disclosure * own).select("entity", "term", "n_joint", "n_entity", "n_term"), "joint").drop("n_term") if rows is not spoken else joint
     scored = joint.join(heard, "term").withColumn("pmi", bits("n_term")).withColumn("ic", own)
     return scored.where(F.col("pmi") >= disclosure * F.col("ic"))
 
