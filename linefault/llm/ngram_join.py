@@ -5,7 +5,7 @@ number and width follow from the similarity and the target recall. Nodes meet by
 each node is compared with the bucket's hub (the node that meets most others), not with all; the verified
 links give components. Where a bucket then still holds nodes of different components, its pairs across components
 are looked at as well, so a bucket whose nodes are one class costs one comparison a node. These pairs first meet in
-blocks, on sketches of the signature: a pair goes on to its full sets unless its sketch lies more than MARGIN standard
+blocks, on one-permutation sketches: a pair goes on to its full sets unless its estimate lies more than MARGIN standard
 deviations below the similarity, and only in the first band it shares. Pairs whose n-gram counts differ by more than the
 similarity allows are left out, which is exact.
 
@@ -31,8 +31,10 @@ from .graph import connected_components
 
 N, SIMILARITY, RECALL, MOST_HASHES = 5, 0.8, 0.9999, 128
 SEED = 7
-#: MinHash values of the sketch, and how many standard deviations below the similarity it may lie.
-SKETCH, MARGIN = 160, 3.5
+#: Bins of the sketch (one permutation, the least n-gram hash of each bin, 16 bits of it), and how many standard
+#: deviations below the similarity an estimate may lie.
+SKETCH_BITS, MARGIN = 9, 3.5
+SKETCH = 2**SKETCH_BITS
 #: Nodes of a bucket that meet in one block; larger buckets are cut into tiles that meet in pairs.
 TILE = 4096
 #: Bucket rows that one group of blocks holds on average.
@@ -67,9 +69,8 @@ class Hasher:
         self.letters = rng.integers(0, 2**64, 256, dtype=np.uint64)
         self.base, self.step, self.mix = rng.integers(0, 2**63, 3, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
         self.powers = np.ones(64, np.uint64)
-        hashes = max(bands * rows, SKETCH)
-        self.mult = rng.integers(0, 2**63, hashes, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
-        self.add = rng.integers(0, 2**64, hashes, dtype=np.uint64)
+        self.mult = rng.integers(0, 2**63, bands * rows, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+        self.add = rng.integers(0, 2**64, bands * rows, dtype=np.uint64)
         self.join = rng.integers(0, 2**63, rows, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
     def ngrams(self, text: bytes) -> np.ndarray:
@@ -99,14 +100,18 @@ class Hasher:
         return x ^ (x >> np.uint64(29))
 
     def band_hashes(self, grams: np.ndarray) -> tuple[np.ndarray, bytes]:
-        """The hash of each band, and the sketch: 16 bits of each of the first SKETCH minima."""
+        """The hash of each band, and the sketch: 16 bits of the least hash of each bin, 0 for an empty bin."""
         least = np.full(len(self.mult), np.iinfo(np.uint64).max, np.uint64)
         for i in range(0, len(grams), CHUNK):
             part = grams[i : i + CHUNK, None] * self.mult[None, :] + self.add[None, :]
             least = np.minimum(least, part.min(axis=0))
         least = self._mixed(least)
-        bands = least[: self.bands * self.rows].reshape(self.bands, self.rows)
-        return self._mixed((bands * self.join[None, :]).sum(axis=1, dtype=np.uint64)).astype(np.int64), least[:SKETCH].astype("<u2").tobytes()
+        bands = self._mixed((least.reshape(self.bands, self.rows) * self.join[None, :]).sum(axis=1, dtype=np.uint64))
+        bins = grams >> np.uint64(64 - SKETCH_BITS)
+        first = np.flatnonzero(np.concatenate([[True], bins[1:] != bins[:-1]]))  # grams are sorted
+        sketch = np.zeros(SKETCH, "<u2")
+        sketch[bins[first].astype(np.int64)] = (grams[first] & np.uint64(0xFFFF)) | np.uint64(1)
+        return bands.astype(np.int64), sketch.tobytes()
 
 
 def ngram_set(text: bytes, n: int = N) -> set:
@@ -157,7 +162,8 @@ def _near(pairs: DataFrame, texts: DataFrame, n: int, similarity: float) -> Data
     word, bit = place(F.xxhash64("node"))
     bloom = ends.select(word.alias("word"), bit.alias("bit")).groupBy("word").agg(F.bit_or("bit").alias("bits"))
     some = texts.join(F.broadcast(bloom), word == F.col("word")).where(F.col("bits").bitwiseAND(bit) != 0).select("node", "text")
-    own = some.join(ends, "node", "left_semi").groupBy("node").agg(F.first("text").alias("text"))
+    # ends are distinct; a semi join would be pushed below the filter.
+    own = some.join(ends, "node").groupBy("node").agg(F.first("text").alias("text"))
     one = own.select(F.col("node").alias("a"), F.col("text").alias("text_a"))
     two = own.select(F.col("node").alias("b"), F.col("text").alias("text_b"))
 
@@ -177,8 +183,17 @@ def _near(pairs: DataFrame, texts: DataFrame, n: int, similarity: float) -> Data
 
 def _across(part: pd.DataFrame, similarity: float) -> pd.DataFrame:
     """Pairs of different components in the buckets of one group that their sketches don't rule out."""
-    floor = similarity - MARGIN * math.sqrt(similarity * (1 - similarity) / SKETCH)
     out: list[tuple] = []
+
+    def alike(sketch: np.ndarray, grams: np.ndarray, p: np.ndarray, q: np.ndarray) -> np.ndarray:
+        """Whether the estimate may come from a pair at the similarity: its variance is that of drawing the
+        filled bins without replacement from the union of both sets."""
+        one, two = sketch[p], sketch[q]
+        filled = np.maximum(((one | two) != 0).sum(axis=1), 1)
+        agree = ((one == two) & (one != 0)).sum(axis=1)
+        union = np.maximum((grams[p] + grams[q]) / (1 + similarity), filled + 1.0)
+        spread = np.sqrt(similarity * (1 - similarity) * np.maximum((1 + 1 / (union - 1)) / filled - 1 / (union - 1), 0))
+        return agree >= (similarity - MARGIN * spread - 0.01) * filled
     for (band, _, low, high), rows in part.groupby(["band", "hash", "low", "high"], sort=False):
         if rows["root"].nunique() < 2:
             continue
@@ -188,7 +203,7 @@ def _across(part: pd.DataFrame, similarity: float) -> pd.DataFrame:
         earlier = np.stack(rows["hashes"].to_list())[:, :band]
         tile = rows["tile"].to_numpy()
         one, two = np.flatnonzero(tile == low), np.flatnonzero(tile == high)
-        step = max(1, 2**23 // (SKETCH * max(1, len(two))))
+        step = max(1, 2**21 // max(1, len(two)))
         for at in range(0, len(one), step):
             i = one[at : at + step]
             a, b = grams[i][:, None], grams[two][None, :]
@@ -197,9 +212,9 @@ def _across(part: pd.DataFrame, similarity: float) -> pd.DataFrame:
                 may &= i[:, None] < two[None, :]
             x, y = np.nonzero(may)
             x, y = i[x], two[y]
-            for cut in range(0, len(x), 2**16):  # sketches and earlier bands of what is left, in pieces
-                p, q = x[cut : cut + 2**16], y[cut : cut + 2**16]
-                like = (sketch[p] == sketch[q]).mean(axis=1) >= floor
+            for cut in range(0, len(x), 2**13):  # sketches and earlier bands of what is left, in pieces
+                p, q = x[cut : cut + 2**13], y[cut : cut + 2**13]
+                like = alike(sketch, grams, p, q)
                 p, q = p[like], q[like]
                 new = ~(earlier[p] == earlier[q]).any(axis=1)
                 out += zip(node[p[new]], node[q[new]], strict=True)
