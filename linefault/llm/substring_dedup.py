@@ -3,9 +3,10 @@
 A byte goes if it is covered by a LENGTH-byte string that also starts in a document with a smaller doc_id.
 Every such string is dealt to a shard by its anchor, the least hash of the GRAM-byte strings inside it, so equal
 strings meet in one shard wherever they stand, and consecutive strings with one anchor travel as
-one segment of text. A first pass finds the anchors that more than one document may hold, and keeps them in a filter
-of bounded size; only segments with such anchors are shuffled, each distinct one once per batch with the places
-where it stands. A shard concatenates its distinct segments, sorts their suffixes by induced
+one segment of text. Two documents that share a string agree on WING more bytes to the left or to the right of its
+anchor, so a first pass finds the wings (anchor and WING bytes on one side) that more than one document may hold, and
+keeps them in a filter of bounded size; only segments with such a wing are shuffled, each distinct one once per batch
+with the places where it stands. A shard concatenates its distinct segments, sorts their suffixes by induced
 sorting, reads off the permuted common prefixes, and so finds for each string the smallest document that holds it.
 The ranges to remove go back to the documents.
 
@@ -31,48 +32,73 @@ from .suffix_array import permuted_common_prefixes, suffix_array
 
 LENGTH, GRAM = 50, 20
 SPAN = LENGTH - GRAM + 1
+#: Of LENGTH - GRAM further bytes of a shared string at least half lie on one side of the anchor.
+WING = (LENGTH - GRAM) // 2
 SEED = 11
-#: Bytes of input for each bucket of anchors, shard of segments and group of documents.
+#: Bytes of input for each bucket of wings, shard of segments and group of documents.
 BUCKET_BYTES, SHARD_BYTES, GROUP_BYTES = 2**24, 2**22, 2**24
-#: The anchor filter has at most this many bits (32 MB); beyond about 4 GB of input more segments without a
+#: The wing filter has at most this many bits (32 MB); beyond about 4 GB of input more segments without a
 #: partner reach the shards, which drop them.
 MAX_FILTER_BITS = 2**28
 #: Documents handled at once in a worker.
-BATCH = 2048
+BATCH = 4096
 
 _rng = np.random.default_rng(SEED)
 _LETTERS = _rng.integers(0, 2**64, 256, dtype=np.uint64)
 _BASE = int(_rng.integers(0, 2**63)) * 2 + 1
-_POWER = {k: np.uint64(pow(_BASE, k, 2**64)) for k in (1, 2, 4, 8, 16)}
+_POWER = [np.uint64(pow(_BASE, k, 2**64)) for k in range(64)]
 _MIX = np.uint64(0x9E3779B97F4A7C15)
+#: Positions take the low bits of a sliding minimum, so texts are cut into parts of fewer bytes than this.
+_PLACE_BITS = 24
+_PLACE = np.uint64(2**_PLACE_BITS - 1)
 
 
-def window_anchors(text: bytes) -> np.ndarray:
-    """The anchor of each LENGTH-byte string of the text, by where it starts."""
+def _mixed(x: np.ndarray) -> np.ndarray:
+    x = (x ^ (x >> np.uint64(32))) * _MIX
+    return x ^ (x >> np.uint64(29))
+
+
+def segments(text: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(anchor, first, last, wings) of each run of consecutive LENGTH-byte strings with one anchor.
+
+    first and last are the starts of the run's first and last string. wings has two hashes a run, of the anchor
+    with WING bytes to its left and to its right; 0 where the text ends before.
+    """
+    parts = []
+    step = 2**_PLACE_BITS - 2 * LENGTH
+    for at in range(0, max(1, len(text) - LENGTH + 1), step):
+        lead = min(at, WING)  # so that wings look the same wherever a text is cut
+        found = _segments(text[at - lead : at + step + LENGTH - 1 + WING], lead, min(step, len(text) - LENGTH + 1 - at))
+        parts.append((found[0], found[1] + at - lead, found[2] + at - lead, found[3]))
+    return tuple(np.concatenate(x) for x in zip(*parts, strict=True)) if len(parts) > 1 else parts[0]
+
+
+def _segments(text: bytes, lead: int, count: int):
+    """segments of the `count` strings that start at lead, lead + 1, ..."""
     raw = np.frombuffer(text, np.uint8)
-    if len(raw) < LENGTH:
-        return np.zeros(0, np.uint64)
+    n = len(raw)
+    if count <= 0 or n < LENGTH:
+        return np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros((0, 2), np.uint64)
     h = {1: _LETTERS[raw]}
     for k in (1, 2, 4, 8):  # hashes of 2, 4, 8 and 16 bytes from halves
         h[2 * k] = h[k][:-k] * _POWER[k] + h[k][k:]
-    gram = h[16][: len(raw) - GRAM + 1] * _POWER[4] + h[4][16:]
-    gram = (gram ^ (gram >> np.uint64(32))) * _MIX
-    gram ^= gram >> np.uint64(29)
-    least, have = gram, 1
+    gram = _mixed(h[16][: n - GRAM + 1] * _POWER[4] + h[4][16:])
+    least, have = (gram & ~_PLACE) | np.arange(len(gram), dtype=np.uint64), 1
     while 2 * have <= SPAN:
         least = np.minimum(least[:-have], least[have:])
         have *= 2
     rest = SPAN - have
-    return np.minimum(least[: len(least) - rest], least[rest:])
-
-
-def segments(text: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(anchor, first, last): runs of consecutive strings with one anchor, by the starts of their first and last."""
-    anchors = window_anchors(text)
-    if not len(anchors):
-        return anchors, np.zeros(0, np.int64), np.zeros(0, np.int64)
-    first = np.concatenate([[0], np.flatnonzero(anchors[1:] != anchors[:-1]) + 1])
-    return anchors[first], first, np.append(first[1:], len(anchors)) - 1
+    place = (np.minimum(least[: len(least) - rest], least[rest:])[lead : lead + count] & _PLACE).astype(np.int64)
+    first = np.concatenate([[0], np.flatnonzero(place[1:] != place[:-1]) + 1])
+    last = np.append(first[1:], len(place)) - 1
+    place = place[first]
+    # Wings of GRAM + WING = 35 bytes, from hashes of 16, 16, 2 and 1.
+    wings = np.zeros((len(place), 2), np.uint64)
+    for side, at in enumerate((place - WING, place)):
+        ok = (at >= 0) & (at + GRAM + WING <= n)
+        q = at[ok]
+        wings[ok, side] = _mixed(h[16][q] * _POWER[19] + h[16][q + 16] * _POWER[3] + h[2][q + 32] * _POWER[1] + h[1][q + 34] + np.uint64(side)) | np.uint64(2**_PLACE_BITS)
+    return gram[place], first + lead, last + lead, wings & ~_PLACE
 
 
 def _rows(docs: DataFrame) -> DataFrame:
@@ -85,57 +111,71 @@ def _slices(batches):
             yield batch.slice(at, BATCH)
 
 
-class AnchorFilter:
-    """Two bits for each anchor that may be shared. The buckets of anchors own its parts, in order."""
+class WingFilter:
+    """Two bits for each wing that may be shared. The buckets of wings own its parts, in order."""
 
     def __init__(self, bits: int, buckets: int):
         self.bits, self.buckets = bits, buckets
         self.per = bits // buckets
 
-    def bucket(self, anchors: np.ndarray) -> np.ndarray:
-        return (anchors >> np.uint64(64 - self.buckets.bit_length() + 1)).astype(np.int64) if self.buckets > 1 else np.zeros(len(anchors), np.int64)
+    def bucket(self, wings: np.ndarray) -> np.ndarray:
+        return (wings >> np.uint64(64 - self.buckets.bit_length() + 1)).astype(np.int64) if self.buckets > 1 else np.zeros(len(wings), np.int64)
 
-    def places(self, anchors: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Both bits of each anchor inside its bucket's part."""
-        own = anchors * _MIX
+    def places(self, wings: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Both bits of each wing inside its bucket's part."""
+        own = _mixed(wings)
         return (own & np.uint64(self.per - 1)).astype(np.int64), ((own >> np.uint64(32)) & np.uint64(self.per - 1)).astype(np.int64)
 
-    def part(self, anchors: np.ndarray) -> bytes:
+    def part(self, wings: np.ndarray) -> bytes:
         flags = np.zeros(self.per, bool)
-        for at in self.places(anchors):
+        for at in self.places(wings):
             flags[at] = True
         return np.packbits(flags, bitorder="little").tobytes()
 
-    def holds(self, parts: np.ndarray, anchors: np.ndarray) -> np.ndarray:
-        base = self.bucket(anchors) * self.per
-        found = np.ones(len(anchors), bool)
-        for at in self.places(anchors):
+    def holds(self, parts: np.ndarray, wings: np.ndarray) -> np.ndarray:
+        base = self.bucket(wings) * self.per
+        found = wings > 0
+        for at in self.places(wings):
             at = at + base
             found &= (parts[at >> 3] >> (at & 7).astype(np.uint8)) & 1 == 1
         return found
 
 
-def shared_anchors(docs: DataFrame, filter_: AnchorFilter) -> np.ndarray:
-    """The filter's bytes. Each batch sends its distinct anchors, and those of several of its documents
-    twice; an anchor that a bucket receives twice may be shared."""
+def _squeezed(keys: np.ndarray) -> bytes:
+    """Sorted keys as compressed differences, byte by byte."""
+    steps = np.diff(keys, prepend=np.uint64(0)) >> np.uint64(_PLACE_BITS)
+    return zstandard.ZstdCompressor(level=1).compress(steps.view(np.uint8).reshape(-1, 8).T.tobytes())
+
+
+def _loosened(blob: bytes) -> np.ndarray:
+    planes = np.frombuffer(zstandard.ZstdDecompressor().decompress(blob), np.uint8)
+    return np.cumsum(np.ascontiguousarray(planes.reshape(8, -1).T).view(np.uint64).ravel(), dtype=np.uint64) << np.uint64(_PLACE_BITS)
+
+
+def shared_wings(docs: DataFrame, filter_: WingFilter) -> np.ndarray:
+    """The filter's bytes. Each batch sends its distinct wings, and those of several of its documents
+    twice; a wing that a bucket receives twice may be shared."""
 
     def send(batches):
         for batch in _slices(batches):
-            found = [np.unique(segments(t.as_py())[0]) for t in batch["text"]]
-            anchors, count = np.unique(np.concatenate(found), return_counts=True) if found else (np.zeros(0, np.uint64), np.zeros(0, np.int64))
-            anchors = np.repeat(anchors, np.minimum(count, 2))
-            bucket = filter_.bucket(anchors)  # in order, as the anchors are
+            found = [np.unique(segments(t.as_py())[3]) for t in batch["text"]]
+            wings = np.sort(np.concatenate(found)) if found else np.zeros(0, np.uint64)
+            wings = wings[wings > 0]
+            third = np.zeros(len(wings), bool)
+            third[2:] = wings[2:] == wings[:-2]
+            wings = wings[~third]
+            bucket = filter_.bucket(wings)  # in order, as the wings are
             cuts = np.flatnonzero(np.diff(bucket)) + 1
             names = bucket[np.concatenate([[0], cuts])] if len(bucket) else bucket
-            parts = [p.tobytes() for p in np.split(anchors, cuts)] if len(bucket) else []
-            yield pa.RecordBatch.from_arrays([pa.array(names, pa.int64()), pa.array(parts, pa.binary())], ["bucket", "anchors"])
+            parts = [_squeezed(p) for p in np.split(wings, cuts)] if len(bucket) else []
+            yield pa.RecordBatch.from_arrays([pa.array(names, pa.int64()), pa.array(parts, pa.binary())], ["bucket", "wings"])
 
     def repeated(part: pa.Table) -> pa.Table:
-        anchors = np.sort(np.frombuffer(b"".join(x.as_py() for x in part["anchors"]), np.uint64))
-        again = np.unique(anchors[1:][anchors[1:] == anchors[:-1]])
+        wings = np.sort(np.concatenate([_loosened(x.as_py()) for x in part["wings"]]))
+        again = np.unique(wings[1:][wings[1:] == wings[:-1]])
         return pa.table({"bucket": pa.array([part["bucket"][0].as_py()], pa.int64()), "bits": pa.array([filter_.part(again)], pa.binary())})
 
-    parts = _rows(docs).where("doc_id is not null").mapInArrow(send, "bucket long, anchors binary").groupBy("bucket").applyInArrow(repeated, "bucket long, bits binary")
+    parts = _rows(docs).where("doc_id is not null").mapInArrow(send, "bucket long, wings binary").groupBy("bucket").applyInArrow(repeated, "bucket long, bits binary")
     out = np.zeros(filter_.bits // 8, np.uint8)
     size = filter_.per // 8
     for row in parts.toLocalIterator():  # filter_.bits in all
@@ -172,7 +212,7 @@ def text_key(text: bytes) -> int:
     return xxhash.xxh3_64_intdigest(text) - 2**63
 
 
-def candidate_segments(docs: DataFrame, filter_: AnchorFilter, parts, shards: int) -> DataFrame:
+def candidate_segments(docs: DataFrame, filter_: WingFilter, parts, shards: int) -> DataFrame:
     """(shard, blob): what each batch holds of each shard."""
 
     def send(batches):
@@ -181,10 +221,10 @@ def candidate_segments(docs: DataFrame, filter_: AnchorFilter, parts, shards: in
             per: dict[int, tuple] = {}
             for i, item in zip(ids, batch["text"], strict=True):
                 text = item.as_py()
-                anchors, first, last = segments(text)
+                anchors, first, last, wings = segments(text)
                 if not len(anchors):
                     continue
-                keep = filter_.holds(parts.value, anchors)
+                keep = filter_.holds(parts.value, wings.ravel()).reshape(-1, 2).any(axis=1)
                 if not keep.any():
                     continue
                 anchors, first, last = anchors[keep], first[keep], last[keep]
@@ -313,8 +353,8 @@ def remove_repeats(docs: DataFrame, max_bits: int = MAX_FILTER_BITS) -> DataFram
     buckets = power_of_two(total / BUCKET_BYTES, 16, 2**20)
     shards = power_of_two(total / SHARD_BYTES, 16, 2**24)
     groups = power_of_two(total / GROUP_BYTES, 16, 2**23)
-    filter_ = AnchorFilter(power_of_two(total / 14, max(2**16, 64 * buckets), max(max_bits, 64 * buckets)), buckets)
-    parts = spark.sparkContext.broadcast(shared_anchors(docs, filter_))
+    filter_ = WingFilter(power_of_two(total / 14, max(2**16, 64 * buckets), max(max_bits, 64 * buckets)), buckets)
+    parts = spark.sparkContext.broadcast(shared_wings(docs, filter_))
     dealt = candidate_segments(docs, filter_, parts, shards)
     ranges = dealt.groupBy("shard").applyInArrow(lambda part: _shard_ranges(part, groups), "group long, blob binary")
 
