@@ -6,6 +6,7 @@ import math
 from collections.abc import Sequence
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -37,17 +38,17 @@ def balance(labelled: DataFrame, seed: int = 1, key: str = "rec_id") -> DataFram
     return labelled.where(keep)
 
 
-def _fourier(features: Sequence[str], size: int, gamma: float, seed: int):
-    """Random Fourier features of the inputs as column expressions: a nonlinear kernel for a linear machine."""
+def _fourier(size: int, inputs: int, gamma: float, seed: int):
+    """Random Fourier features of an array column: a nonlinear kernel for a linear machine."""
     rng = np.random.default_rng(seed)
-    weights, phase = rng.normal(0, math.sqrt(2 * gamma), (size, len(features))), rng.uniform(0, 2 * math.pi, size)
-    out = []
-    for j in range(size):
-        dot = F.lit(float(phase[j]))
-        for f, w in zip(features, weights[j], strict=True):
-            dot = dot + F.col(f) * F.lit(float(w))
-        out.append((F.sqrt(F.lit(2.0 / size)) * F.cos(dot)).alias(f"fourier_{j}"))
-    return out
+    weights, phase = rng.normal(0, math.sqrt(2 * gamma), (inputs, size)), rng.uniform(0, 2 * math.pi, size)
+
+    @F.pandas_udf("array<double>")
+    def mapped(batch: pd.Series) -> pd.Series:
+        x = np.stack(batch.to_list()) if len(batch) else np.zeros((0, inputs))
+        return pd.Series(list(math.sqrt(2.0 / size) * np.cos(x @ weights + phase)), dtype=object)
+
+    return mapped
 
 
 def standardise(df: DataFrame, features: Sequence[str], train: DataFrame) -> DataFrame:
@@ -72,18 +73,14 @@ def train_and_predict(kind: str, train: DataFrame, valid: DataFrame, score: Data
     train and valid carry label; valid is a later period, not a random split.
     """
     from pyspark.ml.classification import DecisionTreeClassifier, LinearSVC, RandomForestClassifier
-    from pyspark.ml.feature import VectorAssembler
+    from pyspark.ml.functions import array_to_vector
 
     makers = {"tree": lambda o: DecisionTreeClassifier(seed=seed, **o), "forest": lambda o: RandomForestClassifier(seed=seed, **o), "svm": lambda o: LinearSVC(**o), "svm_fourier": lambda o: LinearSVC(**o)}
-    inputs = list(features)
-    frames = [standardise(x, features, train) for x in (train, valid, score)]
-    if kind == "svm_fourier":
-        extra = _fourier(features, 64, 0.1, seed)
-        frames = [x.select("*", *extra) for x in frames]
-        inputs = [f"fourier_{j}" for j in range(64)]
-    assembler = VectorAssembler(inputCols=inputs, outputCol="__vector", handleInvalid="keep")
-    train_v, valid_v, score_v = (assembler.transform(x) for x in frames)
-    train_v = train_v.withColumn("label", F.col("label").cast("double"))
+    packed = F.array(*[F.col(f) for f in features])
+    value = array_to_vector(_fourier(64, len(features), 0.1, seed)(packed) if kind == "svm_fourier" else packed)
+    train_v, valid_v, score_v = (standardise(x, features, train).withColumn("__vector", value) for x in (train, valid, score))
+    train_v = train_v.select(F.col("label").cast("double").alias("label"), "__vector").persist()
+    valid_v = valid_v.select("label", "__vector").persist()
     tried, best = [], None
     for options in GRIDS[kind]:
         model = makers[kind](options).setFeaturesCol("__vector").setLabelCol("label").fit(train_v)
@@ -92,6 +89,8 @@ def train_and_predict(kind: str, train: DataFrame, valid: DataFrame, score: Data
         tried.append({**options, "f1": f1})
         if best is None or f1 > best[0]:
             best = (f1, model)
+    train_v.unpersist()
+    valid_v.unpersist()
     original = score.columns
     out = best[1].transform(score_v)
     verdict = out.select("rec_id", (F.col("prediction") == 1).alias("abnormal"))

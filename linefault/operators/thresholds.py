@@ -69,9 +69,12 @@ def _cumulative(bins: DataFrame, steps: int) -> DataFrame:
     return filled.select("feature", "cut_no", cut.alias("cut"), summed("tickets").alias("k"), summed("hours").cast("double").alias("h"), "k_all", "h_all")
 
 
-def _guarded(scores: DataFrame, min_tickets: int, min_share: float) -> DataFrame:
+def _guarded(scores: DataFrame, min_tickets: int, min_share: float, max_share: float) -> DataFrame:
+    """Cuts with a ratio and enough support: a maximum resting on a few tickets, on hardly any abnormal time or on
+    hardly any normal time says nothing. The neutral settings (0, 0, 1) keep every cut."""
     rated = scores.withColumn("trr", rate_ratio(*[F.col(c) for c in ("k_abn", "h_abn", "k_norm", "h_norm")]))
-    enough = (F.col("k_abn") >= min_tickets) & (F.col("h_abn") >= F.lit(float(min_share)) * (F.col("h_abn") + F.col("h_norm")))
+    whole = F.col("h_abn") + F.col("h_norm")
+    enough = (F.col("k_abn") >= min_tickets) & F.col("h_abn").between(F.lit(float(min_share)) * whole, F.lit(float(max_share)) * whole)
     return rated.where(F.col("trr").isNotNull() & enough)
 
 
@@ -94,7 +97,7 @@ def band_scores(bins: DataFrame, steps: int = STEPS) -> DataFrame:
     return pairs.select("feature", F.lit("band").alias("direction"), "low", "high", (F.col("k_all") - inside[0]).alias("k_abn"), (F.col("h_all") - inside[1]).alias("h_abn"), inside[0].alias("k_norm"), inside[1].alias("h_norm"))
 
 
-def search_all(counted: DataFrame, features: Sequence[str], directions: dict[str, str] | None = None, steps: int = STEPS, band_steps: int = 40, min_tickets: int = 0, min_share: float = 0.0) -> DataFrame:
+def search_all(counted: DataFrame, features: Sequence[str], directions: dict[str, str] | None = None, steps: int = STEPS, band_steps: int = 40, min_tickets: int = 0, min_share: float = 0.0, max_share: float = 1.0) -> DataFrame:
     """The best cut of each feature: feature, direction, low, high, the four sums, trr.
 
     Features are column names (underscored). Ties go to more abnormal tickets, then to less abnormal time.
@@ -113,7 +116,7 @@ def search_all(counted: DataFrame, features: Sequence[str], directions: dict[str
     for p in parts[1:]:
         scores = scores.unionByName(p)
     best = Window.partitionBy("feature").orderBy(F.desc("trr"), F.desc("k_abn"), F.asc("h_abn"), "direction", "low", "high")
-    return _guarded(scores, min_tickets, min_share).withColumn("place", F.row_number().over(best)).where("place = 1").drop("place")
+    return _guarded(scores, min_tickets, min_share, max_share).withColumn("place", F.row_number().over(best)).where("place = 1").drop("place")
 
 
 def _hyphenated(column: str) -> str:

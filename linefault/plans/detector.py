@@ -58,6 +58,7 @@ class FaultDetector:
     steps: int = 100
     min_tickets: int = 0
     min_share: float = 0.0
+    max_share: float = 1.0
     keys: Sequence[str] = ("device",)
     order: Sequence[str] = ("ts", "rec_id")
     directions: dict[str, str] = field(default_factory=dict)
@@ -67,7 +68,7 @@ class FaultDetector:
         grid = feature_grid(self.metrics, self.days, self.tenths)
         counted = count_tickets(held_intervals(telemetry, period_end, keys=self.keys, order=self.order), tickets)
         built = build_features(counted, grid, self.points_per_day, self.keys, self.order)
-        return name_scores(search_all(built, [f.column for f in grid], self.directions, self.steps, min_tickets=self.min_tickets, min_share=self.min_share))
+        return name_scores(search_all(built, [f.column for f in grid], self.directions, self.steps, min_tickets=self.min_tickets, min_share=self.min_share, max_share=self.max_share))
 
     def fit(self, telemetry: DataFrame, tickets: DataFrame, period_end: str) -> DetectorModel:
         chosen = pick_features(self.scores(telemetry, tickets, period_end), self.n_features)

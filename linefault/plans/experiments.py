@@ -26,12 +26,12 @@ def compare_methods(telemetry: DataFrame, tickets: DataFrame, period_end: str, t
     every learned baseline tries the same number of settings on the days from valid_days on.
     """
     train_end = telemetry.sparkSession.sql(f"SELECT CAST(TIMESTAMP_NTZ'2024-01-01' + INTERVAL {train_days} DAYS AS STRING) AS t").first()["t"]
-    detector = FaultDetector(("snr", "tx", "rx", "unerrored", "corrected", "t3"), POINTS_PER_DAY, n_features=3, days=(1, 2, 3), tenths=(3, 6, 9), min_tickets=15, min_share=0.01)
+    detector = FaultDetector(("snr", "tx", "rx", "unerrored"), POINTS_PER_DAY, n_features=3, days=(1, 2, 3), tenths=(3, 6, 9), min_tickets=20, min_share=0.005, max_share=0.25)
     first, early = telemetry.where(F.col("day") < train_days), tickets.where(F.col("day") < train_days)
     model = detector.fit(first, early, train_end)
     bands = B.quantile_bands(first, METRICS)
     extra = feature_grid(["snr", "tx"], (1, 2), ())
-    labelled = build_features(L.label_from_tickets(telemetry, tickets, period_end), extra, POINTS_PER_DAY)
+    labelled = build_features(L.label_from_tickets(telemetry, tickets, period_end), extra, POINTS_PER_DAY).persist()
     inputs = [*METRICS, *[f.column for f in extra]]
     sample = L.balance(labelled.where(F.col("day") < valid_days))
     valid = labelled.where((F.col("day") >= valid_days) & (F.col("day") < train_days))
@@ -43,7 +43,7 @@ def compare_methods(telemetry: DataFrame, tickets: DataFrame, period_end: str, t
     late = tickets.where(F.col("day") >= train_days)
     out = None
     for name, rows in verdicts.items():
-        slim = rows.select("rec_id", "ts", "device", "account", "node", "day", "abnormal")
+        slim = rows.select("rec_id", "ts", "device", "account", "node", "day", "abnormal").persist()
         fit = held_intervals(slim.where(F.col("day") < train_days), train_end)
         chosen = tune_window(ticket_sweep(fit, early, (y,), train_end)).first()
         x = int(chosen["x"]) if chosen else y

@@ -180,12 +180,12 @@ def t_model(s, d):
     return rows.select("fp", "fn", F.round(C.rate_model(*args), 6).alias("ratio"), C.rate_model_limit(F.lit(1.0), F.lit(4.0)).alias("limit_ratio"), F.round(by_fp, 8).alias("by_fp"), F.round(by_fn, 8).alias("by_fn"))
 
 
-DETECT = ("snr", "tx", "rx", "unerrored", "corrected", "t3")
+DETECT = ("snr", "tx", "rx", "unerrored")
 
 
 @cache
 def _detector() -> FaultDetector:
-    return FaultDetector(DETECT, A.POINTS_PER_DAY, days=(1, 2, 3), tenths=(3, 6, 9), min_tickets=GUARD)
+    return FaultDetector(DETECT, A.POINTS_PER_DAY, days=(1, 2, 3), tenths=(3, 6, 9), min_tickets=GUARD, min_share=0.005, max_share=0.25)
 
 
 query("t_search_all")(lambda s, d: _detector().scores(tel(s, d), net(s, d), END))
