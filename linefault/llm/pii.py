@@ -45,9 +45,9 @@ TERM_KIND = "term"
 #: Bits of the filter that keeps the corpus count to possible terms; fixed, so the broadcast is bounded
 #: (2**18 words); more candidate terms only let more words through to the exact join.
 TERM_FILTER_BITS = 2**24
-#: The lines of one in PART hash classes are counted first. What they hold is a lower bound of a term's count and so
-#: rules terms out exactly; only the terms left are counted over all lines.
-PART = 16
+#: The lines of one in so many hash classes are counted in turn. What a part holds is a lower bound of a term's count and
+#: so rules terms out exactly; only the terms left are counted over the next part, and in the end over all lines.
+PARTS = (16, 4, 2, 1)
 
 
 def _digits(x: Column) -> Column:
@@ -145,14 +145,16 @@ def disclosing_terms(docs: DataFrame, text_col: str = "text", support: int = SUP
         possible = _possible_terms(rows, bloom, words)
         return possible.distinct().groupBy("term").agg(F.count(F.lit(1)).alias("n_term"))
 
-    for rows in (spoken.where(F.pmod("line", F.lit(PART)) == 0), spoken):
+    for part in PARTS:
+        rows = spoken.where(F.pmod("line", F.lit(part)) == 0)
         wanted = joint.select("term").distinct()
         n_terms = wanted.count()
         if not n_terms:
             return joint.select("term", "entity", "n_joint", F.lit(0).cast("long").alias("n_term"), "n_entity", F.lit(0.0).alias("pmi"), F.lit(0.0).alias("ic"))
         heard = heard_in(rows, wanted, n_terms)
-        least = joint.join(heard, "term", "left").withColumn("n_term", F.greatest(F.coalesce("n_term", F.lit(0)), "n_joint"))
-        joint = staged(least.where(bits("n_term") >= disclosure * own).select("entity", "term", "n_joint", "n_entity", "n_term"), "joint").drop("n_term") if rows is not spoken else joint
+        if part > 1:
+            least = joint.join(heard, "term", "left").withColumn("n_term", F.greatest(F.coalesce("n_term", F.lit(0)), "n_joint"))
+            joint = staged(least.where(bits("n_term") >= disclosure * own).select("entity", "term", "n_joint", "n_entity"), "joint")
     scored = joint.join(heard, "term").withColumn("pmi", bits("n_term")).withColumn("ic", own)
     return scored.where(F.col("pmi") >= disclosure * F.col("ic"))
 
