@@ -22,7 +22,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import power_of_two, staged, table
+from .common import staged, table
 
 #: Fixed order of the kinds.
 KINDS = ("email", "ip", "card", "phone")
@@ -42,12 +42,12 @@ TERM = r"\p{L}{4,}+"
 SUPPORT = 5
 DISCLOSURE = 0.95
 TERM_KIND = "term"
-#: Bits of the filter that keeps the corpus count to possible terms; fixed, so the broadcast is bounded
-#: (2**18 words); more candidate terms only let more words through to the exact join.
+#: Bits of the filter that keeps the corpus count to possible terms; fixed, so the broadcast is bounded (2**18 words, and
+#: no more than there are terms); more candidate terms only let more words through to the exact join.
 TERM_FILTER_BITS = 2**24
 #: The lines of one in so many hash classes are counted in turn. What a part holds is a lower bound of a term's count and
 #: so rules terms out exactly; only the terms left are counted over the next part, and in the end over all lines.
-PARTS = (16, 4, 2, 1)
+PARTS = (16, 1)
 
 
 def _digits(x: Column) -> Column:
@@ -139,19 +139,18 @@ def disclosing_terms(docs: DataFrame, text_col: str = "text", support: int = SUP
     joint = staged(joint.join(least, "term").where((own > 0) & (bits("n_least") >= disclosure * own)).drop("n_least"), "joint")
     spoken = lines.select(F.xxhash64("text").alias("line"), F.explode(terms).alias("term"))
 
-    def heard_in(rows: DataFrame, wanted: DataFrame, n_terms: int) -> DataFrame:
+    def heard_in(rows: DataFrame, wanted: DataFrame) -> DataFrame:
         """(term, n_term): in how many distinct lines of `rows` each wanted term stands."""
-        bloom, words = _term_filter(wanted, n_terms)
+        bloom, words = _term_filter(wanted)
         possible = _possible_terms(rows, bloom, words)
         return possible.distinct().groupBy("term").agg(F.count(F.lit(1)).alias("n_term"))
 
     for part in PARTS:
         rows = spoken.where(F.pmod("line", F.lit(part)) == 0)
         wanted = joint.select("term").distinct()
-        n_terms = wanted.count()
-        if not n_terms:
+        if wanted.isEmpty():
             return joint.select("term", "entity", "n_joint", F.lit(0).cast("long").alias("n_term"), "n_entity", F.lit(0.0).alias("pmi"), F.lit(0.0).alias("ic"))
-        heard = heard_in(rows, wanted, n_terms)
+        heard = heard_in(rows, wanted)
         if part > 1:
             least = joint.join(heard, "term", "left").withColumn("n_term", F.greatest(F.coalesce("n_term", F.lit(0)), "n_joint"))
             joint = staged(least.where(bits("n_term") >= disclosure * own).select("entity", "term", "n_joint", "n_entity"), "joint")
@@ -172,9 +171,9 @@ def find_personal_data(docs: DataFrame, support: int = SUPPORT, disclosure: floa
     return joined.select("doc_id", *[f"n_{k}" for k in KINDS], F.sha2(_listed(F.col("base")), 256).alias("base_sha256"), _listed(F.col("all_spans")).alias("spans"), "all_spans")
 
 
-def _term_filter(terms: DataFrame, n_terms: int) -> tuple[DataFrame, int]:
-    """(word, bits) of a filter of bounded size over column term, and its number of words."""
-    words = power_of_two(n_terms * 16, 2**12, TERM_FILTER_BITS) // 64
+def _term_filter(terms: DataFrame) -> tuple[DataFrame, int]:
+    """(word, bits) of a filter of fixed size over column term, and its number of words."""
+    words = TERM_FILTER_BITS // 64
     word, bit = _term_place(words)
     return terms.select(word.alias("word"), bit.alias("bit")).groupBy("word").agg(F.bit_or("bit").alias("bits")), words
 
@@ -193,7 +192,7 @@ def _possible_terms(spoken: DataFrame, bloom: DataFrame, words: int) -> DataFram
 def term_spans(texts: DataFrame, terms: DataFrame) -> DataFrame:
     """(key, extra): where the disclosing terms stand, once per distinct text that holds any."""
     spoken = texts.select("key", F.explode(F.array_distinct(F.transform(F.regexp_extract_all("text", F.lit(TERM), F.lit(0)), F.lower))).alias("term"))
-    bloom, words = _term_filter(terms, terms.count())
+    bloom, words = _term_filter(terms)
     held = staged(_possible_terms(spoken, bloom, words).join(terms, "term", "left_semi").groupBy("key").agg(F.collect_set("term").alias("terms")), "held")
     if held.isEmpty():
         return held.select("key", F.array().cast("array<struct<start:int,rank:int,end:int,kind:string>>").alias("extra"))
