@@ -33,6 +33,15 @@ def shared_dir(spark: SparkSession) -> str:
     return own
 
 
+#: Rows of one Arrow batch between the JVM and Python: whole texts travel, so batches must be few rows.
+ARROW_ROWS = 500
+
+
+def small_batches(spark: SparkSession) -> None:
+    """Bound what one Arrow batch of texts takes in both processes, for this session's Python stages."""
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", ARROW_ROWS)
+
+
 def staged(df: DataFrame, label: str) -> DataFrame:
     """Write df once to the shared folder as Parquet and read it back.
 
@@ -48,6 +57,22 @@ def staged(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Keys that hold more than one in so many rows are joined by broadcast; there are fewer of them than this.
+HEAVY = 1000
+
+
+def join_by_weight(rows: DataFrame, keyed: DataFrame, on: list[str], weight: str, total: int) -> DataFrame:
+    """rows joined with keyed, which has one row per key and in `weight` how many of `rows` have it.
+
+    The weights add up to `total` at most, so fewer than HEAVY keys weigh more than total / HEAVY: these are
+    broadcast, and a key with a third of all rows never meets in one task. The others are joined by shuffle.
+    """
+    heavy = F.broadcast(keyed.where(F.col(weight) * HEAVY > F.lit(total)))
+    light = keyed.where(F.col(weight) * HEAVY <= F.lit(total))
+    rest = rows.join(heavy.select(*on), on, "left_anti").join(light, on)
+    return rows.join(heavy, on).unionByName(rest)
+
+
 def ascii_lower(col: Column) -> Column:
     """Lower-case A-Z alone; every other code point stays as it is."""
     return F.translate(col, UPPER, UPPER.lower())

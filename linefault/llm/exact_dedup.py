@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import ascii_lower, fresh, power_of_two, staged, table
+from .common import ascii_lower, fresh, join_by_weight, power_of_two, staged, table
 
 #: The broadcast filter has at most this many bits (2**21 words), whatever the input: beyond about
 #: 10 million rows more rows pass as possible repeats, and the exact stage still decides them.
@@ -59,11 +59,12 @@ def _marked(df: DataFrame, digest: str, filled: DataFrame, words: int, flag: str
 def exact_dedup_report(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", max_bits: int = MAX_FILTER_BITS) -> DataFrame:
     """One row per document, dropped ones too: doc_id, keep_id, group_size, kept, text_sha256."""
     keys = staged(docs.select(F.col(id_col).alias("doc_id"), text_digest(F.col(text_col)).alias("digest"), F.monotonically_increasing_id().alias("row_no")), "digests")
-    filled, words = repeat_filter(keys, max_bits=max_bits)
+    rows = keys.count()
+    filled, words = repeat_filter(keys, rows=rows, max_bits=max_bits)
     marked = _marked(keys, "digest", filled, words, "possible")
     some = marked.where("possible").drop("possible")
-    groups = some.groupBy("digest").agg(F.max(F.struct("doc_id", "row_no")).alias("top"), F.count(F.lit(1)).alias("group_size"))
-    joined = some.join(groups, "digest").select("doc_id", F.col("top.doc_id").alias("keep_id"), "group_size", (F.col("row_no") == F.col("top.row_no")).alias("kept"), "digest")
+    groups = staged(some.groupBy("digest").agg(F.max(F.struct("doc_id", "row_no")).alias("top"), F.count(F.lit(1)).alias("group_size")), "groups")
+    joined = join_by_weight(some, groups, ["digest"], "group_size", rows).select("doc_id", F.col("top.doc_id").alias("keep_id"), "group_size", (F.col("row_no") == F.col("top.row_no")).alias("kept"), "digest")
     alone = marked.where(~F.col("possible")).select("doc_id", F.col("doc_id").alias("keep_id"), F.lit(1).cast("long").alias("group_size"), F.lit(True).alias("kept"), "digest")
     return joined.unionByName(alone).withColumn("text_sha256", F.lower(F.hex("digest"))).drop("digest")
 

@@ -27,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import power_of_two, staged, table
+from .common import join_by_weight, power_of_two, small_batches, staged, table
 
 MIN_CHARS = 10
 SPACE = b" \t\n\x0b\x0c\r"
@@ -140,6 +140,7 @@ def _keys(text: bytes | None) -> list[tuple[int, int]]:
 
 
 def _rows(docs: DataFrame) -> DataFrame:
+    small_batches(docs.sparkSession)
     return docs.select("doc_id", F.col("text").cast("binary").alias("text"))
 
 
@@ -271,8 +272,10 @@ class LineIndex:
                     shas.append(hashlib.sha256(kept[-1]).hexdigest())
                 yield pa.RecordBatch.from_arrays([batch["doc_id"], pa.array(n, pa.int64()), pa.array(dropped, pa.int64()), pa.array(shas, pa.string()), pa.array(kept, pa.binary())], ["doc_id", "n_lines", "n_dropped", "kept_sha256", "kept"])
 
-        shared = self.counts.where("first_doc < last_doc").select("hi", "lo", "first_doc")
-        found = rows.where("doc_id is not null").mapInArrow(hit_rows, "doc_id long, hi long, lo long").join(shared, ["hi", "lo"]).where("first_doc < doc_id")
+        shared = self.counts.where("first_doc < last_doc").select("hi", "lo", "first_doc", "n_refs")
+        total = shared.agg(F.coalesce(F.sum("n_refs"), F.lit(0))).first()[0]
+        hits = staged(rows.where("doc_id is not null").mapInArrow(hit_rows, "doc_id long, hi long, lo long"), "hits")
+        found = join_by_weight(hits, shared, ["hi", "lo"], "n_refs", total).where("first_doc < doc_id")
         gone = found.groupBy("doc_id").agg(F.collect_set(F.struct("hi", "lo")).alias("gone"))
         flagged = rows.withColumn("flag", F.coalesce(may_hit("text"), F.lit(False)) & F.col("doc_id").isNotNull())
         empty = F.lit(None).cast("array<struct<hi:bigint,lo:bigint>>").alias("gone")
