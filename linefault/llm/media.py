@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import small_batches, table
 from .progressive_jpeg import GROUP, decode_coefficients, encode_payload, read_payload, to_rgb
 
 #: Rows of one Arrow batch, so that decoded tensors in flight stay small.
@@ -46,6 +46,7 @@ def store_texts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
             texts = [x.as_py() for x in batch["text"]]
             yield pa.RecordBatch.from_arrays([batch["doc_id"], pa.array([len(x or b"") for x in texts], pa.int64()), pa.array([encode_payload(payload_of(x)) for x in texts], pa.binary())], ["doc_id", "n_bytes", "media"])
 
+    small_batches(docs.sparkSession)
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("binary").alias("text"))
     return rows.mapInArrow(run, "doc_id long, n_bytes long, media binary")
 

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import fresh, power_of_two, staged, table
+from .common import fresh, power_of_two, small_batches, staged, table
 from .graph import connected_components
 
 N, SIMILARITY, RECALL, MOST_HASHES = 5, 0.8, 0.9999, 128
@@ -148,6 +148,7 @@ def signatures(docs: DataFrame, n: int, bands: int, rows: int, text_col: str = "
             flat = np.concatenate(hashes) if hashes else np.zeros(0, np.int64)
             yield pa.RecordBatch.from_arrays([batch["doc_id"], batch["node"], pa.array(counts, pa.int64()), pa.ListArray.from_arrays(pa.array(ends), pa.array(flat, pa.int64())), pa.array(sketches, pa.binary())], ["doc_id", "node", "grams", "hashes", "sketch"])
 
+    small_batches(docs.sparkSession)
     text = F.coalesce(F.col(text_col).cast("binary"), F.lit(b""))
     rows_ = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.unhex(F.md5(text)).alias("node"), text.alias("text"))
     return rows_.mapInArrow(run, "doc_id long, node binary, grams long, hashes array<long>, sketch binary")

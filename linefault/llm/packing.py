@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import staged, table
+from .common import small_batches, staged, table
 
 WINDOW = 2048
 END_ID = 1
@@ -34,7 +34,7 @@ TOKENIZER = "word_bpe_49k.json"
 THIRDS = 24
 SWEEPS = 60
 #: Words that a worker remembers before it starts anew.
-CACHE = 800_000
+CACHE = 250_000
 #: Texts encoded at once.
 BATCH = 256
 ROWS_PER_SLICE = 1_000_000
@@ -224,6 +224,7 @@ def plan_slots(patterns: list[tuple[tuple[int, ...], int]], window: int) -> pd.D
 def pack(docs: DataFrame, window: int = WINDOW, tokenizer: str = TOKENIZER, depth: int = DEPTH) -> DataFrame:
     """One row per piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset."""
     spark = docs.sparkSession
+    small_batches(spark)
     pieces = staged(document_pieces(docs, window, tokenizer).withColumn("piece_no", F.monotonically_increasing_id()), "pieces")
     histogram = np.zeros(window + 1, np.int64)
     for row in pieces.groupBy("length").count().collect():  # at most `window` rows

@@ -14,7 +14,6 @@ table gives an empty result; extra columns are kept.
 from __future__ import annotations
 
 from collections import Counter
-from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -23,7 +22,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import fresh, staged, table
+from .common import fresh, small_batches, staged, table
 
 FOLDS, HELD_OUT = 3, 1
 SHRINKAGE, RIDGE = 0.3, 1e-2
@@ -64,10 +63,11 @@ def statistics(text: str | None) -> list[float]:
 
 
 def add_statistics(docs: DataFrame, text_col: str = "text", name: str = "stats") -> DataFrame:
+    small_batches(docs.sparkSession)
+
     @F.pandas_udf(T.ArrayType(T.DoubleType()))
-    def stats(texts: Iterator[pd.Series]) -> Iterator[pd.Series]:
-        for batch in texts:
-            yield batch.map(statistics)
+    def stats(texts: pd.Series) -> pd.Series:
+        return texts.map(statistics)
 
     return docs.withColumn(name, stats(F.col(text_col)))
 

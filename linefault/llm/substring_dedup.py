@@ -27,7 +27,7 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import power_of_two, staged, table
+from .common import power_of_two, small_batches, staged, table
 from .suffix_array import permuted_common_prefixes, suffix_array
 
 LENGTH, GRAM = 50, 20
@@ -41,7 +41,7 @@ BUCKET_BYTES, SHARD_BYTES, GROUP_BYTES = 2**24, 2**22, 2**24
 #: partner reach the shards, which drop them.
 MAX_FILTER_BITS = 2**28
 #: Documents handled at once in a worker.
-BATCH = 4096
+BATCH, BATCH_BYTES = 4096, 2**24
 
 _rng = np.random.default_rng(SEED)
 _LETTERS = _rng.integers(0, 2**64, 256, dtype=np.uint64)
@@ -102,13 +102,21 @@ def _segments(text: bytes, lead: int, count: int):
 
 
 def _rows(docs: DataFrame) -> DataFrame:
+    small_batches(docs.sparkSession)
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("binary"), F.lit(b"")).alias("text"))
 
 
 def _slices(batches):
+    """Arrow batches gathered to BATCH rows or BATCH_BYTES, whichever comes first."""
+    held, rows, size = [], 0, 0
     for batch in batches:
-        for at in range(0, max(1, batch.num_rows), BATCH):
-            yield batch.slice(at, BATCH)
+        held.append(batch)
+        rows, size = rows + batch.num_rows, size + batch.nbytes
+        if rows >= BATCH or size >= BATCH_BYTES:
+            yield pa.concat_batches(held)
+            held, rows, size = [], 0, 0
+    if held:
+        yield pa.concat_batches(held)
 
 
 class WingFilter:
