@@ -132,20 +132,3 @@ def resample_hold(df: DataFrame, metric: str, start: str, end: str, every_hours:
     along = Window.partitionBy(*keys).orderBy("ts", "is_slot", *[f"o_{c}" for c in order[1:]]).rowsBetween(Window.unboundedPreceding, 0)
     held = points.unionByName(grid).withColumn("held", F.last("value", ignorenulls=True).over(along))
     return held.where("is_slot = 1").select(*keys, F.col("ts").alias("slot"), F.col("held").alias("value"))
-
-
-
-def register_functions(spark) -> None:
-    """SQL names: ewma(values, lambda) over arrays, as an Arrow function."""
-
-    @F.pandas_udf("double")
-    def ewma(values: pd.Series, lam: pd.Series) -> pd.Series:
-        def one(v, w):
-            state = None
-            for x in v if v is not None else ():
-                state = x if state is None else w * x + (1 - w) * state
-            return state
-
-        return pd.Series([one(v, w) for v, w in zip(values, lam, strict=True)], dtype="float64")
-
-    spark.udf.register("ewma", ewma)

@@ -30,7 +30,8 @@ def fault_scores(faults: DataFrame, tickets: DataFrame, intervals: DataFrame, sc
     every = tickets.agg(F.count(F.lit(1)).alias("tickets"))
     faulty = faults.agg(F.coalesce(F.sum("hours"), F.lit(0.0)).alias("fault_hours"))
     time = intervals.agg(F.sum("hours").alias("all_hours"))
-    row = total.join(true).join(seen).join(every).join(faulty).join(time)  # six tables of one row each
+    # Six aggregates of one row each; as scalar subqueries they need no join.
+    row = total.select("faults", *[df.scalar().alias(name) for df, name in ((true, "true_faults"), (seen, "detected"), (every, "tickets"), (faulty, "fault_hours"), (time, "all_hours"))])
     rate = F.try_divide(ratio(F.col("detected"), F.col("fault_hours")), ratio(F.col("tickets"), F.col("all_hours")))
     return row.select("faults", "true_faults", ratio(F.col("true_faults"), F.col("faults")).alias("accuracy"), "detected", "tickets", ratio(F.col("detected"), F.col("tickets")).alias("coverage"), rate.alias("ntr"))
 
@@ -67,7 +68,8 @@ def ticket_sweep(verdicts: DataFrame, tickets: DataFrame, ys: Sequence[int], per
     every = tickets.agg(F.count(F.lit(1)).alias("all_tickets"))
     summed = faults.groupBy("y", "x").agg(F.count(F.lit(1)).alias("faults"), F.sum((F.col("tickets") > 0).cast("int")).alias("true_faults"), F.sum("tickets").alias("detected"), F.sum("hours").alias("fault_hours"))
     rate = F.try_divide(ratio(F.col("detected"), F.col("fault_hours")), ratio(F.col("all_tickets"), F.col("all_hours")))
-    return summed.join(total).join(every).select("y", "x", "faults", ratio(F.col("true_faults"), F.col("faults")).alias("accuracy"), ratio(F.col("detected"), F.col("all_tickets")).alias("coverage"), rate.alias("ntr"))
+    whole = summed.withColumn("all_hours", total.scalar()).withColumn("all_tickets", every.scalar())
+    return whole.select("y", "x", "faults", ratio(F.col("true_faults"), F.col("faults")).alias("accuracy"), ratio(F.col("detected"), F.col("all_tickets")).alias("coverage"), rate.alias("ntr"))
 
 
 def tune_window(sweep: DataFrame, floor: float = 0.15) -> DataFrame:
@@ -98,7 +100,7 @@ def fault_time_jaccard(a: DataFrame, b: DataFrame) -> DataFrame:
 def ticket_overlap(a: DataFrame, b: DataFrame) -> DataFrame:
     """(detected, shared, overlap): share of the tickets detected by a that b detects too; both have ticket_id."""
     one, two = a.select("ticket_id").distinct(), b.select("ticket_id").distinct()
-    return one.agg(F.count(F.lit(1)).alias("detected")).join(one.intersect(two).agg(F.count(F.lit(1)).alias("shared"))).withColumn("overlap", ratio(F.col("shared"), F.col("detected")))
+    return one.agg(F.count(F.lit(1)).alias("detected")).withColumn("shared", one.intersect(two).agg(F.count(F.lit(1)).alias("shared")).scalar()).withColumn("overlap", ratio(F.col("shared"), F.col("detected")))
 
 
 def cluster_agreement(labels: DataFrame, a: str, b: str) -> DataFrame:
@@ -112,7 +114,7 @@ def cluster_agreement(labels: DataFrame, a: str, b: str) -> DataFrame:
     expected = F.try_divide(F.col("p_a") * F.col("p_b"), total)
     ari = F.try_divide(F.col("p_ab") - expected, (F.col("p_a") + F.col("p_b")) / 2 - expected)
     ri = F.try_divide(total + 2 * F.col("p_ab") - F.col("p_a") - F.col("p_b"), total)
-    return both.join(one).join(two).select("items", ri.alias("ri"), ari.alias("ari"))
+    return both.withColumn("p_a", one.scalar()).withColumn("p_b", two.scalar()).select("items", ri.alias("ri"), ari.alias("ari"))
 
 
 # Distributions over detected tickets and faults
@@ -135,7 +137,7 @@ def _summary(df: DataFrame, value: str) -> DataFrame:
 def life_time_stats(detected: DataFrame) -> DataFrame:
     """(open, n, mean, median, least, most) of hours from creation to closing; open tickets counted apart."""
     timed = detected.withColumn("life", hours_between("created", "closed"))
-    return timed.agg(F.count(F.when(F.col("closed").isNull(), 1)).alias("open")).join(_summary(timed, "life"))
+    return _summary(timed, "life").withColumn("open", timed.agg(F.count(F.when(F.col("closed").isNull(), 1)).alias("open")).scalar())
 
 
 def report_wait_stats(detected: DataFrame) -> DataFrame:
@@ -153,8 +155,8 @@ def cumulative_shares(df: DataFrame, value: str, points: Sequence[float]) -> Dat
 def fault_length_density(faults: DataFrame, width_hours: float = 24.0) -> DataFrame:
     """(bin, lo, n, density) of fault lengths in equal bins; the density integrates to 1."""
     placed = faults.groupBy(F.floor(F.col("hours") / F.lit(width_hours)).alias("bin")).agg(F.count(F.lit(1)).alias("n"))
-    total = placed.agg(F.sum("n").alias("total"))
-    return placed.join(F.broadcast(total)).select("bin", (F.col("bin") * F.lit(width_hours)).alias("lo"), "n", (F.col("n") / F.col("total") / F.lit(width_hours)).alias("density"))
+    total = placed.agg(F.sum("n").alias("total")).scalar()
+    return placed.select("bin", (F.col("bin") * F.lit(width_hours)).alias("lo"), "n", (F.col("n") / total / F.lit(width_hours)).alias("density"))
 
 
 def typed_rate_lift(counted: DataFrame) -> DataFrame:
@@ -162,7 +164,7 @@ def typed_rate_lift(counted: DataFrame) -> DataFrame:
 
     counted has fault_type, hours, k_maintenance and k_service per record.
     """
-    base = counted.agg(ratio(F.sum("k_maintenance"), F.sum("hours")).alias("m_rate"), ratio(F.sum("k_service"), F.sum("hours")).alias("s_rate"))
+    rates = [counted.agg(ratio(F.sum(k), F.sum("hours")).alias("rate")).scalar() for k in ("k_maintenance", "k_service")]
     by = counted.where("fault_type is not null").groupBy("fault_type").agg(F.sum("hours").alias("hours"), F.sum("k_maintenance").alias("km"), F.sum("k_service").alias("ks"))
-    lift = F.when(F.col("fault_type") == "maintenance", F.try_divide(ratio(F.col("km"), F.col("hours")), F.col("m_rate"))).otherwise(F.try_divide(ratio(F.col("ks"), F.col("hours")), F.col("s_rate")))
-    return by.join(F.broadcast(base)).select("fault_type", "hours", "km", "ks", lift.alias("lift"))
+    lift = F.when(F.col("fault_type") == "maintenance", F.try_divide(ratio(F.col("km"), F.col("hours")), rates[0])).otherwise(F.try_divide(ratio(F.col("ks"), F.col("hours")), rates[1]))
+    return by.select("fault_type", "hours", "km", "ks", lift.alias("lift"))

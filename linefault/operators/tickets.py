@@ -31,8 +31,8 @@ def select_network_tickets(tickets: DataFrame, actions: Sequence[str] = NETWORK_
 def action_shares(tickets: DataFrame) -> DataFrame:
     """(action, n, share): how tickets were resolved."""
     counted = tickets.groupBy("action").agg(F.count(F.lit(1)).alias("n"))
-    total = counted.agg(F.sum("n").alias("total"))
-    return counted.join(F.broadcast(total)).select("action", "n", ratio(F.col("n"), F.col("total")).alias("share"))
+    total = counted.agg(F.sum("n").alias("total")).scalar()
+    return counted.select("action", "n", ratio(F.col("n"), total).alias("share"))
 
 
 def reporting_share(affected: DataFrame, tickets: DataFrame) -> DataFrame:

@@ -141,6 +141,6 @@ def choose_feature_count(scores: DataFrame, telemetry: DataFrame, tickets: DataF
         model = DetectorModel(spark.createDataFrame(rows[:n], ranked.schema), points_per_day)
         verdicts = model.transform(counted)
         faults = fault_events(mark_windows(verdicts, x, y), period_end, y)
-        row = fault_scores(faults, tickets, verdicts).select("faults", "accuracy", "coverage", "ntr").join(trr(verdicts, F.col("abnormal")).select("trr")).select(F.lit(n).alias("n"), "*")
+        row = fault_scores(faults, tickets, verdicts).select(F.lit(n).alias("n"), trr(verdicts, F.col("abnormal")).select("trr").scalar().alias("trr"), "faults", "accuracy", "coverage", "ntr")
         out = row if out is None else out.unionByName(row)
     return out
