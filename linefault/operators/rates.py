@@ -88,7 +88,7 @@ def rate_curve(counted: DataFrame, metric: str, bins: int | None = None) -> Data
     else:
         marks = [i / bins for i in range(1, bins)]
         edges = rows.agg(F.array_distinct(F.percentile_approx(metric, F.lit(marks), 10_000)).alias("edges")).scalar()
-        placed = rows.withColumn("bin", F.size(F.filter(edges, lambda e: e <= F.col(metric))) + 1)
+        placed = rows.withColumn("edges", edges).withColumn("bin", F.size(F.filter("edges", lambda e: e <= F.col(metric))) + 1)
         cut = placed.groupBy("bin").agg(F.min(metric).alias("lo"), F.max(metric).alias("hi"), F.sum("tickets").alias("tickets"), F.sum("hours").alias("hours"))
     base = rows.agg(ratio(F.sum("tickets"), F.sum("hours")).alias("base")).scalar()
     rated = cut.withColumn("rate", ratio(F.col("tickets"), F.col("hours")))
