@@ -80,10 +80,10 @@ def _sized(docs: DataFrame, id_col: str, text_col: str, source_col: str) -> tupl
 
 
 def mix_report(docs: DataFrame, weights: tuple = CYCLE, most: int = MOST, seed: int = SEED) -> DataFrame:
-    """One row per document: doc_id, size, source_size, target, taken."""
+    """One row per document: doc_id, size, source_size, target (to a millionth of a word), taken."""
     sized, slices = _sized(docs, "doc_id", "text", "source")
     taken = systematic_copies(sized, source_targets(sized, weights, most), seed, slices)
-    return taken.select("doc_id", "size", "source_size", "target", (F.col("copies") * F.col("size")).alias("taken"))
+    return taken.select("doc_id", "size", "source_size", F.round("target", 6).alias("target"), (F.col("copies") * F.col("size")).alias("taken"))
 
 
 def mix_sources(docs: DataFrame, weights: tuple = CYCLE, most: int = MOST, seed: int = SEED) -> DataFrame:
@@ -123,5 +123,5 @@ placed AS (
          ('0x' || substr(md5(coalesce('s:' || s.source, 'null') || '/{SEED}'), 1, 8))::BIGINT / 4294967296.0::DOUBLE AS u,
          CASE WHEN t.source_size = 0 THEN 0 ELSE t.target / t.source_size END AS c
   FROM sized s JOIN target t ON s.source IS NOT DISTINCT FROM t.source)
-SELECT doc_id, size, source_size, target, (size * (floor(k * c + u) - floor((k - 1) * c + u)))::BIGINT AS taken FROM placed
+SELECT doc_id, size, source_size, round(target, 6) AS target, (size * (floor(k * c + u) - floor((k - 1) * c + u)))::BIGINT AS taken FROM placed
 """
