@@ -61,8 +61,13 @@ def systematic_copies(sized: DataFrame, targets: DataFrame, seed: int = SEED, sl
     """Add source_size, target and copies to rows of (doc_id, source, size, ...)."""
     ranked = sized.withColumn("slice", F.coalesce(F.pmod(F.col("doc_id"), F.lit(slices)), F.lit(0)).cast("int"))
     key = ["source", "size", "slice"]
-    before = Window.partitionBy("source").orderBy("size", "slice").rowsBetween(Window.unboundedPreceding, -1)
-    starts = ranked.groupBy(*key).agg(F.count(F.lit(1)).alias("n")).withColumn("start", F.coalesce(F.sum("n").over(before), F.lit(0))).drop("n")
+    # Two steps, so that the rows of a source's own window are its distinct sizes and nothing else.
+    counts = ranked.groupBy(*key).agg(F.count(F.lit(1)).alias("n"))
+    shorter = Window.partitionBy("source").orderBy("size").rowsBetween(Window.unboundedPreceding, -1)
+    earlier = Window.partitionBy("source", "size").orderBy("slice").rowsBetween(Window.unboundedPreceding, -1)
+    sizes = counts.groupBy("source", "size").agg(F.sum("n").alias("n")).select(F.col("source").alias("z_source"), F.col("size").alias("z_size"), F.coalesce(F.sum("n").over(shorter), F.lit(0)).alias("below"))
+    inside = counts.withColumn("ahead", F.coalesce(F.sum("n").over(earlier), F.lit(0)))
+    starts = inside.join(sizes, F.col("source").eqNullSafe(F.col("z_source")) & (F.col("size") == F.col("z_size"))).select(*key, (F.col("below") + F.col("ahead")).alias("start"))
     inner = Window.partitionBy(*key).orderBy("doc_id")
     right = targets.select(F.col("source").alias("t_source"), "source_size", "target")
     placed = starts.join(F.broadcast(right), F.col("source").eqNullSafe(F.col("t_source"))).select(F.col("source").alias("s_source"), F.col("size").alias("s_size"), F.col("slice").alias("s_slice"), "start", "source_size", "target")
