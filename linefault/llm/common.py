@@ -86,6 +86,11 @@ def fresh(name: str, taken: list[str]) -> str:
     return name
 
 
+def columns_of(df: DataFrame) -> list[Column]:
+    """All columns of df by quoted name, so that names with dots work as well."""
+    return [F.col(f"`{c}`") for c in df.columns]
+
+
 def power_of_two(n: float, least: int, most: int) -> int:
     size = least
     while size < n and size < most:

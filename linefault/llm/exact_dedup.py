@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import ascii_lower, fresh, join_by_weight, power_of_two, staged, table
+from .common import ascii_lower, columns_of, fresh, join_by_weight, power_of_two, staged, table
 
 #: The broadcast filter has at most this many bits (2**21 words), whatever the input: beyond about
 #: 10 million rows more rows pass as possible repeats, and the exact stage still decides them.
@@ -75,8 +75,8 @@ def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     keyed = docs.withColumn(digest, text_digest(F.col(text_col)))
     filled, words = repeat_filter(staged(keyed.select(F.col(digest).alias("digest")), "digests"), max_bits=max_bits)
     marked = _marked(keyed, digest, filled, words, flag)
-    best = marked.where(F.col(flag)).groupBy(digest).agg(F.max_by(F.struct(*[F.col(f"`{c}`") for c in docs.columns]), F.struct(F.col(id_col), F.col(text_col))).alias(row))
-    return marked.where(~F.col(flag)).select(docs.columns).unionByName(best.select(f"{row}.*"))
+    best = marked.where(F.col(flag)).groupBy(digest).agg(F.max_by(F.struct(*columns_of(docs)), F.struct(F.col(id_col), F.col(text_col))).alias(row))
+    return marked.where(~F.col(flag)).select(*columns_of(docs)).unionByName(best.select(f"{row}.*"))
 
 
 def op10_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -19,7 +19,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import fresh, staged, table
+from .common import columns_of, fresh, staged, table
 
 WORDS = r"[^\x20\x09-\x0D]+"
 CYCLE = (1, 2, 3)
@@ -104,7 +104,7 @@ def mix_sources(docs: DataFrame, weights: tuple = CYCLE, most: int = MOST, seed:
     slim = drawn.groupBy("doc_id").agg(F.sum("copies").alias("c"), F.count(F.lit(1)).alias("n")).select(F.col("doc_id").alias(key), F.col("c").alias(times), F.col("n").alias(rows))
     joined = docs.join(slim, F.col("doc_id").eqNullSafe(F.col(key)))
     share = F.when(F.col(rows) == 1, F.col(times)).otherwise(F.ceil(F.col(times) / F.col(rows)))
-    return joined.where(F.col(times) > 0).withColumn(each, F.explode(F.array_repeat(F.lit(1), share.cast("int")))).select(docs.columns)
+    return joined.where(F.col(times) > 0).withColumn(each, F.explode(F.array_repeat(F.lit(1), share.cast("int")))).select(*columns_of(docs))
 
 
 def op8_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:

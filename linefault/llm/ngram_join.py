@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import fresh, power_of_two, small_batches, staged, table
+from .common import columns_of, fresh, power_of_two, small_batches, staged, table
 from .graph import connected_components
 
 N, SIMILARITY, RECALL, MOST_HASHES = 5, 0.8, 0.9999, 128
@@ -284,8 +284,8 @@ def drop_near_duplicates(docs: DataFrame, n: int = N, similarity: float = SIMILA
     # Only the ids of the rows that go are joined with the texts.
     kept = heads.select(F.col("node").alias(key), F.col("doc_id").alias(head), F.col("size").alias(size))
     joined = docs.withColumn(key, F.unhex(F.md5(F.coalesce(F.col("text").cast("binary"), F.lit(b""))))).join(kept, key).where(F.col("doc_id").eqNullSafe(F.col(head)))
-    single = joined.where(F.col(size) == 1).select(docs.columns)
-    several = joined.where(F.col(size) > 1).groupBy(key).agg(F.first(F.struct(*[F.col(f"`{c}`") for c in docs.columns])).alias("row")).select("row.*")
+    single = joined.where(F.col(size) == 1).select(*columns_of(docs))
+    several = joined.where(F.col(size) > 1).groupBy(key).agg(F.first(F.struct(*columns_of(docs))).alias("row")).select("row.*")
     return single.unionByName(several)
 
 

@@ -22,7 +22,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import staged, table
+from .common import columns_of, fresh, staged, table
 
 #: Fixed order of the kinds.
 KINDS = ("email", "ip", "card", "phone")
@@ -207,7 +207,7 @@ def sanitise(docs: DataFrame, support: int = SUPPORT, disclosure: float = DISCLO
     Rows are matched by text, so doc_id may repeat or be null.
     """
     spans = find_personal_data(docs.select(F.sha2(_text(docs, "text"), 256).alias("doc_id"), "text").dropDuplicates(["doc_id"]), support, disclosure)
-    key, found = "sanitise_key", "sanitise_spans"
+    key, found = fresh("sanitise_key", docs.columns), fresh("sanitise_spans", docs.columns)
     joined = docs.withColumn(key, F.sha2(_text(docs, "text"), 256)).join(spans.where(F.size("all_spans") > 0).select(F.col("doc_id").alias(key), F.array_sort("all_spans").alias(found)), key, "left")
 
     def step(acc, x):
@@ -215,7 +215,7 @@ def sanitise(docs: DataFrame, support: int = SUPPORT, disclosure: float = DISCLO
         return F.when(x["start"] >= acc["at"], F.struct(x["end"].alias("at"), masked.alias("out"))).otherwise(F.struct(F.greatest(acc["at"], x["end"]).alias("at"), acc["out"].alias("out")))
 
     clean = F.aggregate(F.col(found), F.struct(F.lit(0).alias("at"), F.lit("").alias("out")), step, lambda acc: F.concat(acc["out"], F.substr(F.col("text"), acc["at"] + 1, F.length("text"))))
-    return joined.withColumn("text", F.when(F.col(found).isNull(), F.col("text")).otherwise(clean)).select(docs.columns)
+    return joined.withColumn("text", F.when(F.col(found).isNull(), F.col("text")).otherwise(clean)).select(*columns_of(docs))
 
 
 def op3_pii(spark: SparkSession, sf_dir: str) -> DataFrame:

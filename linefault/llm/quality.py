@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import fresh, small_batches, staged, table
+from .common import columns_of, fresh, small_batches, staged, table
 
 FOLDS, HELD_OUT = 3, 1
 SHRINKAGE, RIDGE = 0.3, 1e-2
@@ -163,7 +163,7 @@ def keep_quality(docs: DataFrame, labels: DataFrame, least: float = 0.5) -> Data
     model = fit_discriminant(training_rows(learn, labels))
     stats, score = fresh("stats", docs.columns), fresh("score", docs.columns)
     scored = add_score(add_statistics(docs, "text", stats), model, stats, score)
-    return scored.where(F.col(score) >= least).select(docs.columns)
+    return scored.where(F.col(score) >= least).select(*columns_of(docs))
 
 
 def op6_quality(spark: SparkSession, sf_dir: str) -> DataFrame:

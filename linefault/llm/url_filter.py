@@ -78,7 +78,7 @@ def may_contain(blocks: np.ndarray, hashes: np.ndarray) -> np.ndarray:
 
 
 def filter_urls(pages: DataFrame, rules: DataFrame, listed: DataFrame, url_col: str = "url") -> DataFrame:
-    """pages with host, path, rule and verdict.
+    """pages with host, path, rule and verdict (with an underscore before each name that pages has already).
 
     rules has (host, path, verdict); listed has (url), canonical and without scheme, as `host/path`.
     """
@@ -87,7 +87,7 @@ def filter_urls(pages: DataFrame, rules: DataFrame, listed: DataFrame, url_col:
     shapes = entries.select(F.size(F.split("host", r"\.")).alias("labels"), F.length("path").alias("chars")).distinct().collect()  # label counts and path lengths, not entries
     blocks = pages.sparkSession.sparkContext.broadcast(bloom_blocks(entries))
 
-    host, path, keys, possible, row, key = (fresh(x, pages.columns) for x in ("host", "path", "url_keys", "url_possible", "url_row", "url_key"))
+    host, path, keys, possible, row, key, rule, verdict = (fresh(x, pages.columns) for x in ("host", "path", "url_keys", "url_possible", "url_row", "url_key", "rule", "verdict"))
     h, p = host_and_path(F.col(url_col))
     labels = F.split(F.col(host), r"\.")
     asked = [F.when((F.size(labels) >= s.labels) & (F.length(path) >= s.chars) & (F.col(host) != ""), F.concat_ws("\n", F.substring_index(F.col(host), ".", -s.labels), F.substring(F.col(path), 1, s.chars))) for s in shapes]
@@ -109,8 +109,8 @@ def filter_urls(pages: DataFrame, rules: DataFrame, listed: DataFrame, url_col:
     exact = entries.groupBy("key", "is_rule").agg(F.max_by(F.struct("host", "path", "verdict"), F.col("verdict")).alias("entry"))
     rank = F.struct("is_rule", F.length(F.concat("entry.host", "entry.path")).alias("n"), F.length("entry.host").alias("m"), F.concat("entry.host", "entry.path").alias("rule"), F.col("entry.verdict").alias("verdict"))
     found = asked_rows.join(exact, asked_rows[key] == exact["key"], "left").groupBy(row).agg(F.first("page").alias("page"), F.max(F.when(F.col("entry").isNotNull(), rank)).alias("top"))
-    judged = found.select("page.*", F.when(F.col("top.is_rule") == 1, F.col("top.rule")).alias("rule"), F.coalesce("top.verdict", F.lit("allow")).alias("verdict"))
-    passed = tested.where(F.size(keys) == 0).select(*own, F.lit(None).cast("string").alias("rule"), F.lit("allow").alias("verdict"))
+    judged = found.select("page.*", F.when(F.col("top.is_rule") == 1, F.col("top.rule")).alias(rule), F.coalesce("top.verdict", F.lit("allow")).alias(verdict))
+    passed = tested.where(F.size(keys) == 0).select(*own, F.lit(None).cast("string").alias(rule), F.lit("allow").alias(verdict))
     return judged.unionByName(passed)
 
 

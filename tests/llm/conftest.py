@@ -6,7 +6,7 @@ def docs_of(spark):
     """A documents table with a clashing extra column."""
 
     def make(rows):
-        return spark.createDataFrame([(i, t, "en", s, None if t is None else len(t), "x") for i, t, s in rows], "doc_id long, text string, lang string, source string, n_chars long, digest string")
+        return spark.createDataFrame([(i, t, "en", s, None if t is None else len(t), "x", 1) for i, t, s in rows], "doc_id long, text string, lang string, source string, n_chars long, digest string, `size.x` int")
 
     return make
 
