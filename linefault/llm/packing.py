@@ -34,7 +34,7 @@ TOKENIZER = "word_bpe_49k.json"
 THIRDS = 24
 SWEEPS = 60
 #: Words that a worker remembers before it starts anew.
-CACHE = 250_000
+CACHE = 600_000
 #: Texts encoded at once.
 BATCH = 256
 ROWS_PER_SLICE = 1_000_000
