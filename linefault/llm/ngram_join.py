@@ -9,6 +9,9 @@ blocks, on one-permutation sketches: a pair goes on to its full sets unless its
 deviations below the similarity, and only in the first band it shares. Pairs whose n-gram counts differ by more than the
 similarity allows are left out, which is exact.
 
+The number of links of a document needs every pair of its component, not only those that connect it: the nodes of each
+component are compared all with all on their full n-gram sets, in pairs of tiles, and only the sums leave a block.
+
 Words are runs of non-blank bytes ([^\\x20\\x09-\\x0D]+), as they are. A text of fewer than n words has its whole
 word sequence as its only n-gram; a text without words has none and is linked to equal texts only.
 
@@ -39,6 +42,8 @@ SKETCH = 2**SKETCH_BITS
 TILE = 4096
 #: Bucket rows that one group of blocks holds on average.
 GROUP_ROWS = 2000
+#: Nodes and n-grams that one tile of a component holds on average, when its links are counted.
+LINK_TILE, LINK_GRAMS = 1024, 2**18
 #: n-grams hashed at once, so that very long texts need bounded memory.
 CHUNK = 4096
 #: Bits of the filter that spares texts of no pair the shuffle; fixed, so the broadcast is bounded.
@@ -154,17 +159,22 @@ def signatures(docs: DataFrame, n: int, bands: int, rows: int, text_col: str = "
     return rows_.mapInArrow(run, "doc_id long, node binary, grams long, hashes array<long>, sketch binary")
 
 
-def _near(pairs: DataFrame, texts: DataFrame, n: int, similarity: float) -> DataFrame:
-    """The pairs (a, b) whose full n-gram sets reach the similarity. Texts of no pair are left out map-side
-    by a filter of fixed size, then by the join."""
-    ends = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct()
+def _own_texts(ends: DataFrame, texts: DataFrame) -> DataFrame:
+    """(node, text) of the distinct nodes of `ends`. Other texts are left out map-side by a filter of fixed size,
+    then by the join."""
     words = power_of_two(ends.count() * 16, 2**12, FILTER_BITS) // 64
     place = lambda h: (F.pmod(h, F.lit(words)), F.call_function("shiftleft", F.lit(1).cast("long"), F.shiftrightunsigned(h, 58).cast("int")))
     word, bit = place(F.xxhash64("node"))
     bloom = ends.select(word.alias("word"), bit.alias("bit")).groupBy("word").agg(F.bit_or("bit").alias("bits"))
     some = texts.join(F.broadcast(bloom), word == F.col("word")).where(F.col("bits").bitwiseAND(bit) != 0).select("node", "text")
     # ends are distinct; a semi join would be pushed below the filter.
-    own = some.join(ends, "node").groupBy("node").agg(F.first("text").alias("text"))
+    return some.join(ends, "node").groupBy("node").agg(F.first("text").alias("text"))
+
+
+def _near(pairs: DataFrame, texts: DataFrame, n: int, similarity: float) -> DataFrame:
+    """The pairs (a, b) whose full n-gram sets reach the similarity."""
+    ends = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct()
+    own = _own_texts(ends, texts)
     one = own.select(F.col("node").alias("a"), F.col("text").alias("text_a"))
     two = own.select(F.col("node").alias("b"), F.col("text").alias("text_b"))
 
@@ -253,19 +263,91 @@ def similar_links(signed: DataFrame, texts: DataFrame, n: int = N, similarity: f
     return links, staged(connected_components(links), "roots")
 
 
+def _linked(sets: list[set], copies: np.ndarray, one: np.ndarray, two: np.ndarray, similarity: float) -> np.ndarray:
+    """For each set, the copies of those it is linked to among the pairs of one x two; if both are the same
+    rows, each is compared with all but itself."""
+    ids: dict = {}
+    flat = [np.fromiter((ids.setdefault(g, len(ids)) for g in s), np.int64, len(s)) for s in sets]
+    size = np.array([len(f) for f in flat])
+    row, gram = np.repeat(np.arange(len(sets)), size), np.concatenate(flat)
+    # n-grams that many sets share are met by a matrix product, the others by lists of their holders.
+    often = np.bincount(gram, minlength=len(ids)) * 16 >= max(len(sets), 64)
+    column = np.cumsum(often) - 1
+    dense = np.zeros((len(sets), int(often.sum())), np.float32)
+    dense[row[often[gram]], column[gram[often[gram]]]] = 1
+    row, gram = row[~often[gram]], gram[~often[gram]]
+    begin = np.searchsorted(row, np.arange(len(sets) + 1))
+    place = np.full(len(sets), -1)
+    place[two] = np.arange(len(two))
+    mine = place[row] >= 0
+    order = np.argsort(gram[mine], kind="stable")
+    holder, first = place[row[mine]][order], np.concatenate([[0], np.cumsum(np.bincount(gram[mine], minlength=len(ids)))])
+    across, out, same = dense[two].T, np.zeros(len(sets)), np.array_equal(one, two)
+    step = max(1, 2**18 // max(1, len(two)))
+    for at in range(0, len(one), step):
+        i = one[at : at + step]
+        both = (dense[i] @ across).astype(np.int64)
+        g = np.concatenate([gram[begin[x] : begin[x + 1]] for x in i])
+        times = first[g + 1] - first[g]
+        cell = np.repeat(np.repeat(np.arange(len(i)), begin[i + 1] - begin[i]) * len(two), times)
+        cell += holder[np.arange(len(cell)) + np.repeat(first[g] - np.cumsum(times) + times, times)]
+        both += np.bincount(cell, minlength=both.size).reshape(both.shape)
+        like = both / (size[i][:, None] + size[two][None, :] - both) >= similarity
+        if same:
+            like &= i[:, None] != two[None, :]
+        out[i] += like @ copies[two].astype(float)
+        if not same:
+            out[two] += copies[i].astype(float) @ like
+    return out.astype(np.int64)
+
+
+def linked_copies(placed: DataFrame, texts: DataFrame, n: int = N, similarity: float = SIMILARITY) -> DataFrame:
+    """(node, linked): the documents of all other nodes whose full n-gram sets reach the similarity, over all pairs
+    of each component. placed: (node, root, grams, copies) of the nodes that have a component.
+
+    A component is cut into tiles of bounded size that meet in pairs, so that a large one is dealt to many tasks.
+    """
+    sizes = placed.groupBy("root").agg(F.ceil(F.greatest(F.count(F.lit(1)) / LINK_TILE, F.sum("grams") / LINK_GRAMS)).cast("int").alias("tiles"))
+    tiled = placed.join(sizes, "root").withColumn("tile", F.pmod(F.xxhash64("node"), "tiles").cast("int")).join(_own_texts(placed.select("node"), texts), "node")
+    met = tiled.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1))).select("root", F.least("tile", "other").alias("low"), F.greatest("tile", "other").alias("high"), "tile", "node", "copies", "text")
+
+    def run(batches):
+        key, held = None, []
+
+        def counted():
+            tile, copies = np.array([r["tile"] for r in held]), np.array([r["copies"] for r in held], np.int64)
+            one, two = np.flatnonzero(tile == key[1]), np.flatnonzero(tile == key[2])
+            found = _linked([ngram_set(r["text"], n) for r in held], copies, one, two, similarity) if len(one) and len(two) else np.zeros(len(held), np.int64)
+            return pa.RecordBatch.from_arrays([pa.array([r["node"] for r in held], pa.binary()), pa.array(found, pa.int64())], ["node", "linked"])
+
+        for batch in batches:
+            for r in batch.to_pylist():
+                mine = r["root"], r["low"], r["high"]
+                if mine != key:
+                    if held:
+                        yield counted()
+                    key, held = mine, []
+                held.append(r)
+        if held:
+            yield counted()
+
+    parts = met.repartition("root", "low", "high").sortWithinPartitions("root", "low", "high").mapInArrow(run, "node binary, linked long")
+    return parts.groupBy("node").agg(F.sum("linked").alias("linked"))
+
+
 def near_duplicates(docs: DataFrame, n: int = N, similarity: float = SIMILARITY, recall: float = RECALL, most_hashes: int = MOST_HASHES, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: doc_id, class_id (least doc_id of its class), class_size, n_links and keep.
 
-    n_links counts the other documents it is directly linked to: its copies, and all copies of the texts
-    it was compared with and found similar to. keep marks one document of each class.
+    n_links counts the other documents it is directly linked to: its copies, and all copies of the texts of its class
+    that are similar to its own. keep marks one document of each class.
     """
     bands, rows = choose_bands(similarity, recall, most_hashes)
     signed = staged(signatures(docs, n, bands, rows, text_col, id_col).withColumn("row_no", F.monotonically_increasing_id()), "signatures")
-    links, roots = similar_links(signed.where("grams > 0"), _texts(docs, text_col), n, similarity)
-    nodes = signed.groupBy("node").agg(F.count(F.lit(1)).alias("copies"), F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "row_no")).alias("first"))
-    nodes = staged(nodes.join(roots, "node", "left").select("node", "copies", "first", F.coalesce("root", "node").alias("root")), "nodes")
-    both = links.select("a", "b").unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b")))
-    linked = both.join(nodes.select(F.col("node").alias("b"), "copies"), "b").groupBy(F.col("a").alias("node")).agg(F.sum("copies").alias("linked"))
+    texts = _texts(docs, text_col)
+    _, roots = similar_links(signed.where("grams > 0"), texts, n, similarity)
+    nodes = signed.groupBy("node").agg(F.first("grams").alias("grams"), F.count(F.lit(1)).alias("copies"), F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "row_no")).alias("first"))
+    nodes = staged(nodes.join(roots, "node", "left").select("node", "grams", "copies", "first", F.coalesce("root", "node").alias("root")), "nodes")
+    linked = staged(linked_copies(nodes.join(roots.select("node"), "node").select("node", "root", "grams", "copies"), texts, n, similarity), "linked")
     classes = nodes.groupBy("root").agg(F.min("first").alias("head"), F.sum("copies").alias("class_size"))
     judged = nodes.join(classes, "root").join(linked, "node", "left").select("node", "head", "class_size", (F.coalesce("linked", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
     return signed.join(judged, "node").select("doc_id", F.col("head.doc_id").alias("class_id"), "class_size", "n_links", (F.col("row_no") == F.col("head.row_no")).alias("keep"))

@@ -117,6 +117,26 @@ def test_tiles_find_the_same(spark, monkeypatch):
     assert same_partition([got[i] for i, _ in rows], near_brute(rows))
 
 
+@pytest.mark.parametrize("tile", [1024, 7])
+def test_links_against_all_pairs(spark, monkeypatch, tile):
+    monkeypatch.setattr(G, "LINK_TILE", tile)
+    rng = np.random.default_rng(2)
+    words = [f"w{i}" for i in range(400)]
+    texts = ["a b c d e f g", "a  b c d e f g", "a\tb c d e f g", "", None]
+    for copies in (3, 90):
+        base = rng.choice(words, 90).tolist()
+        for _ in range(copies):
+            copy = list(base)
+            for at in rng.choice(90, rng.integers(0, 4), replace=False):
+                copy[at] = str(rng.choice(words))
+            texts.append(" ".join(copy))
+    rows = list(enumerate(texts + texts[:2] + texts[-3:]))
+    sets = [G.ngram_set((t or "").encode()) for _, t in rows]
+    want = {i: sum(j != i and ((t or "") == (u or "") or G.jaccard(sets[i], sets[j]) >= 0.8) for j, u in rows) for i, t in rows}
+    got = {r.doc_id: r.n_links for r in G.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == want
+
+
 def test_near_odd(docs_of, odd):
     df = docs_of(odd)
     assert G.near_duplicates(df).count() == len(odd)
