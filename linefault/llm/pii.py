@@ -36,7 +36,7 @@ PATTERNS = {
 }
 #: Cheap tests that every match needs.
 HINTS = {"email": "@", "ip": r"[0-9]\.[0-9]++\.[0-9]", "card": r"[0-9](?:[ -]?[0-9]){13}", "phone": r"\+[0-9]"}
-OCTET = "0*+(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[1-9]?[0-9])"
+OCTET = "0*(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[1-9]?[0-9])"
 #: Terms are runs of letters this long at least.
 TERM = r"\p{L}{4,}+"
 SUPPORT = 5

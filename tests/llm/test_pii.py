@@ -47,6 +47,14 @@ def test_cases(spark):
     same(spark.createDataFrame(list(enumerate(CASES)), "doc_id long, text string"), dict(enumerate(CASES)))
 
 
+def test_ip_parts_of_zero(spark):
+    texts = dict(enumerate(["10.0.0.1", "at 0.0.0.0, 192.168.0.12", "000.1.1.1 00.0.000.0255", "0256.0.0.1 1.0.0.256"]))
+    df = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    same(df, texts)
+    assert {r.doc_id: r.n_ip for r in pii.find_personal_data(df).collect()} == {0: 1, 1: 2, 2: 2, 3: 0}
+    assert {r.doc_id: r.text for r in pii.sanitise(df).collect()}[1] == "at [IP], [IP]"
+
+
 def test_whole_table(spark, sf):
     df = spark.read.parquet(f"{sf}/documents.parquet")
     same(df, {r.doc_id: r.text for r in df.collect()})
