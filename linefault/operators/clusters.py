@@ -19,8 +19,10 @@ from .features import resample_hold
 
 LINKAGES = ("average", "single", "complete")
 SIMILARITIES = ("pearson", "cosine", "distance")
-#: Beyond so many devices a node is cut into blocks by its devices' strongest coordinate.
+#: Beyond so many devices a node's similarities are computed in blocks of rows; results don't depend on it.
 MOST_IN_GROUP = 4000
+#: Similarities that one block of rows holds.
+BLOCK_CELLS = 2**22
 
 
 def similarity_matrix(vectors: np.ndarray, kind: str = "pearson") -> np.ndarray:
@@ -38,13 +40,79 @@ def similarity_matrix(vectors: np.ndarray, kind: str = "pearson") -> np.ndarray:
     return out
 
 
-def merge_tree(similar: np.ndarray, linkage: str = "average", floor: float = -np.inf) -> list[tuple[int, int, float]]:
+def similarity_rows(vectors: np.ndarray, kind: str = "pearson"):
+    """A function from row numbers to these rows of the similarity matrix, which is never held as a whole."""
+    x = np.asarray(vectors, float)
+    if kind == "distance":
+        squares = (x * x).sum(axis=1)
+        return lambda i: 1.0 / (1.0 + np.sqrt(np.maximum(squares[i][:, None] + squares[None, :] - 2 * x[i] @ x.T, 0.0)))
+    if kind == "pearson":
+        x = x - x.mean(axis=1, keepdims=True)
+    norm = np.sqrt((x * x).sum(axis=1))
+    unit = np.where(norm[:, None] > 1e-12, x / np.where(norm > 1e-12, norm, 1.0)[:, None], 0.0)
+
+    def rows(i: np.ndarray) -> np.ndarray:
+        out = unit[i] @ unit.T
+        out[np.arange(len(i)), i] = 1.0
+        return out
+
+    return rows
+
+
+def reach(rows, n: int, cut: float, core: np.ndarray) -> np.ndarray:
+    """For each item the first core from which it is reached over cores at the cut, or -1; each row is computed once."""
+    label, step = np.full(n, -1), max(1, BLOCK_CELLS // max(1, n))
+    for i in range(n):
+        if core[i] and label[i] < 0:
+            label[i] = i
+            todo = np.array([i])
+            while len(todo):
+                now, todo = todo[:step], todo[step:]
+                new = np.flatnonzero((rows(now) >= cut).any(axis=0) & (label < 0))
+                label[new] = i
+                todo = np.concatenate([todo, new[core[new]]])
+    return label
+
+
+def labels_by_rows(vectors: np.ndarray, kind: str, method: str, cuts: Sequence[float], min_points: int, noise: str):
+    """The labels at each cut, as from the whole matrix, for nodes of many devices.
+
+    Single linkage and density clusters need one block of rows at a time. In average and complete linkage two clusters
+    that merge at or above the lowest cut hold a pair at or above it, so no cluster leaves a component of these pairs, and
+    each component is merged alone on its own whole matrix.
+    """
+    n = len(vectors)
+    rows, every = similarity_rows(vectors, kind), np.ones(n, bool)
+    if method in ("single", "density"):
+        step = max(1, BLOCK_CELLS // max(1, n))
+        for cut in cuts:
+            core = every
+            if method == "density":
+                core = np.concatenate([(rows(np.arange(at, min(at + step, n))) >= cut).sum(axis=1) for at in range(0, n, step)]) >= min_points
+            label = reach(rows, n, cut, core)
+            lone = np.flatnonzero(label < 0)
+            label[lone] = lone if noise == "single" or not len(lone) else lone[0]
+            yield label
+        return
+    part = reach(rows, n, min(cuts), every)
+    order = np.argsort(part, kind="stable")
+    trees = []
+    for item in np.split(order, np.flatnonzero(np.diff(part[order])) + 1):
+        trees.append((item, merge_tree(similarity_matrix(vectors[item], kind), method, min(cuts), True) if len(item) > 1 else []))
+    for cut in cuts:
+        label = np.arange(n)
+        for item, merges in trees:
+            label[item] = item[cut_tree(len(item), merges, cut)]
+        yield label
+
+
+def merge_tree(similar: np.ndarray, linkage: str = "average", floor: float = -np.inf, own: bool = False) -> list[tuple[int, int, float]]:
     """Merges (kept, absorbed, similarity) in order, until no two clusters reach the floor.
 
-    Of equally similar pairs the one with the smallest members goes first.
+    Of equally similar pairs the one with the smallest members goes first. With `own` the matrix is used up, not copied.
     """
     n = len(similar)
-    s = similar.astype(float).copy()
+    s = similar if own else similar.astype(float).copy()
     np.fill_diagonal(s, -np.inf)
     size, alive = np.ones(n), np.ones(n, bool)
     best = s.argmax(axis=1) if n else np.zeros(0, int)
@@ -133,21 +201,11 @@ def pair_similarity(vectors: DataFrame) -> DataFrame:
     return pairs.select("node", "slot", "a", "b", F.coalesce(F.try_divide(dot(F.col("va"), F.col("vb")), norm), F.lit(0.0)).alias("similarity"))
 
 
-def _blocks(part: pd.DataFrame, most: int):
-    """Parts of a group of at most about `most` devices: by strongest coordinate, then by order."""
-    if len(part) <= most:
-        yield part
-        return
-    signature = part["vector"].map(lambda v: int(np.argmax(np.abs(np.asarray(v) - np.mean(v)))))
-    for _, rows in part.groupby(signature):
-        for at in range(0, len(rows), most):
-            yield rows.iloc[at : at + most]
-
-
 def cluster_devices(vectors: DataFrame, cuts: Sequence[float], method: str = "average", similarity: str = "pearson", min_points: int = 4, noise: str = "single", most: int = MOST_IN_GROUP) -> DataFrame:
     """(node, slot, device, cut, cluster_id, size) at every cut; cluster_id is the smallest device of the cluster.
 
-    method: one of LINKAGES, or 'density'. Nodes larger than `most` are clustered in blocks.
+    method: one of LINKAGES, or 'density'. Nodes larger than `most` give the same
+    clusters without their whole matrix, but for components of average and complete linkage.
     """
     if method not in (*LINKAGES, "density") or similarity not in SIMILARITIES:
         raise ValueError("unknown method or similarity")
@@ -155,14 +213,17 @@ def cluster_devices(vectors: DataFrame, cuts: Sequence[float], method: str = "av
 
     def run(part: pd.DataFrame) -> pd.DataFrame:
         out = []
-        for rows in _blocks(part.sort_values("device"), most):
-            device = rows["device"].to_numpy()
-            s = similarity_matrix(np.stack(rows["vector"].to_list()), similarity)
+        rows = part.sort_values("device")
+        device, x = rows["device"].to_numpy(), np.stack(rows["vector"].to_list())
+        if len(device) > most:
+            labels = labels_by_rows(x, similarity, method, wanted, min_points, noise)
+        else:
+            s = similarity_matrix(x, similarity)
             merges = merge_tree(s, method, min(wanted)) if method != "density" else []
-            for cut in wanted:
-                label = cut_tree(len(device), merges, cut) if method != "density" else density_labels(s, cut, min_points, noise)
-                count = np.bincount(label, minlength=len(device))
-                out.append(pd.DataFrame({"node": rows["node"].to_numpy(), "slot": rows["slot"].to_numpy(), "device": device, "cut": cut, "cluster_id": device[label], "size": count[label]}))
+            labels = (cut_tree(len(device), merges, c) if method != "density" else density_labels(s, c, min_points, noise) for c in wanted)
+        for cut, label in zip(wanted, labels, strict=True):
+            count = np.bincount(label, minlength=len(device))
+            out.append(pd.DataFrame({"node": rows["node"].to_numpy(), "slot": rows["slot"].to_numpy(), "device": device, "cut": cut, "cluster_id": device[label], "size": count[label]}))
         return pd.concat(out) if out else pd.DataFrame(columns=["node", "slot", "device", "cut", "cluster_id", "size"])
 
     return vectors.groupBy("node", "slot").applyInPandas(run, "node int, slot int, device long, cut double, cluster_id long, size long")

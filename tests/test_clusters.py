@@ -33,6 +33,24 @@ def test_linkage_equals_naive(linkage, seed):
         assert K.cut_tree(25, merges, cut).tolist() == naive(s, linkage, cut).tolist()
 
 
+@pytest.mark.parametrize("method", [*K.LINKAGES, "density"])
+def test_large_node_equals_uncut(spark, method, monkeypatch):
+    monkeypatch.setattr(K, "BLOCK_CELLS", 300)
+    rng = np.random.default_rng(3)
+    x = rng.normal(size=(12, 6))[rng.integers(0, 12, 60)] + rng.normal(size=(60, 6)) * 0.3
+    x[7] = 1.0
+    for kind in K.SIMILARITIES:
+        for noise in ("single", "group"):
+            s = K.similarity_matrix(x, kind)
+            cuts = (0.3, 0.6, 0.9)
+            merges = K.merge_tree(s, method, 0.3) if method != "density" else []
+            want = [(K.cut_tree(60, merges, c) if method != "density" else K.density_labels(s, c, 4, noise)).tolist() for c in cuts]
+            assert [v.tolist() for v in K.labels_by_rows(x, kind, method, cuts, 4, noise)] == want
+    rows = spark.createDataFrame([(0, 0, i, [float(v) for v in r]) for i, r in enumerate(x)], "node int, slot int, device long, vector array<double>")
+    found = lambda most: sorted(tuple(r) for r in K.cluster_devices(rows, (0.3, 0.6, 0.9), method, "cosine", most=most).collect())
+    assert found(20) == found(100)
+
+
 def test_density_and_constant_vectors():
     x = np.array([[1, 2, 3.0], [1, 2, 3.1], [3, 2, 1], [5, 5, 5]])
     s = K.similarity_matrix(x)
