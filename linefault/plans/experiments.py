@@ -26,7 +26,7 @@ def compare_methods(telemetry: DataFrame, tickets: DataFrame, period_end: str, t
     every learned baseline tries the same number of settings on the days from valid_days on.
     """
     train_end = telemetry.sparkSession.sql(f"SELECT CAST(TIMESTAMP_NTZ'2024-01-01' + INTERVAL {train_days} DAYS AS STRING) AS t").first()["t"]
-    detector = FaultDetector(("snr", "tx", "rx", "unerrored"), POINTS_PER_DAY, n_features=3, days=(1, 2, 3), tenths=(3, 6, 9), min_tickets=20, min_share=0.005, max_share=0.25)
+    detector = FaultDetector(METRICS, POINTS_PER_DAY, n_features=3, min_tickets=20, min_share=0.005, max_share=0.25)
     first, early = telemetry.where(F.col("day") < train_days), tickets.where(F.col("day") < train_days)
     model = detector.fit(first, early, train_end)
     bands = B.quantile_bands(first, METRICS)

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from functools import cache
+from functools import cache, reduce
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -180,12 +180,9 @@ def t_model(s, d):
     return rows.select("fp", "fn", F.round(C.rate_model(*args), 6).alias("ratio"), C.rate_model_limit(F.lit(1.0), F.lit(4.0)).alias("limit_ratio"), F.round(by_fp, 8).alias("by_fp"), F.round(by_fn, 8).alias("by_fn"))
 
 
-DETECT = ("snr", "tx", "rx", "unerrored")
-
-
 @cache
 def _detector() -> FaultDetector:
-    return FaultDetector(DETECT, A.POINTS_PER_DAY, days=(1, 2, 3), tenths=(3, 6, 9), min_tickets=GUARD, min_share=0.005, max_share=0.25)
+    return FaultDetector(A.METRICS, A.POINTS_PER_DAY, min_tickets=GUARD, min_share=0.005, max_share=0.25)
 
 
 query("t_search_all")(lambda s, d: _detector().scores(tel(s, d), net(s, d), END))
@@ -374,14 +371,21 @@ def k_types(s, d):
 
 
 def _typer() -> FaultTyper:
-    return FaultTyper(("tx",), START, END, min_tickets=5)
+    return FaultTyper(start=START, end=END, min_tickets=5)
 
 
 def ill(s, d) -> DataFrame:
     return tel(s, d).where("maint or serv").select("device").distinct()
 
 
-query("k_trr")(lambda s, d: _typer().scores(tel(s, d), ill(s, d), A.tickets(s, d), "tx"))
+@query("k_trr")
+def k_trr(s, d):
+    """The maintenance rate ratio of every cut, for each of the typer's metrics."""
+    typer = _typer()
+    scores = [typer.scores(tel(s, d), ill(s, d), A.tickets(s, d), m).withColumn("metric", F.lit(m)) for m in typer.metrics]
+    return reduce(DataFrame.unionByName, scores)
+
+
 query("k_cuts")(lambda s, d: K.cut_sensitivity(K.cluster_devices(K.device_vectors(tel(s, d), "tx", START, END, 12, ill(s, d)), CUTS)))
 query("k_combined")(lambda s, d: K.combine_types(typed(s, d, "snr").select("device", "fault_type"), typed(s, d, "tx").select("device", "fault_type")))
 

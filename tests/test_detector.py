@@ -1,5 +1,6 @@
 from pyspark.sql import functions as F
 
+from linefault.functions.naming import feature_grid
 from linefault.plans import registry as Q
 from linefault.plans.detector import FaultDetector, FaultTyper, choose_feature_count
 from linefault.sources import adapters as A
@@ -35,3 +36,9 @@ def test_typer(spark, sf):
     right = typed.join(truth, "device").where((F.col("fault_type") == "maintenance") == F.col("shared")).count()
     assert right / truth.count() > 0.7
     assert typed.count() == truth.count()
+
+
+def test_registered_search_covers_the_whole_grid():
+    detector = Q._detector()
+    assert len(feature_grid(detector.metrics, detector.days, detector.tenths)) == 37 * len(A.METRICS) == 333
+    assert tuple(Q._typer().metrics) == ("snr", "tx")
