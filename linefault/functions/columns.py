@@ -19,6 +19,11 @@ def add_hours(ts: Column | str, hours: Column) -> Column:
     return F.timestamp_add("MICROSECOND", F.round(hours * F.lit(MICROS_PER_HOUR)).cast("long"), ts)
 
 
+def period_of(ts: Column | str, start: str, period_hours: int) -> Column:
+    """Number of the period of period_hours from start that holds ts."""
+    return F.floor(F.timestamp_diff("MICROSECOND", F.lit(start).cast("timestamp_ntz"), ts) / F.lit(period_hours * MICROS_PER_HOUR)).cast("int")
+
+
 def ratio(part: Column, whole: Column) -> Column:
     """part / whole, null where it is undefined."""
     return F.try_divide(part.cast("double"), whole.cast("double"))

@@ -14,7 +14,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.columns import ratio
+from ..functions.columns import period_of, ratio
 from .features import resample_hold
 
 LINKAGES = ("average", "single", "complete")
@@ -178,27 +178,54 @@ def density_labels(similar: np.ndarray, cut: float, min_points: int = 4, noise:
     return label
 
 
-def device_vectors(df: DataFrame, metric: str, start: str, end: str, every_hours: int = 12, devices: DataFrame | None = None) -> DataFrame:
-    """(node, slot, device, vector): the metric held on a regular grid over [start, end), as one vector.
+def anomalous_periods(marks: DataFrame, start: str, period_hours: int) -> DataFrame:
+    """(device, node, slot): the periods in which a device has a marked record."""
+    return marks.where("marked").select("device", "node", period_of("ts", start, period_hours).alias("slot")).distinct()
 
-    Slots before a device's first record take its first value.
+
+def device_vectors(df: DataFrame, metric: str, start: str, end: str, every_hours: int = 12, devices: DataFrame | None = None, period_hours: int | None = None, look_back_hours: int | None = None) -> DataFrame:
+    """(node, slot, device, vector): the metric held on a regular grid, as one vector.
+
+    Without period_hours there is one slot, 0, with the grid over [start, end). With it `devices` has (device, slot), and a
+    slot's vector is the grid of the look_back_hours (the period itself unless given) that end with the period. Grid points
+    before a device's first record take its first value. All vectors of a slot are of one length.
     """
     rows = df if devices is None else df.join(devices.select("device").distinct(), "device", "left_semi")
     grid = resample_hold(rows, metric, start, end, every_hours, keys=("device", "node"))
     along = Window.partitionBy("device", "node").orderBy("slot").rowsBetween(0, Window.unboundedFollowing)
-    full = grid.withColumn("value", F.coalesce("value", F.first("value", ignorenulls=True).over(along), F.lit(0.0)))
-    packed = full.groupBy("node", "device").agg(F.array_sort(F.collect_list(F.struct("slot", "value"))).alias("points"))
-    return packed.select("node", F.lit(0).alias("slot"), "device", F.transform("points", lambda p: p["value"]).alias("vector"))
-
-
-def pair_similarity(vectors: DataFrame) -> DataFrame:
-    """(node, slot, a, b, similarity): cosine of all pairs of a node in SQL; for small nodes and as a check."""
-    dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda p, q: p * q), F.lit(0.0), lambda acc, v: acc + v)
-    a = vectors.select("node", "slot", F.col("device").alias("a"), F.col("vector").alias("va"))
-    b = vectors.select("node", "slot", F.col("device").alias("b"), F.col("vector").alias("vb"))
+    full = grid.select("node", "device", F.col("slot").alias("at"), F.coalesce("value", F.first("value", ignorenulls=True).over(along), F.lit(0.0)).alias("value"))
+    if period_hours is None:
+        placed = full.withColumn("slot", F.lit(0))
+    else:
+        last = period_of("at", start, period_hours)
+        reach = F.lit(max(look_back_hours or period_hours, period_hours) - period_hours)
+        until = period_of(F.col("at") + F.make_dt_interval(hours=reach), start, period_hours)
+        wide = full.withColumn("slot", F.explode(F.sequence(last, until)))
+        placed = wide.join(devices.select("device", "slot").distinct(), ["device", "slot"], "left_semi")
+    packed = placed.groupBy("node", "slot", "device").agg(F.array_sort(F.collect_list(F.struct("at", "value"))).alias("points"))
+    return packed.select("node", "slot", "device", F.transform("points", lambda p: p["value"]).alias("vector"))
+
+
+def pair_similarity(vectors: DataFrame, kind: str = "cosine") -> DataFrame:
+    """(node, slot, a, b, similarity) of all pairs of a node and slot in SQL; for small nodes and as a check."""
+    add = lambda acc, v: acc + v
+    total = lambda x: F.aggregate(x, F.lit(0.0), add)
+    dot = lambda x, y: total(F.zip_with(x, y, lambda p, q: p * q))
+    own = F.col("vector")
+    if kind == "pearson":
+        mean = total(own) / F.size(own)
+        own = F.transform(own, lambda v: v - mean)
+    x = vectors.select("node", "slot", "device", own.alias("v"))
+    a = x.select("node", "slot", F.col("device").alias("a"), F.col("v").alias("va"))
+    b = x.select("node", "slot", F.col("device").alias("b"), F.col("v").alias("vb"))
     pairs = a.join(b, ["node", "slot"]).where("a < b")
-    norm = F.sqrt(dot(F.col("va"), F.col("va"))) * F.sqrt(dot(F.col("vb"), F.col("vb")))
-    return pairs.select("node", "slot", "a", "b", F.coalesce(F.try_divide(dot(F.col("va"), F.col("vb")), norm), F.lit(0.0)).alias("similarity"))
+    if kind == "distance":
+        away = F.sqrt(total(F.zip_with("va", "vb", lambda p, q: (p - q) * (p - q))))
+        value = F.lit(1.0) / (F.lit(1.0) + away)
+    else:
+        size = lambda v: F.sqrt(dot(F.col(v), F.col(v)))
+        value = F.when((size("va") > 1e-12) & (size("vb") > 1e-12), dot(F.col("va"), F.col("vb")) / (size("va") * size("vb"))).otherwise(0.0)
+    return pairs.select("node", "slot", "a", "b", value.alias("similarity"))
 
 
 def cluster_devices(vectors: DataFrame, cuts: Sequence[float], method: str = "average", similarity: str = "pearson", min_points: int = 4, noise: str = "single", most: int = MOST_IN_GROUP) -> DataFrame:
@@ -229,23 +256,6 @@ def cluster_devices(vectors: DataFrame, cuts: Sequence[float], method: str = "av
     return vectors.groupBy("node", "slot").applyInPandas(run, "node int, slot int, device long, cut double, cluster_id long, size long")
 
 
-def single_link_components(pairs: DataFrame, cut: float) -> DataFrame:
-    """(node, slot, device, cluster_id) by label propagation over pairs at or above the cut: single linkage for nodes
-    that are too large for one task. Rounds follow the longest chain; only devices with a partner appear."""
-    edges = pairs.where(F.col("similarity") >= cut).select("node", "slot", "a", "b")
-    both = edges.unionByName(edges.select("node", "slot", F.col("b").alias("a"), F.col("a").alias("b"))).persist()
-    labels = both.groupBy("node", "slot", "a").agg(F.least(F.min("b"), F.first("a")).alias("label"))
-    key = ["node", "slot"]
-    while True:
-        labels = labels.checkpoint()
-        seen = both.join(labels.select(*key, F.col("a").alias("b"), F.col("label").alias("other")), [*key, "b"]).groupBy(*key, "a").agg(F.min("other").alias("other"))
-        moved = labels.join(seen, [*key, "a"]).select(*key, "a", F.least("label", "other").alias("new"), "label").checkpoint()
-        if moved.where("new < label").isEmpty():
-            both.unpersist()
-            return labels.select(*key, F.col("a").alias("device"), F.col("label").alias("cluster_id"))
-        labels = moved.select(*key, "a", F.col("new").alias("label"))
-
-
 def type_faults(clusters: DataFrame, min_group: int = 2, healthy: DataFrame | None = None) -> DataFrame:
     """clusters with fault_type: maintenance for groups of at least min_group, else service; devices in
     `healthy` get none."""
@@ -256,14 +266,14 @@ def type_faults(clusters: DataFrame, min_group: int = 2, healthy: DataFrame | No
     return typed.join(well, "device", "left").withColumn("fault_type", F.when(F.col("well").isNull(), F.col("fault_type"))).drop("well")
 
 
-def combine_types(first: DataFrame, second: DataFrame, how: str = "any") -> DataFrame:
-    """(device, fault_type) of two features' types: maintenance if any (or with 'all', both) says so."""
-    a = first.select("device", F.col("fault_type").alias("t1"))
-    b = second.select("device", F.col("fault_type").alias("t2"))
-    joined = a.join(b, "device", "full")
+def combine_types(first: DataFrame, second: DataFrame, how: str = "any", keys: Sequence[str] = ("device",)) -> DataFrame:
+    """(keys, fault_type) of two features' types: maintenance if any (or with 'all', both) says so."""
+    a = first.select(*keys, F.col("fault_type").alias("t1"))
+    b = second.select(*keys, F.col("fault_type").alias("t2"))
+    joined = a.join(b, list(keys), "full")
     one, two = F.coalesce(F.col("t1") == "maintenance", F.lit(False)), F.coalesce(F.col("t2") == "maintenance", F.lit(False))
     shared = one | two if how == "any" else one & two
-    return joined.select("device", F.when(shared, "maintenance").when(F.coalesce("t1", "t2").isNotNull(), "service").alias("fault_type"))
+    return joined.select(*keys, F.when(shared, "maintenance").when(F.coalesce("t1", "t2").isNotNull(), "service").alias("fault_type"))
 
 
 def metric_correlation(df: DataFrame, metrics: Sequence[str]) -> DataFrame:
@@ -274,11 +284,14 @@ def metric_correlation(df: DataFrame, metrics: Sequence[str]) -> DataFrame:
 
 
 def maintenance_ratio(typed: DataFrame, counted: DataFrame, min_tickets: int = 0) -> DataFrame:
-    """(cut, k_mm, h_m, k_ms, h_s, trr_m): the rate of maintenance tickets in time typed maintenance, over
-    their rate in time typed service. typed has device, cut and fault_type; counted has tickets (maintenance ones), hours, backward held.
+    """(cut, k_mm, h_m, k_ms, h_s, trr_m): the rate of maintenance tickets in time diagnosed as maintenance, over their rate
+    in time diagnosed as service.
+
+    typed has device, slot, cut and fault_type. counted has the collection periods of impaired records: device, slot,
+    tickets (maintenance ones) and hours, backward held. What a device does in other periods is not looked at.
     """
-    by_device = counted.groupBy("device").agg(F.sum("tickets").alias("k"), F.sum("hours").alias("h"))
-    rows = typed.where("fault_type is not null").join(by_device, "device")
+    period = counted.groupBy("device", "slot").agg(F.sum("tickets").alias("k"), F.sum("hours").alias("h"))
+    rows = typed.where("fault_type is not null").join(period, ["device", "slot"])
     of = lambda t, c: F.coalesce(F.sum(F.when(F.col("fault_type") == t, F.col(c))), F.lit(0))
     sums = rows.groupBy("cut").agg(of("maintenance", "k").alias("k_mm"), of("maintenance", "h").cast("double").alias("h_m"), of("service", "k").alias("k_ms"), of("service", "h").cast("double").alias("h_s"))
     value = F.try_divide(ratio(F.col("k_mm"), F.col("h_m")), ratio(F.col("k_ms"), F.col("h_s")))
@@ -287,7 +300,7 @@ def maintenance_ratio(typed: DataFrame, counted: DataFrame, min_tickets: int = 0
 
 def best_cut(scores: DataFrame) -> DataFrame:
     """The cut with the highest trr_m; of equals the higher."""
-    return scores.where("trr_m is not null").orderBy(F.desc("trr_m"), F.desc("cut")).limit(1)
+    return scores.where("trr_m is not null").orderBy(F.desc(F.round("trr_m", 9)), F.desc("cut")).limit(1)
 
 
 def cut_sensitivity(clusters: DataFrame) -> DataFrame:

@@ -9,7 +9,7 @@ from __future__ import annotations
 from collections.abc import Sequence
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -53,32 +53,27 @@ def moving_variance(metric: str, win: int, keys=KEYS, order=ORDER, partial: str
 
 
 def add_exponential(df: DataFrame, wanted: Sequence[Feature], keys=KEYS, order=ORDER) -> DataFrame:
-    """Exponential averages of all lambdas in one grouped pass: a recursion that frames cannot express.
+    """Exponential averages of all metrics and lambdas in one grouped pass: a recursion that frames cannot express.
 
-    A null value leaves the average as it was. One series is held in memory at a time.
+    A null value leaves the average as it was. One series is held in memory at a time; columns that take no part stay in
+    Arrow as they are.
     """
+    from .grid import exponential_features
+
     if not wanted:
         return df
-    metrics = list(dict.fromkeys(f.metric for f in wanted))
-    tenths = {m: [f.param for f in wanted if f.metric == m] for m in metrics}
-    kind = T.StructType(df.schema.fields + [T.StructField(f.column, T.DoubleType()) for m in metrics for f in wanted if f.metric == m])
-
-    def run(part: pd.DataFrame) -> pd.DataFrame:
-        part = part.sort_values(list(order), kind="stable")
-        new = {}
-        for m in metrics:
-            lam = np.array(tenths[m]) / 10.0
-            out = np.full((len(part), len(lam)), np.nan)
-            state = None
-            for i, v in enumerate(part[m].to_numpy(dtype=float, na_value=np.nan)):
-                if v == v:
-                    state = np.full(len(lam), v) if state is None else lam * v + (1 - lam) * state
-                if state is not None:
-                    out[i] = state
-            new |= {Feature(m, "ewma", p).column: out[:, j] for j, p in enumerate(tenths[m])}
-        return part.assign(**new)[[f.name for f in kind.fields]]
-
-    return df.groupBy(*keys).applyInPandas(run, kind)
+    metrics, tenths = list(dict.fromkeys(f.metric for f in wanted)), sorted({f.param for f in wanted})
+    kind = T.StructType(df.schema.fields + [T.StructField(f.column, T.DoubleType()) for f in wanted])
+
+    def run(part: pa.Table) -> pa.Table:
+        part = part.sort_by([(o, "ascending") for o in order])
+        v = np.column_stack([part[m].cast(pa.float64()).to_numpy() for m in metrics])
+        found = exponential_features(v, np.array([len(v)]), np.array(tenths) / 10.0)
+        for f in wanted:
+            part = part.append_column(f.column, pa.array(found[:, metrics.index(f.metric), tenths.index(f.param)], from_pandas=True))
+        return part
+
+    return df.groupBy(*keys).applyInArrow(run, kind)
 
 
 def exponential_fold(metric: str, lam: float, history: str) -> Column:

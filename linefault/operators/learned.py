@@ -31,7 +31,7 @@ def balance(labelled: DataFrame, seed: int = 1, key: str = "rec_id") -> DataFram
     """All rows of the rarer label and about as many of the other, by a hash threshold and no global sort."""
     counts = {r["label"]: r["n"] for r in labelled.groupBy("label").agg(F.count(F.lit(1)).alias("n")).collect()}
     least = min(counts.get(0, 0), counts.get(1, 0))
-    draw = F.pmod(F.xxhash64(F.col(key), F.lit(seed)), F.lit(2**31)).cast("double") / F.lit(float(2**31))
+    draw = F.conv(F.substring(F.md5(F.concat_ws(":", F.col(key), F.lit(seed))), 1, 8), 16, 10).cast("double") / F.lit(float(2**32))
     keep = F.lit(False)
     for label, n in counts.items():
         keep = keep | ((F.col("label") == label) & (draw < F.lit(least / n if n else 0.0)))
@@ -97,6 +97,28 @@ def train_and_predict(kind: str, train: DataFrame, valid: DataFrame, score: Data
     return score.join(verdict, "rec_id").select(*original, "abnormal"), tried
 
 
+def self_train(labelled: DataFrame, unlabelled: DataFrame, score: DataFrame, features: Sequence[str], sure: float = 0.9, rounds: int = 2, seed: int = 1) -> DataFrame:
+    """score with abnormal, by a tree that after each round also learns from the unlabelled rows it is sure about, balanced
+    anew; labels of `unlabelled` are not read."""
+    from pyspark.ml.classification import DecisionTreeClassifier
+    from pyspark.ml.functions import array_to_vector, vector_to_array
+
+    start = balance(labelled)
+    packed = array_to_vector(F.array(*[F.col(f) for f in features]))
+    ready = lambda x: standardise(x, features, start).withColumn("__vector", packed)
+    known = ready(start).select("rec_id", F.col("label").cast("double").alias("label"), "__vector")
+    others = ready(unlabelled).select("rec_id", "__vector")
+    fit = lambda rows: DecisionTreeClassifier(maxDepth=5, seed=seed, featuresCol="__vector").fit(rows)
+    model = fit(known)
+    for _ in range(rounds):
+        chance = F.element_at(vector_to_array("probability"), 2)
+        guessed = model.transform(others).withColumn("p", chance).where((F.col("p") >= sure) | (F.col("p") <= 1 - sure))
+        more = guessed.select("rec_id", (F.col("p") >= sure).cast("double").alias("label"), "__vector")
+        model = fit(known.unionByName(balance(more, seed)))
+    out = model.transform(ready(score)).select("rec_id", (F.col("prediction") == 1).alias("abnormal"))
+    return score.join(out, "rec_id")
+
+
 def label_quality(verdicts: DataFrame) -> DataFrame:
     """(tp, predicted, positive, precision, recall) of verdicts that carry label."""
     row = verdicts.agg(F.sum((F.col("abnormal") & (F.col("label") == 1)).cast("int")).alias("tp"), F.sum(F.col("abnormal").cast("int")).alias("predicted"), F.sum((F.col("label") == 1).cast("int")).alias("positive"))

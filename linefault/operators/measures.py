@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.columns import hours_between, ratio
+from ..sources.staging import staged
 from .faults import fault_events, merge_simultaneous, tickets_in_faults
 from .rates import count_tickets
 
@@ -15,7 +16,8 @@ from .rates import count_tickets
 def fault_scores(faults: DataFrame, tickets: DataFrame, intervals: DataFrame, scope: str = "device") -> DataFrame:
     """One row: faults, true_faults, accuracy, detected, tickets, coverage, ntr. tickets are the network-related ones.
 
-    ntr is the rate of tickets in faulty time over the rate in all of the intervals' time.
+    ntr is the rate of tickets in faulty time over the rate in all of the intervals' time; a ticket before its account's
+    first record belongs to no time, so it counts in coverage alone, and the rate of all time is 1.
     """
     met = tickets_in_faults(faults, tickets)
     if scope == "device":
@@ -30,9 +32,11 @@ def fault_scores(faults: DataFrame, tickets: DataFrame, intervals: DataFrame, sc
     every = tickets.agg(F.count(F.lit(1)).alias("tickets"))
     faulty = faults.agg(F.coalesce(F.sum("hours"), F.lit(0.0)).alias("fault_hours"))
     time = intervals.agg(F.sum("hours").alias("all_hours"))
-    # Six aggregates of one row each; as scalar subqueries they need no join.
-    row = total.select("faults", *[df.scalar().alias(name) for df, name in ((true, "true_faults"), (seen, "detected"), (every, "tickets"), (faulty, "fault_hours"), (time, "all_hours"))])
-    rate = F.try_divide(ratio(F.col("detected"), F.col("fault_hours")), ratio(F.col("tickets"), F.col("all_hours")))
+    begun = intervals.groupBy("account").agg(F.min("start").alias("begun"))
+    timed = tickets.select("account", "created").join(begun, "account").where("created >= begun").agg(F.count(F.lit(1)).alias("timed"))
+    # Seven aggregates of one row each; as scalar subqueries they need no join.
+    row = total.select("faults", *[df.scalar().alias(name) for df, name in ((true, "true_faults"), (seen, "detected"), (every, "tickets"), (faulty, "fault_hours"), (time, "all_hours"), (timed, "timed"))])
+    rate = F.try_divide(ratio(F.col("detected"), F.col("fault_hours")), ratio(F.col("timed"), F.col("all_hours")))
     return row.select("faults", "true_faults", ratio(F.col("true_faults"), F.col("faults")).alias("accuracy"), "detected", "tickets", ratio(F.col("detected"), F.col("tickets")).alias("coverage"), rate.alias("ntr"))
 
 
@@ -48,28 +52,84 @@ def sweep_windows(verdicts: DataFrame, tickets: DataFrame, settings: Sequence[tu
     return out
 
 
-def ticket_sweep(verdicts: DataFrame, tickets: DataFrame, ys: Sequence[int], period_end: str, keys=("device",), order=("ts", "rec_id")) -> DataFrame:
-    """(y, x, accuracy, coverage, ntr) of all x in 1..y and all ys in device scope, in one pass over the records.
+def fault_islands(counted: DataFrame, ys: Sequence[int], period_end: str, keys=("device",), order=("ts", "rec_id")) -> DataFrame:
+    """(keys, account, node, y, x, onset, end, tickets, hours): the faults of every x in 0..y of all ys, in device scope.
 
-    Every y's counts are columns of one window. A record's hits say at which x it is marked, so the
-    sums for all x come from one explode of (y, level) groups and not from one query per setting.
+    A window's count changes by one at most from record to record, so a record opens or closes no more than one fault a
+    y: with running totals of tickets and hours a fault is the difference between its rise and the next fall at its level.
+    So each record gives at most one row a y, and none where the count stays. x = 0 is one fault over all of a device's time.
+    counted: records with start, tickets, hours and abnormal.
     """
-    from .selection import window_counts
-
-    counted = count_tickets(window_counts(verdicts, ys, keys, order), tickets)
-    along = Window.partitionBy(*keys, "y").orderBy(*order)
-    long = counted.select(*keys, *order, "tickets", "hours", F.explode(F.array(*[F.struct(F.lit(y).alias("y"), F.col(f"hits_{y}").alias("hits")) for y in ys])).alias("w")).select(*keys, *order, "tickets", "hours", "w.y", "w.hits")
-    levels = long.withColumn("before", F.coalesce(F.lag("hits").over(along), F.lit(0))).where("hits > 0 or before > 0")
-    # A record is inside a fault at x = 1..hits, and opens one at x = before+1..hits.
-    spread = levels.where("hits > 0").withColumn("x", F.explode(F.sequence(F.lit(1).cast("long"), F.col("hits"))))
-    island = F.sum((F.col("x") > F.col("before")).cast("int")).over(Window.partitionBy(*keys, "y", "x").orderBy(*order).rowsBetween(Window.unboundedPreceding, 0))
-    faults = spread.withColumn("island", island).groupBy(*keys, "y", "x", "island").agg(F.sum("tickets").alias("tickets"), F.sum("hours").alias("hours"))
-    total = counted.agg(F.sum("hours").alias("all_hours"))
-    every = tickets.agg(F.count(F.lit(1)).alias("all_tickets"))
-    summed = faults.groupBy("y", "x").agg(F.count(F.lit(1)).alias("faults"), F.sum((F.col("tickets") > 0).cast("int")).alias("true_faults"), F.sum("tickets").alias("detected"), F.sum("hours").alias("fault_hours"))
-    rate = F.try_divide(ratio(F.col("detected"), F.col("fault_hours")), ratio(F.col("all_tickets"), F.col("all_hours")))
-    whole = summed.withColumn("all_hours", total.scalar()).withColumn("all_tickets", every.scalar())
-    return whole.select("y", "x", "faults", ratio(F.col("true_faults"), F.col("faults")).alias("accuracy"), ratio(F.col("detected"), F.col("all_tickets")).alias("coverage"), rate.alias("ntr"))
+    series = Window.partitionBy(*keys)
+    along = series.orderBy(*order)
+    past = along.rowsBetween(Window.unboundedPreceding, -1)
+    flagged = F.coalesce(F.col("abnormal").cast("long"), F.lit(0))
+    zero = lambda c: F.coalesce(c, F.lit(0))
+    total = counted.withColumns({"seen": F.sum(flagged).over(along.rowsBetween(Window.unboundedPreceding, 0)), "before": zero(F.sum(flagged).over(past)), "k": zero(F.sum("tickets").over(past)), "h": F.coalesce(F.sum("hours").over(past), F.lit(0.0)), "k_all": F.sum("tickets").over(series), "h_all": F.sum("hours").over(series)})
+    now = lambda y: F.col("seen") - zero(F.lag("seen", y).over(along))
+    then = lambda y: F.col("before") - zero(F.lag("before", y).over(along))
+    held = total.withColumn("counts", F.array(*[F.struct(F.lit(y).alias("y"), now(y).alias("now"), then(y).alias("was")) for y in ys]))
+    own = [*keys, "account", "node"]
+    changes = held.select(*own, *[o for o in order if o not in own], "start", "k", "h", "k_all", "h_all", F.explode(F.filter("counts", lambda c: c["now"] != c["was"])).alias("c"))
+    levels = changes.select("*", F.col("c.y").alias("y"), F.greatest("c.now", "c.was").alias("x"), (F.col("c.now") > F.col("c.was")).alias("rise"))
+    level = Window.partitionBy(*keys, "y", "x").orderBy(*order)
+    close = F.lit(period_end).cast("timestamp_ntz")
+    next_ = lambda c, last: F.coalesce(F.lead(c).over(level), last)
+    paired = levels.select(*own, "y", "x", "rise", F.col("start").alias("onset"), next_("start", close).alias("end"), (next_("k", F.col("k_all")) - F.col("k")).alias("tickets"), (next_("h", F.col("h_all")) - F.col("h")).alias("hours"))
+    whole = counted.groupBy(*own).agg(F.min("start").alias("onset"), close.alias("end"), F.sum("tickets").alias("tickets"), F.sum("hours").alias("hours"))
+    every = whole.withColumn("y", F.explode(F.array(*[F.lit(y) for y in ys]))).withColumn("x", F.lit(0).cast("long"))
+    return paired.where("rise").drop("rise").unionByName(every.select(*own, "y", "x", "onset", "end", "tickets", "hours"))
+
+
+def island_scores(islands: DataFrame, counted: DataFrame, tickets: DataFrame, scope: str = "device") -> DataFrame:
+    """(y, x, faults, accuracy, coverage, ntr) of the faults of every setting. With scope 'node' (or 'all') faults that
+    overlap within it are one, and true if any member has a ticket."""
+    if scope == "device":
+        faults = islands.select("y", "x", "tickets")
+    else:
+        place = F.col("node") if scope == "node" else F.lit(0)
+        along = Window.partitionBy("y", "x", "place").orderBy("onset", "end", "account")
+        reach = F.max("end").over(along.rowsBetween(Window.unboundedPreceding, -1))
+        fresh = islands.withColumn("place", place).withColumn("fresh", (reach.isNull() | (F.col("onset") >= reach)).cast("int"))
+        numbered = fresh.withColumn("event", F.sum("fresh").over(along.rowsBetween(Window.unboundedPreceding, 0)))
+        faults = numbered.groupBy("y", "x", "place", "event").agg(F.sum("tickets").alias("tickets"))
+    found = faults.groupBy("y", "x").agg(F.count(F.lit(1)).alias("faults"), F.sum((F.col("tickets") > 0).cast("int")).alias("true_faults"))
+    time = islands.groupBy("y", "x").agg(F.sum("tickets").alias("detected"), F.sum("hours").alias("fault_hours"))
+    whole = counted.agg(F.struct(F.sum("tickets").alias("k"), F.sum("hours").alias("h")).alias("all")).scalar()
+    asked = tickets.agg(F.count(F.lit(1)).alias("n")).scalar()
+    rated = found.join(time, ["y", "x"]).withColumn("all", whole).withColumn("asked", asked)
+    rate = F.try_divide(ratio(F.col("detected"), F.col("fault_hours")), ratio(F.col("all.k"), F.col("all.h")))
+    return rated.select("y", "x", "faults", ratio(F.col("true_faults"), F.col("faults")).alias("accuracy"), ratio(F.col("detected"), F.col("asked")).alias("coverage"), rate.alias("ntr"))
+
+
+def _slim(verdicts: DataFrame, tickets: DataFrame, keys, order) -> DataFrame:
+    columns = [*dict.fromkeys([*keys, "account", "node", *order, "start", "tickets", "hours", "abnormal"])]
+    return staged(count_tickets(verdicts, tickets).select(*columns), "counted")
+
+
+def ticket_sweep(verdicts: DataFrame, tickets: DataFrame, ys: Sequence[int], period_end: str, keys=("device",), order=("ts", "rec_id"), scope: str = "device") -> DataFrame:
+    """(y, x, faults, accuracy, coverage, ntr) of all x in 0..y and all ys. verdicts has start, hours and abnormal."""
+    counted = _slim(verdicts, tickets, keys, order)
+    return island_scores(fault_islands(counted, ys, period_end, keys, order), counted, tickets, scope)
+
+
+def compare_windows(verdicts: DataFrame, tickets: DataFrame, ys: Sequence[int], reference: int, period_end: str, floor: float = 0.15, keys=("device",), order=("ts", "rec_id"), scope: str = "device") -> DataFrame:
+    """Each window size with its tuned x, against the reference size with its own: (y, x, floor_met, accuracy, coverage, ntr,
+    detected, shared, overlap, both_hours, any_hours, jaccard).
+
+    overlap is the share of the tickets found with y that the reference finds too; jaccard compares the faulty time.
+    """
+    counted = _slim(verdicts, tickets, keys, order)
+    islands = staged(fault_islands(counted, ys, period_end, keys, order), "islands")
+    chosen = staged(tune_window(island_scores(islands, counted, tickets, scope).where("x > 0"), floor), "chosen")
+    picked = islands.join(F.broadcast(chosen.select("y", "x")), ["y", "x"])
+    base = picked.where(F.col("y") == reference)
+    met = tickets_in_faults(picked.withColumn("fault_no", F.lit(0)), tickets, ("y",)).select("y", "ticket_id").distinct()
+    known = met.where(F.col("y") == reference).select("ticket_id", F.lit(1).alias("known"))
+    shared = met.join(known, "ticket_id", "left").groupBy("y").agg(F.count(F.lit(1)).alias("detected"), F.count("known").alias("shared"))
+    again = base.drop("y").withColumn("y", F.explode(F.array(*[F.lit(y) for y in ys])))
+    time = fault_time_jaccard(picked, again, ("y",))
+    return chosen.drop("faults").join(shared, "y", "left").join(time, "y", "left").withColumn("overlap", ratio(F.col("shared"), F.col("detected")))
 
 
 def tune_window(sweep: DataFrame, floor: float = 0.15) -> DataFrame:
@@ -81,20 +141,20 @@ def tune_window(sweep: DataFrame, floor: float = 0.15) -> DataFrame:
     return sweep.withColumn("floor_met", met).withColumn("score", score).withColumn("place", F.row_number().over(order)).where("place = 1").drop("place", "score")
 
 
-def fault_time_jaccard(a: DataFrame, b: DataFrame) -> DataFrame:
-    """(both_hours, any_hours, jaccard) of the faulty time of two detections, by a sweep over interval edges."""
+def fault_time_jaccard(a: DataFrame, b: DataFrame, by: Sequence[str] = ()) -> DataFrame:
+    """(by, both_hours, any_hours, jaccard) of the faulty time of two detections, by a sweep over interval edges."""
     edges = None
     for df, da, db in ((a, 1, 0), (b, 0, 1)):
         for t, sign in (("onset", 1), ("end", -1)):
-            part = df.select("device", F.col(t).alias("t"), F.lit(da * sign).alias("da"), F.lit(db * sign).alias("db"))
+            part = df.select(*by, "device", F.col(t).alias("t"), F.lit(da * sign).alias("da"), F.lit(db * sign).alias("db"))
             edges = part if edges is None else edges.unionByName(part)
-    at = edges.groupBy("device", "t").agg(F.sum("da").alias("da"), F.sum("db").alias("db"))
-    along = Window.partitionBy("device").orderBy("t")
+    at = edges.groupBy(*by, "device", "t").agg(F.sum("da").alias("da"), F.sum("db").alias("db"))
+    along = Window.partitionBy(*by, "device").orderBy("t")
     upto = along.rowsBetween(Window.unboundedPreceding, 0)
-    swept = at.select("device", F.sum("da").over(upto).alias("na"), F.sum("db").over(upto).alias("nb"), hours_between(F.col("t"), F.lead("t").over(along)).alias("hours"))
+    swept = at.select(*by, "device", F.sum("da").over(upto).alias("na"), F.sum("db").over(upto).alias("nb"), hours_between(F.col("t"), F.lead("t").over(along)).alias("hours"))
     both = F.coalesce(F.sum(F.when((F.col("na") > 0) & (F.col("nb") > 0), F.col("hours"))), F.lit(0.0))
     some = F.coalesce(F.sum(F.when((F.col("na") > 0) | (F.col("nb") > 0), F.col("hours"))), F.lit(0.0))
-    return swept.agg(both.alias("both_hours"), some.alias("any_hours")).withColumn("jaccard", ratio(F.col("both_hours"), F.col("any_hours")))
+    return swept.groupBy(*by).agg(both.alias("both_hours"), some.alias("any_hours")).withColumn("jaccard", ratio(F.col("both_hours"), F.col("any_hours")))
 
 
 def ticket_overlap(a: DataFrame, b: DataFrame) -> DataFrame:

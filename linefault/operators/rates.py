@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.columns import hours_between, ratio
+from ..sources.staging import staged
 
 KEYS, ORDER = ("device",), ("ts", "rec_id")
 
@@ -74,20 +75,31 @@ def trr(counted: DataFrame, predicate: Column) -> DataFrame:
     return counted.agg(*split_rates(predicate)).withColumn("trr", rate_ratio(*[F.col(c) for c in ("k_abn", "h_abn", "k_norm", "h_norm")]))
 
 
-def rate_curve(counted: DataFrame, metric: str, bins: int | None = None) -> DataFrame:
+def _adjacent(values: DataFrame) -> DataFrame:
+    """values (lo, ...) with bin, their rank, and hi, the next value. Dealt by range and ranked within each part; a part needs
+    of the others only how many values come before and the first one after, which is one row a part."""
+    dealt = staged(values.repartitionByRange("lo").sortWithinPartitions("lo").withColumn("part", F.spark_partition_id()), "by_value")
+    along = Window.orderBy("part")
+    parts = dealt.groupBy("part").agg(F.count(F.lit(1)).alias("n"), F.min("lo").alias("least"))
+    known = parts.select("part", F.coalesce(F.sum("n").over(along.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"), F.lead("least").over(along).alias("following"))
+    inside = Window.partitionBy("part").orderBy("lo")
+    ranked = dealt.join(F.broadcast(known), "part")
+    return ranked.withColumn("hi", F.coalesce(F.lead("lo").over(inside), F.col("following"))).withColumn("bin", (F.row_number().over(inside) + F.col("before")).cast("int")).drop("part", "before", "following")
+
+
+def rate_curve(counted: DataFrame, metric: str, bins: int | None = None, exact_edges: bool = False) -> DataFrame:
     """(bin, lo, hi, tickets, hours, rate, rate_over_base) along a metric, rate_over_base in units of the overall rate.
 
-    Without bins every pair of adjacent distinct values is a bin, exactly. With bins they carry about equal mass
-    (edges by approx_percentile), which needs no global sort.
+    Without bins every pair of adjacent distinct values is a bin, exactly, over values dealt by range. With bins they carry
+    about equal mass: edges by approx_percentile, or with exact_edges by exact percentiles.
     """
     rows = counted.where(F.col(metric).isNotNull())
     if bins is None:
-        by_value = rows.groupBy(F.col(metric).alias("lo")).agg(F.sum("tickets").alias("tickets"), F.sum("hours").alias("hours"))
-        along = Window.orderBy("lo")
-        cut = by_value.withColumn("hi", F.lead("lo").over(along)).withColumn("bin", F.row_number().over(along))
+        cut = _adjacent(rows.groupBy(F.col(metric).alias("lo")).agg(F.sum("tickets").alias("tickets"), F.sum("hours").alias("hours")))
     else:
         marks = [i / bins for i in range(1, bins)]
-        edges = rows.agg(F.array_distinct(F.percentile_approx(metric, F.lit(marks), 10_000)).alias("edges")).scalar()
+        at = F.percentile(metric, F.array(*[F.lit(m) for m in marks])) if exact_edges else F.percentile_approx(metric, F.lit(marks), 10_000)
+        edges = rows.agg(F.array_distinct(at).alias("edges")).scalar()
         placed = rows.withColumn("edges", edges).withColumn("bin", F.size(F.filter("edges", lambda e: e <= F.col(metric))) + 1)
         cut = placed.groupBy("bin").agg(F.min(metric).alias("lo"), F.max(metric).alias("hi"), F.sum("tickets").alias("tickets"), F.sum("hours").alias("hours"))
     base = rows.agg(ratio(F.sum("tickets"), F.sum("hours")).alias("base")).scalar()

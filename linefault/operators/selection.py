@@ -8,22 +8,13 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.columns import fired
-from ..functions.naming import parse_feature
-from .thresholds import _hyphenated, abnormal
+from .thresholds import abnormal, rank_of
 
 KEYS, ORDER = ("device",), ("ts", "rec_id")
 
 
-def name_scores(scores: DataFrame) -> DataFrame:
-    """scores (feature is a column name) with feature, metric, model and param as published names."""
-    names = [r["feature"] for r in scores.select("feature").distinct().collect()]  # one per feature of the grid
-    parts = [(n, _hyphenated(n), *parse_feature(_hyphenated(n))) for n in names]
-    known = scores.sparkSession.createDataFrame(parts, "feature string, name string, metric string, model string, param int")
-    return scores.join(F.broadcast(known), "feature").withColumn("feature", F.col("name")).drop("name")
-
-
 def _best(scores: DataFrame, groups: Sequence[str], k: int) -> DataFrame:
-    order = Window.partitionBy(*groups).orderBy(F.desc("trr"), F.asc("feature"))
+    order = Window.partitionBy(*groups).orderBy(rank_of("trr"), F.asc("feature"))
     return scores.withColumn("place", F.row_number().over(order)).where(F.col("place") <= k).drop("place")
 
 
@@ -40,7 +31,7 @@ def pick_top_models(scores: DataFrame, k: int = 2) -> DataFrame:
 def pick_features(scores: DataFrame, n: int = 5) -> DataFrame:
     """The n best of what both stages leave, ranked."""
     left = pick_top_models(pick_representatives(scores))
-    return left.orderBy(F.desc("trr"), F.asc("feature")).limit(n)
+    return left.orderBy(rank_of("trr"), F.asc("feature")).limit(n)
 
 
 def classify(df: DataFrame, model: DataFrame, rule: str = "or", at_least: int = 1) -> DataFrame:

@@ -7,7 +7,8 @@ sums of every cut. Nothing but one row per feature and the winners reach the dri
 
 from __future__ import annotations
 
-from collections.abc import Sequence
+from collections.abc import Callable, Sequence
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
@@ -16,10 +17,19 @@ from ..functions.naming import parse_feature
 from .rates import rate_ratio
 
 STEPS = 100
+#: All cuts lie this share of the range below the even grid, so that discrete values, which often fall on the grid, are on
+#: one side of a cut however their sums were rounded.
+SHIFT = 1e-9
 BELOW = {"snr", "unerrored"}
 ABOVE = {"tx", "corrected", "uncorrectable", "t3", "t4"}
 
 
+def rank_of(score: str) -> Column:
+    """Order by a score, best first. What agrees to nine places is a tie, so that the order in which a sum was added up
+    decides nothing."""
+    return F.desc(F.round(score, 9))
+
+
 def direction_of(name: str) -> str:
     """Which side of a cut is abnormal: below, above, band (both) or auto (whichever separates better)."""
     f = parse_feature(name)
@@ -39,7 +49,7 @@ def looks_normal(df: DataFrame, feature: str, limit: float = 1.0) -> DataFrame:
 def _bin(value: Column, lo: float, hi: float, steps: int) -> Column:
     """1 plus the number of cuts at or below the value, the cuts being computed as _cumulative prints them, so that a
     verdict by a printed cut counts exactly the records that the histogram counted."""
-    cut = lambda j: F.lit(lo) + j * F.lit(hi - lo) / steps
+    cut = lambda j: F.lit(lo) + j * F.lit(hi - lo) / steps - F.lit((hi - lo) * SHIFT)
     near = F.floor((value - F.lit(lo)) / F.lit(hi - lo) * steps)
     exact = near + F.when(value >= cut(near + 1), 1).when(value < cut(near), -1).otherwise(0)
     return F.greatest(F.lit(1), F.least(exact + 1, F.lit(steps)))
@@ -52,7 +62,8 @@ def bin_totals(counted: DataFrame, features: Sequence[str], steps: int = STEPS)
     for i, f in enumerate(features):
         lo, hi = ranges[f"lo{i}"], ranges[f"hi{i}"]
         usable = lo is not None and hi is not None and lo < hi
-        place = _bin(F.col(f).cast("double"), lo, hi, steps) if usable else F.lit(None)
+        value = F.col(f).cast("double")
+        place = F.when(value.isNotNull(), _bin(value, lo, hi, steps)) if usable else F.lit(None)  # greatest and least skip nulls
         pairs.append(F.struct(F.lit(f).alias("feature"), F.lit(lo).cast("double").alias("f_min"), F.lit(hi).cast("double").alias("f_max"), place.cast("long").alias("bin")))
     long = counted.select("tickets", "hours", F.explode(F.array(*pairs)).alias("p")).where("p.bin is not null")
     return long.groupBy("p.feature", "p.f_min", "p.f_max", "p.bin").agg(F.sum("tickets").alias("tickets"), F.sum("hours").alias("hours"))
@@ -64,7 +75,8 @@ def _cumulative(bins: DataFrame, steps: int) -> DataFrame:
     cuts = feature.withColumn("cut_no", F.explode(F.sequence(F.lit(0), F.lit(steps))))
     filled = cuts.join(bins.select("feature", F.col("bin").alias("cut_no"), "tickets", "hours"), ["feature", "cut_no"], "left")
     along = Window.partitionBy("feature").orderBy("cut_no").rowsBetween(Window.unboundedPreceding, 0)
-    cut = F.col("f_min") + F.col("cut_no") * (F.col("f_max") - F.col("f_min")) / steps
+    width = F.col("f_max") - F.col("f_min")
+    cut = F.col("f_min") + F.col("cut_no") * width / steps - width * F.lit(SHIFT)
     summed = lambda c: F.coalesce(F.sum(c).over(along), F.lit(0))
     return filled.select("feature", "cut_no", cut.alias("cut"), summed("tickets").alias("k"), summed("hours").cast("double").alias("h"), "k_all", "h_all")
 
@@ -88,8 +100,9 @@ def cut_scores(bins: DataFrame, direction: str, steps: int = STEPS) -> DataFrame
 
 
 def band_scores(bins: DataFrame, steps: int = STEPS) -> DataFrame:
-    """Scores of every pair of cuts lo < hi; outside the band is abnormal. steps**2 / 2 rows a feature."""
-    c = _cumulative(bins, steps)
+    """Scores of every pair of cuts lo < hi; outside the band is abnormal. steps**2 / 2 rows a feature. A band that reaches an
+    end of the range has no cut there."""
+    c = _cumulative(bins, steps).withColumn("cut", F.when(~F.col("cut_no").isin(0, steps), F.col("cut")))
     a = c.select("feature", F.col("cut_no").alias("i"), F.col("cut").alias("low"), F.col("k").alias("ka"), F.col("h").alias("ha"))
     b = c.select("feature", F.col("cut_no").alias("j"), F.col("cut").alias("high"), F.col("k").alias("kb"), F.col("h").alias("hb"), "k_all", "h_all")
     pairs = a.join(b, "feature").where("i < j")
@@ -97,26 +110,29 @@ def band_scores(bins: DataFrame, steps: int = STEPS) -> DataFrame:
     return pairs.select("feature", F.lit("band").alias("direction"), "low", "high", (F.col("k_all") - inside[0]).alias("k_abn"), (F.col("h_all") - inside[1]).alias("h_abn"), inside[0].alias("k_norm"), inside[1].alias("h_norm"))
 
 
-def search_all(counted: DataFrame, features: Sequence[str], directions: dict[str, str] | None = None, steps: int = STEPS, band_steps: int = 40, min_tickets: int = 0, min_share: float = 0.0, max_share: float = 1.0) -> DataFrame:
+def best_cuts(bins_of: Callable[[list[str], int], DataFrame], side: dict[str, str], steps: int = STEPS, band_steps: int = 40, min_tickets: int = 0, min_share: float = 0.0, max_share: float = 1.0) -> DataFrame:
     """The best cut of each feature: feature, direction, low, high, the four sums, trr.
 
-    Features are column names (underscored). Ties go to more abnormal tickets, then to less abnormal time.
+    side names each feature's direction, bins_of(features, steps) their histogram. Ties go to more abnormal tickets, then
+    to less abnormal time.
     """
-    directions = directions or {}
-    side = {f: directions.get(f) or direction_of(_hyphenated(f)) for f in features}
     parts = []
-    for wanted, score in (("below", lambda b: cut_scores(b, "below", steps)), ("above", lambda b: cut_scores(b, "above", steps))):
-        names = [f for f in features if side[f] in (wanted, "auto")]
+    for wanted in ("below", "above"):
+        names = [f for f, d in side.items() if d in (wanted, "auto")]
         if names:
-            parts.append(score(bin_totals(counted, names, steps)))
-    names = [f for f in features if side[f] == "band"]
+            parts.append(cut_scores(bins_of(names, steps), wanted, steps))
+    names = [f for f, d in side.items() if d == "band"]
     if names:
-        parts.append(band_scores(bin_totals(counted, names, band_steps), band_steps))
-    scores = parts[0]
-    for p in parts[1:]:
-        scores = scores.unionByName(p)
-    best = Window.partitionBy("feature").orderBy(F.desc("trr"), F.desc("k_abn"), F.asc("h_abn"), "direction", "low", "high")
-    return _guarded(scores, min_tickets, min_share, max_share).withColumn("place", F.row_number().over(best)).where("place = 1").drop("place")
+        parts.append(band_scores(bins_of(names, band_steps), band_steps))
+    best = Window.partitionBy("feature").orderBy(rank_of("trr"), F.desc("k_abn"), F.round("h_abn", 6), "direction", "low", "high")
+    return _guarded(reduce(DataFrame.unionByName, parts), min_tickets, min_share, max_share).withColumn("place", F.row_number().over(best)).where("place = 1").drop("place")
+
+
+def search_all(counted: DataFrame, features: Sequence[str], directions: dict[str, str] | None = None, steps: int = STEPS, band_steps: int = 40, **guards) -> DataFrame:
+    """best_cuts of features that are columns of counted (underscored names). For the whole grid see grid.search_grid."""
+    directions = directions or {}
+    side = {f: directions.get(f) or direction_of(_hyphenated(f)) for f in features}
+    return best_cuts(lambda names, n: bin_totals(counted, names, n), side, steps, band_steps, **guards)
 
 
 def _hyphenated(column: str) -> str:

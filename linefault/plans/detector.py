@@ -4,17 +4,19 @@ from __future__ import annotations
 
 from collections.abc import Sequence
 from dataclasses import dataclass, field
+from functools import reduce
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.columns import period_of
 from ..functions.naming import Feature, feature_grid, parse_feature
 from ..operators import clusters as K
 from ..operators.faults import fault_events
 from ..operators.features import build_features
 from ..operators.rates import count_tickets, held_intervals
-from ..operators.selection import classify, mark_windows, name_scores, pick_features
-from ..operators.thresholds import search_all
+from ..operators.grid import pack_series, search_grid
+from ..operators.selection import classify, mark_windows, pick_features
 from ..sources.readers import save_model
 
 
@@ -67,14 +69,17 @@ class FaultDetector:
         """The best threshold of every feature of the grid, named."""
         grid = feature_grid(self.metrics, self.days, self.tenths)
         counted = count_tickets(held_intervals(telemetry, period_end, keys=self.keys, order=self.order), tickets)
-        built = build_features(counted, grid, self.points_per_day, self.keys, self.order)
-        return name_scores(search_all(built, [f.column for f in grid], self.directions, self.steps, min_tickets=self.min_tickets, min_share=self.min_share, max_share=self.max_share))
+        packed = pack_series(counted, self.metrics, self.keys, self.order)
+        return search_grid(packed, grid, self.points_per_day, self.directions, self.steps, min_tickets=self.min_tickets, min_share=self.min_share, max_share=self.max_share)
 
-    def fit(self, telemetry: DataFrame, tickets: DataFrame, period_end: str) -> DetectorModel:
-        chosen = pick_features(self.scores(telemetry, tickets, period_end), self.n_features)
+    def keep(self, scores: DataFrame) -> DetectorModel:
+        """The model of the n_features best of the scores."""
+        chosen = pick_features(scores, self.n_features)
         rows = chosen.collect()  # n_features rows
-        fixed = telemetry.sparkSession.createDataFrame(rows, chosen.schema)
-        return DetectorModel(fixed, self.points_per_day, self.keys, self.order)
+        return DetectorModel(scores.sparkSession.createDataFrame(rows, chosen.schema), self.points_per_day, self.keys, self.order)
+
+    def fit(self, telemetry: DataFrame, tickets: DataFrame, period_end: str) -> DetectorModel:
+        return self.keep(self.scores(telemetry, tickets, period_end))
 
 
 @dataclass
@@ -87,15 +92,18 @@ class TyperModel:
     similarity: str = "pearson"
     min_group: int = 2
     combine: str = "any"
+    period_hours: int = 72
+    look_back_hours: int = 168
 
-    def transform(self, telemetry: DataFrame, anomalous: DataFrame) -> DataFrame:
-        """(device, fault_type) of the anomalous devices, from all metrics together."""
-        out = None
-        for metric, cut in self.cuts.items():
-            vectors = K.device_vectors(telemetry, metric, self.start, self.end, self.every_hours, anomalous)
-            typed = K.type_faults(K.cluster_devices(vectors, [cut], self.linkage, self.similarity), self.min_group).select("device", "fault_type")
-            out = typed if out is None else K.combine_types(out, typed, self.combine)
-        return out
+    def types(self, telemetry: DataFrame, periods: DataFrame, metric: str, cuts: Sequence[float]) -> DataFrame:
+        """clusters of the anomalous periods (device, slot) by one metric, with fault_type, at every cut."""
+        vectors = K.device_vectors(telemetry, metric, self.start, self.end, self.every_hours, periods, self.period_hours, self.look_back_hours)
+        return K.type_faults(K.cluster_devices(vectors, cuts, self.linkage, self.similarity), self.min_group)
+
+    def transform(self, telemetry: DataFrame, periods: DataFrame) -> DataFrame:
+        """(device, slot, fault_type) of the anomalous periods, from all metrics together."""
+        typed = [self.types(telemetry, periods, m, [cut]).select("device", "slot", "fault_type") for m, cut in self.cuts.items()]
+        return reduce(lambda a, b: K.combine_types(a, b, self.combine, ("device", "slot")), typed)
 
 
 @dataclass
@@ -111,20 +119,30 @@ class FaultTyper:
     similarity: str = "pearson"
     min_group: int = 2
     min_tickets: int = 0
+    period_hours: int = 72
+    look_back_hours: int = 168
+
+    def model(self, cuts: dict[str, float]) -> TyperModel:
+        return TyperModel(cuts, self.start, self.end, self.every_hours, self.linkage, self.similarity, self.min_group, period_hours=self.period_hours, look_back_hours=self.look_back_hours)
+
+    def impaired(self, marks: DataFrame, tickets: DataFrame) -> DataFrame:
+        """The collection periods of the marked records, with the maintenance tickets that fall in them."""
+        timed = held_intervals(marks, self.end, hold="backward")
+        counted = count_tickets(timed, tickets.where("is_maintenance"), hold="backward")
+        return counted.where("marked").select("device", period_of("ts", self.start, self.period_hours).alias("slot"), "tickets", "hours")
 
-    def scores(self, telemetry: DataFrame, anomalous: DataFrame, tickets: DataFrame, metric: str) -> DataFrame:
-        """trr_m of every cut of the grid; each node's merge tree is built once."""
-        counted = count_tickets(held_intervals(telemetry, self.end, hold="backward"), tickets.where("is_maintenance"), hold="backward")
-        vectors = K.device_vectors(telemetry, metric, self.start, self.end, self.every_hours, anomalous)
-        typed = K.type_faults(K.cluster_devices(vectors, self.grid, self.linkage, self.similarity), self.min_group)
-        return K.maintenance_ratio(typed, counted, self.min_tickets)
+    def scores(self, marks: DataFrame, tickets: DataFrame, metric: str) -> DataFrame:
+        """trr_m of every cut of the grid; each node's merge tree of a period is built once. marks: telemetry with marked."""
+        periods = K.anomalous_periods(marks, self.start, self.period_hours)
+        typed = self.model({}).types(marks, periods, metric, self.grid)
+        return K.maintenance_ratio(typed, self.impaired(marks, tickets), self.min_tickets)
 
-    def fit(self, telemetry: DataFrame, anomalous: DataFrame, tickets: DataFrame) -> TyperModel:
+    def fit(self, marks: DataFrame, tickets: DataFrame) -> TyperModel:
         cuts = {}
         for metric in self.metrics:
-            best = K.best_cut(self.scores(telemetry, anomalous, tickets, metric)).collect()
+            best = K.best_cut(self.scores(marks, tickets, metric)).collect()
             cuts[metric] = best[0]["cut"] if best else max(self.grid)
-        return TyperModel(cuts, self.start, self.end, self.every_hours, self.linkage, self.similarity, self.min_group)
+        return self.model(cuts)
 
 
 def choose_feature_count(scores: DataFrame, telemetry: DataFrame, tickets: DataFrame, points_per_day: int, most: int, x: int, y: int, period_end: str) -> DataFrame:

@@ -2,448 +2,7 @@
 
 from __future__ import annotations
 
-from functools import cache, reduce
+from . import clusters_queries, experiments_queries, faults_queries, features_queries, general_queries, tickets_queries
+from .book import QUERIES, SQL
 
-from pyspark.sql import DataFrame, SparkSession, Window
-from pyspark.sql import functions as F
-
-from ..functions import columns as C
-from ..functions.naming import feature_grid
-from ..operators import baselines as B
-from ..operators import clusters as K
-from ..operators import faults as FL
-from ..operators import features as FE
-from ..operators import learned as L
-from ..operators import measures as M
-from ..operators import rates as R
-from ..operators import selection as S
-from ..operators import thresholds as T
-from ..operators import tickets as TK
-from ..sources import adapters as A
-from ..sources.readers import read_table
-from . import oracle as O
-from .detector import FaultDetector, FaultTyper, choose_feature_count
-
-END, START = A.PERIOD_END, A.PERIOD_START
-SPLIT = "2024-01-20"
-X, Y = 2, 4
-GUARD = 20
-
-QUERIES: dict = {}
-SQL: dict[str, str] = {}
-
-
-def query(name: str, sql: str | None = None):
-    def add(f):
-        QUERIES[name] = f
-        if sql is not None:
-            SQL[name] = sql
-        return f
-
-    return add
-
-
-def r6(*names: str):
-    return [F.round(F.col(n), 6).alias(n) for n in names]
-
-
-def tel(spark: SparkSession, d: str) -> DataFrame:
-    return A.telemetry(spark, d)
-
-
-def net(spark: SparkSession, d: str) -> DataFrame:
-    return A.tickets(spark, d).where("is_network")
-
-
-def held(spark: SparkSession, d: str, hold: str = "forward") -> DataFrame:
-    return R.held_intervals(tel(spark, d), END, hold=hold)
-
-
-def counted(spark: SparkSession, d: str) -> DataFrame:
-    return R.count_tickets(held(spark, d), net(spark, d))
-
-
-def verdicts(spark: SparkSession, d: str) -> DataFrame:
-    return S.combine(held(spark, d), [("snr", F.col("snr") < 29)])
-
-
-def marks(spark: SparkSession, d: str, x: int = X, y: int = Y) -> DataFrame:
-    return S.mark_windows(verdicts(spark, d), x, y)
-
-
-def flt(spark: SparkSession, d: str, x: int = X, y: int = Y, extent: str = "onset") -> DataFrame:
-    return FL.fault_events(marks(spark, d, x, y), END, y, extent)
-
-
-# Tickets
-
-query("a_network_tickets", f"WITH {O.BASE} SELECT ticket_id, action = 'Dispatch' AND regexp_matches(lower(description), 'data down|noisy line|slow speed') AS is_network FROM tkt")(lambda s, d: TK.select_network_tickets(A.tickets(s, d)).select("ticket_id", "is_network"))
-query("a_network_either", f"WITH {O.BASE} SELECT ticket_id, action = 'Dispatch' OR regexp_matches(lower(description), 'billing') AS is_network FROM tkt")(lambda s, d: TK.select_network_tickets(A.tickets(s, d), keywords=("Billing",), mode="either").select("ticket_id", "is_network"))
-query("a_text_keywords", "WITH t AS (SELECT conv_id, lower(arg_min(text, turn)) AS description FROM conversations WHERE role = 'user' GROUP BY conv_id) SELECT conv_id AS ticket_id, contains(description, 'th') OR contains(description, 'en') AS is_network FROM t")(lambda s, d: TK.select_network_tickets(A.text_tickets(s, d).withColumn("action", F.lit(None).cast("string")), keywords=("th", "en"), mode="keyword").select("ticket_id", "is_network"))
-query("a_action_shares", f"WITH {O.BASE} SELECT action, count(*) AS n, round(count(*) / (SELECT count(*) FROM tkt), 6) AS share FROM tkt GROUP BY action")(lambda s, d: TK.action_shares(A.tickets(s, d)).select("action", "n", *r6("share")))
-query("a_reporting_share", f"WITH {O.BASE}, hit AS (SELECT DISTINCT account FROM tel WHERE maint), told AS (SELECT DISTINCT account FROM tkt WHERE is_maintenance) SELECT count(*) AS affected, count(t.account) AS reporting, round(count(t.account) / count(*), 6) AS share FROM hit LEFT JOIN told t USING (account)")(
-    lambda s, d: TK.reporting_share(tel(s, d).where("maint"), A.tickets(s, d).where("is_maintenance")).select("affected", "reporting", *r6("share"))
-)
-query("a_primary_groups", f"WITH {O.BASE} SELECT primary_id, count(*) AS n, count(DISTINCT account) AS accounts, min(created) AS first_created, max(closed) AS last_closed FROM tkt WHERE primary_id IS NOT NULL GROUP BY primary_id")(lambda s, d: TK.primary_groups(A.tickets(s, d)))
-query("a_ticket_class", f"WITH {O.BASE} SELECT CASE WHEN primary_id IS NOT NULL THEN 'maintenance' WHEN is_network THEN 'service' ELSE 'other' END AS ticket_class, count(*) AS n FROM tkt GROUP BY 1")(lambda s, d: TK.split_ticket_class(A.tickets(s, d)).groupBy("ticket_class").agg(F.count(F.lit(1)).alias("n")))
-
-# Features of the planted telemetry: windows of two days (four records)
-
-
-def feature(value):
-    def run(s, d):
-        rows = tel(s, d)
-        row = F.row_number().over(Window.partitionBy("device").orderBy("ts", "rec_id"))
-        return rows.withColumn("snr__r", row * F.col("snr")).select("rec_id", F.round(value(), 6).alias("value"))
-
-    return run
-
-
-query("f_avg", O.series(O.frame("avg(snr)", 4)))(feature(lambda: FE.moving_average("snr", 4)))
-query("f_wma", O.series(O.weighted("snr", 4, 10)))(feature(lambda: FE.weighted_average("snr", 4)))
-query("f_wma_printed", O.series(O.weighted("snr", 4, 6)))(feature(lambda: FE.weighted_average("snr", 4, denominator="printed")))
-query("f_wmadiff", O.series(f"snr - {O.weighted('snr', 4, 10)}"))(feature(lambda: F.col("snr") - FE.weighted_average("snr", 4)))
-query("f_var", O.series(O.frame("var_pop(snr)", 4)))(feature(lambda: FE.moving_variance("snr", 4)))
-query("f_shrink", O.series("avg(snr) OVER (PARTITION BY device ORDER BY ts, rec_id ROWS BETWEEN 3 PRECEDING AND CURRENT ROW)"))(feature(lambda: FE.moving_average("snr", 4, partial="shrink")))
-query("f_ewma", O.EWMA)(lambda s, d: FE.build_features(tel(s, d), [f for f in feature_grid(["snr"], (), (3, 7))], A.POINTS_PER_DAY).select("rec_id", F.round("snr_ewma_3", 6).alias("ewma_3"), F.round("snr_ewma_7", 6).alias("ewma_7")))
-
-
-@query("f_ewma_fold", O.EWMA.replace("SELECT rec_id, round(e3, 6) AS ewma_3, round(e7, 6) AS ewma_7 FROM rolled", "SELECT device, round(arg_max(e3, i), 6) AS ewma_3 FROM rolled GROUP BY device"))
-def f_ewma_fold(s, d):
-    packed = tel(s, d).groupBy("device").agg(F.array_sort(F.collect_list(F.struct("ts", "rec_id", "snr"))).alias("p")).select("device", F.transform("p", lambda x: x["snr"]).alias("v"))
-    return packed.select("device", F.round(FE.exponential_fold("snr", 0.3, "v"), 6).alias("ewma_3"))
-
-
-query("f_delta", O.series("CASE WHEN corrected >= lag(corrected) OVER w THEN corrected - lag(corrected) OVER w WHEN lag(corrected) OVER w IS NOT NULL THEN corrected END") + " WINDOW w AS (PARTITION BY device ORDER BY ts, rec_id)")(feature(lambda: FE.counter_delta("corrected")))
-query("f_range", O.series("avg(snr) OVER (PARTITION BY device ORDER BY date_trunc('second', ts) RANGE BETWEEN INTERVAL 259199 SECONDS PRECEDING AND CURRENT ROW)"))(feature(lambda: FE.range_average("snr", 3)))
-query("f_tap", "WITH t AS (SELECT vec_id, [x::DOUBLE * x::DOUBLE for x in embedding] AS e FROM embeddings) SELECT vec_id AS device, (vec_id % 5)::INT AS day, round(10 * log10((e[17] + e[18]) / nullif(list_sum(e) - e[17] - e[18], 0)), 6) AS tap_db FROM t")(lambda s, d: A.taps(s, d).select("device", "day", *r6("tap_db")))
-query("f_hold", f"""WITH {O.BASE}, slots AS (SELECT DISTINCT device, g.slot FROM tel, generate_series(TIMESTAMP '2024-01-01', TIMESTAMP '2024-01-30 12:00:00', INTERVAL 12 HOURS) g(slot))
-SELECT device, slot, round((SELECT arg_max(snr, (ts, rec_id)) FROM tel t WHERE t.device = s.device AND t.ts <= s.slot), 6) AS value FROM slots s""")(lambda s, d: FE.resample_hold(tel(s, d), "snr", START, END, 12).select("device", "slot", *r6("value")))
-WINS = (1, 2, 4, 8, 14)
-
-
-@query("f_grid", O.supply_grid(("l_quantity", "l_discount"), WINS))
-def f_grid(s, d):
-    grid = [f for f in feature_grid(["l_quantity", "l_discount"], WINS, ()) if f.model in ("avg", "var")]
-    built = FE.build_features(A.supply_telemetry(s, d), grid, 1, order=A.SUPPLY_ORDER)
-    row = built.agg(*[F.struct(F.count(f.column).alias("n"), F.round(F.avg(f.column), 4).alias("mean")).alias(f.column) for f in grid])
-    return row.select(F.explode(F.array(*[F.struct(F.lit(f.name).alias("feature"), F.col(f"{f.column}.n").alias("n"), F.col(f"{f.column}.mean").alias("mean")) for f in grid])).alias("x")).select("x.*")
-
-
-@query("f_grid_all")
-def f_grid_all(s, d):
-    """The whole grid of 37 features of every metric: 333 columns, one exchange for all windows."""
-    grid = feature_grid(A.METRICS)
-    built = FE.build_features(tel(s, d), grid, A.POINTS_PER_DAY)
-    row = built.agg(*[F.struct(F.count(f.column).alias("n"), F.avg(f.column).alias("mean")).alias(f.column) for f in grid])
-    return row.select(F.explode(F.array(*[F.struct(F.lit(f.name).alias("feature"), F.col(f"{f.column}.n").alias("n"), F.round(F.col(f"{f.column}.mean"), 4).alias("mean")) for f in grid])).alias("x")).select("x.*")
-
-
-# Rates and thresholds
-
-query("t_intervals", f"WITH {O.IVL} SELECT rec_id, start, \"end\", round(hours, 6) AS hours FROM held")(lambda s, d: held(s, d).select("rec_id", "start", "end", *r6("hours")))
-query("t_intervals_back", f"WITH {O.BASE}, b AS (SELECT rec_id, ts, coalesce(lag(ts) OVER (PARTITION BY device ORDER BY ts, rec_id), ts) AS p FROM tel) SELECT rec_id, round({O.HOURS.format(a='p', b='ts')}, 6) AS hours FROM b")(lambda s, d: held(s, d, "backward").select("rec_id", *r6("hours")))
-query("t_attach", f"WITH {O.COUNTED} SELECT ticket_id, rec_id FROM placed")(lambda s, d: R.tickets_in_force(held(s, d), net(s, d)).select("ticket_id", "rec_id"))
-query("t_rate", f"WITH {O.COUNTED} SELECT node, sum(tickets)::BIGINT AS tickets, round(sum(hours), 4) AS hours, round(sum(tickets) / sum(hours), 8) AS rate FROM counted GROUP BY node")(lambda s, d: counted(s, d).groupBy("node").agg(F.sum("tickets").alias("tickets"), F.round(F.sum("hours"), 4).alias("hours"), F.round(C.ratio(F.sum("tickets"), F.sum("hours")), 8).alias("rate")))
-query("t_curve", f"""WITH {O.COUNTED}, v AS (SELECT tap AS lo, sum(tickets) AS k, sum(hours) AS h FROM counted GROUP BY tap), base AS (SELECT sum(tickets) / sum(hours) AS b FROM counted)
-SELECT row_number() OVER (ORDER BY lo)::INT AS bin, round(lo, 6) AS lo, round(lead(lo) OVER (ORDER BY lo), 6) AS hi, k::BIGINT AS tickets, round(h, 4) AS hours, round(k / h / b, 6) AS rate_over_base FROM v, base""".replace("base AS (SELECT sum", "overall AS (SELECT sum").replace("FROM v, base", "FROM v, overall"))(
-    lambda s, d: R.rate_curve(counted(s, d), "tap").select("bin", *r6("lo", "hi"), "tickets", F.round("hours", 4).alias("hours"), *r6("rate_over_base"))
-)
-query("t_curve_bins")(lambda s, d: R.rate_curve(counted(s, d), "snr", 20))
-query("t_curve_all_tickets")(lambda s, d: R.rate_curve(R.count_tickets(held(s, d), A.tickets(s, d)), "snr", 20))
-
-
-def cut(out: DataFrame) -> DataFrame:
-    return out.select(*r6("low", "high"), "k_abn", F.round("h_abn", 4).alias("h_abn"), "k_norm", F.round("h_norm", 4).alias("h_norm"), *r6("trr"))
-
-
-query("t_cut_below", O.cut_scan("snr", "below", 50))(lambda s, d: cut(T.search_threshold(counted(s, d), "snr", "below", 50, min_tickets=GUARD)))
-query("t_cut_above", O.cut_scan("unerrored", "above", 50))(lambda s, d: cut(T.search_threshold(counted(s, d), "unerrored", "above", 50, min_tickets=GUARD)))
-query("t_cut_band", O.band_scan("snr", 20))(lambda s, d: cut(T.search_band(counted(s, d), "snr", 20, min_tickets=GUARD)))
-query("t_cut_symmetric", f"""WITH {O.COUNTED}, m AS (SELECT avg(snr) AS m, stddev_pop(snr) AS s FROM counted), w(k) AS (VALUES (1.0::DOUBLE), (1.5), (2.0), (2.5), (3.0)), o AS (SELECT m - k * s AS low, m + k * s AS high FROM m, w)
-SELECT round(low, 6) AS low, round(high, 6) AS high, coalesce(sum(tickets) FILTER (WHERE snr < low OR snr > high), 0)::BIGINT AS k_abn, coalesce(sum(tickets) FILTER (WHERE NOT (snr < low OR snr > high)), 0)::BIGINT AS k_norm FROM counted, o GROUP BY low, high""")(
-    lambda s, d: T.symmetric_band(counted(s, d), "snr").select(*r6("low", "high"), "k_abn", "k_norm")
-)
-query("t_trr", f"""WITH {O.COUNTED}, s AS (SELECT sum(tickets) FILTER (WHERE maint OR serv) AS ka, sum(hours) FILTER (WHERE maint OR serv) AS ha, sum(tickets) FILTER (WHERE NOT (maint OR serv)) AS kn, sum(hours) FILTER (WHERE NOT (maint OR serv)) AS hn FROM counted)
-SELECT ka::BIGINT AS k_abn, round(ha, 4) AS h_abn, kn::BIGINT AS k_norm, round(hn, 4) AS h_norm, round((ka / ha) / (kn / hn), 6) AS trr FROM s""")(lambda s, d: R.trr(counted(s, d), F.col("maint") | F.col("serv")).select("k_abn", F.round("h_abn", 4).alias("h_abn"), "k_norm", F.round("h_norm", 4).alias("h_norm"), *r6("trr")))
-query("t_shape", """WITH m AS (SELECT avg(l_quantity) AS m, stddev_pop(l_quantity) AS s FROM lineitem) SELECT round(avg(power((l_quantity - m) / s, 3)), 6) AS skewness, round(avg(power((l_quantity - m) / s, 4)) - 3, 6) AS kurtosis,
- abs(avg(power((l_quantity - m) / s, 3))) < 1 AND abs(avg(power((l_quantity - m) / s, 4)) - 3) < 1 AS "normal" FROM lineitem, m""")(lambda s, d: T.looks_normal(read_table(s, d, "lineitem"), "l_quantity").select(*r6("skewness", "kurtosis"), "normal"))
-
-
-@query("t_model", """WITH g AS (SELECT n_nationkey::DOUBLE AS fp, n_regionkey::DOUBLE AS fn FROM nation)
-SELECT fp, fn, round(((fp + 5 * 10) / (10 + fp)) / ((100 + 5 * fn) / (100 + fn)), 6) AS ratio, 5.0::DOUBLE AS limit_ratio,
- round((-40 / power(10 + fp, 2)) / ((100 + 5 * fn) / (100 + fn)), 8) AS by_fp, round(-((fp + 50) / (10 + fp)) * (400 / power(100 + fn, 2)) / power((100 + 5 * fn) / (100 + fn), 2), 8) AS by_fn FROM g""")
-def t_model(s, d):
-    rows = read_table(s, d, "nation").select(F.col("n_nationkey").cast("double").alias("fp"), F.col("n_regionkey").cast("double").alias("fn"))
-    args = F.lit(1.0), F.lit(4.0), F.lit(100.0), F.col("fp"), F.col("fn"), F.lit(10.0)
-    by_fp, by_fn = C.rate_model_slopes(*args)
-    return rows.select("fp", "fn", F.round(C.rate_model(*args), 6).alias("ratio"), C.rate_model_limit(F.lit(1.0), F.lit(4.0)).alias("limit_ratio"), F.round(by_fp, 8).alias("by_fp"), F.round(by_fn, 8).alias("by_fn"))
-
-
-@cache
-def _detector() -> FaultDetector:
-    return FaultDetector(A.METRICS, A.POINTS_PER_DAY, min_tickets=GUARD, min_share=0.005, max_share=0.25)
-
-
-query("t_search_all")(lambda s, d: _detector().scores(tel(s, d), net(s, d), END))
-query("s_representatives")(lambda s, d: S.pick_representatives(_detector().scores(tel(s, d), net(s, d), END)))
-query("s_top_models")(lambda s, d: S.pick_top_models(S.pick_representatives(_detector().scores(tel(s, d), net(s, d), END))))
-
-
-@query("s_pick", """WITH s AS (SELECT l_returnflag AS metric, l_linestatus AS model, l_linenumber AS param, l_returnflag || '-' || l_linestatus || '-' || l_linenumber AS feature, round(avg(l_extendedprice), 4) AS trr FROM lineitem GROUP BY ALL),
-a AS (SELECT * FROM s QUALIFY row_number() OVER (PARTITION BY metric, model ORDER BY trr DESC, feature) = 1), b AS (SELECT * FROM a QUALIFY row_number() OVER (PARTITION BY metric ORDER BY trr DESC, feature) <= 2)
-SELECT feature, trr FROM b ORDER BY trr DESC, feature LIMIT 3""")
-def s_pick(s, d):
-    rows = read_table(s, d, "lineitem").groupBy(F.col("l_returnflag").alias("metric"), F.col("l_linestatus").alias("model"), F.col("l_linenumber").alias("param")).agg(F.round(F.avg("l_extendedprice"), 4).alias("trr"))
-    return S.pick_features(rows.withColumn("feature", F.concat_ws("-", "metric", "model", "param")), 3).select("feature", "trr")
-
-
-@query("s_feature_count")
-def s_feature_count(s, d):
-    """Accuracy, coverage and rate as more features are kept."""
-    rows, tickets = tel(s, d), net(s, d)
-    return choose_feature_count(_detector().scores(rows, tickets, END), rows, tickets, A.POINTS_PER_DAY, 5, X, Y, END)
-
-
-# Verdicts, windows, faults
-
-
-def combined(rule: str, k: int = 1):
-    return lambda s, d: S.combine(tel(s, d), [("snr", F.col("snr") < 29), ("tx", F.col("tx") >= 50), ("rx", F.col("rx") < -6)], rule, k).select("rec_id", "abnormal", F.array_join("fired", ",").alias("fired"))
-
-
-def combined_sql(test: str) -> str:
-    n = "((snr < 29)::INT + (tx >= 50)::INT + (rx < -6)::INT)"
-    return f"WITH {O.BASE} SELECT rec_id, {n} {test} AS abnormal, concat_ws(',', CASE WHEN snr < 29 THEN 'snr' END, CASE WHEN tx >= 50 THEN 'tx' END, CASE WHEN rx < -6 THEN 'rx' END) AS fired FROM tel"
-
-
-query("c_or", combined_sql(">= 1"))(combined("or"))
-query("c_and", combined_sql("= 3"))(combined("and"))
-query("c_two", combined_sql(">= 2"))(combined("k", 2))
-query("c_raw", f"WITH {O.BASE} SELECT rec_id, snr < 28 OR snr > 36.5 AS abnormal FROM tel")(lambda s, d: B.raw_limit(tel(s, d), "snr", 28.0, 36.5).select("rec_id", "abnormal"))
-query("w_split", f"WITH {O.BASE} SELECT CASE WHEN ts < TIMESTAMP '2024-01-19' THEN 'train' ELSE 'test' END AS part, count(*) AS n FROM tel WHERE ts < TIMESTAMP '2024-01-19' OR ts >= TIMESTAMP '2024-01-20' GROUP BY 1")(lambda s, d: (lambda p: p[0].groupBy(F.lit("train").alias("part")).agg(F.count(F.lit(1)).alias("n")).unionByName(p[1].groupBy(F.lit("test").alias("part")).agg(F.count(F.lit(1)).alias("n"))))(S.time_split(tel(s, d), START, "2024-01-19", END, SPLIT)))
-query("w_marks", f"WITH {O.marks(O.RULE, X, Y)} SELECT rec_id, hits, marked FROM marks")(lambda s, d: marks(s, d).select("rec_id", "hits", "marked"))
-query("w_marks_strict", f"WITH {O.marks(O.RULE, X + 1, Y)} SELECT rec_id, hits, marked FROM marks")(lambda s, d: S.mark_windows(verdicts(s, d), X, Y, strict=True).select("rec_id", "hits", "marked"))
-
-
-def fault_rows(f: DataFrame) -> DataFrame:
-    return f.select("device", "onset", F.col("end").alias("fault_end"), *r6("hours"), "points", "peak", "open")
-
-
-FAULT_SQL = 'SELECT device, onset, fend AS fault_end, round(hours, 6) AS hours, points, peak, "open" FROM flt'
-query("w_faults", f"WITH {O.FAULTS} {FAULT_SQL}")(lambda s, d: fault_rows(flt(s, d)))
-query("w_faults_span", f"WITH {O.faults(O.RULE, X, Y, 'arg_min(oldest, (ts, rec_id))')} {FAULT_SQL}")(lambda s, d: fault_rows(flt(s, d, extent="span")))
-query("w_merge", f"WITH {O.FAULTS}{O.MERGED} SELECT node::VARCHAR AS scope, onset, fend AS fault_end, faults FROM event")(lambda s, d: FL.merge_simultaneous(flt(s, d)).select("scope", "onset", F.col("end").alias("fault_end"), "faults"))
-query("w_tickets", f"WITH {O.FAULTS} SELECT ticket_id, device, onset FROM met")(lambda s, d: FL.tickets_in_faults(flt(s, d), net(s, d)).select("ticket_id", "device", "onset"))
-
-
-def typed(s, d, metric: str = "tx", cut: float = 0.5) -> DataFrame:
-    ill = tel(s, d).where("maint or serv").select("device").distinct()
-    vectors = K.device_vectors(tel(s, d), metric, START, END, 12, ill)
-    return K.type_faults(K.cluster_devices(vectors, [cut]))
-
-
-query("w_dispatch")(lambda s, d: FL.dispatch_decisions(flt(s, d), typed(s, d)))
-query("d_call", f"""WITH {O.marks(O.RULE, X, Y)}, p AS (SELECT t.ticket_id, (SELECT arg_max(m.hits, (m.ts, m.rec_id)) FROM marks m WHERE m.account = t.account AND m.ts <= t.created) AS hits FROM tkt t)
-SELECT ticket_id, hits, coalesce(hits >= {X}, false) AS network_cause FROM p""")(lambda s, d: FL.diagnose_calls(A.tickets(s, d), marks(s, d), X).select("ticket_id", "hits", "network_cause"))
-
-# Measures
-
-query("m_scores", f"WITH {O.FAULTS} {O.SCORES}")(lambda s, d: M.fault_scores(flt(s, d), net(s, d), held(s, d)).select("faults", "true_faults", *r6("accuracy"), "detected", "tickets", *r6("coverage", "ntr")))
-query("m_scores_node", f"WITH {O.FAULTS}{O.MERGED}, hit AS (SELECT DISTINCT e.node, e.event_no FROM event e JOIN merged m USING (node, event_no) JOIN net t ON t.account = m.account AND t.created >= e.onset AND t.created < e.fend) SELECT (SELECT count(*) FROM event) AS faults, (SELECT count(*) FROM hit) AS true_faults, round((SELECT count(*) FROM hit) / (SELECT count(*) FROM event), 6) AS accuracy")(
-    lambda s, d: M.fault_scores(flt(s, d), net(s, d), held(s, d), "node").select("faults", "true_faults", *r6("accuracy"))
-)
-query("m_jaccard", O.jaccard(O.XY, (3, 6)))(lambda s, d: M.fault_time_jaccard(flt(s, d), flt(s, d, 3, 6)).select(F.round("both_hours", 4).alias("both_hours"), F.round("any_hours", 4).alias("any_hours"), *r6("jaccard")))
-query("m_overlap", f"WITH {O.FAULTS}, late AS (SELECT DISTINCT ticket_id FROM met WHERE created >= TIMESTAMP '2024-01-15'), every AS (SELECT DISTINCT ticket_id FROM met) SELECT (SELECT count(*) FROM every) AS detected, (SELECT count(*) FROM late) AS shared, round((SELECT count(*) FROM late) / (SELECT count(*) FROM every), 6) AS overlap")(
-    lambda s, d: (lambda m: M.ticket_overlap(m, m.where(F.col("created") >= F.lit("2024-01-15").cast("timestamp_ntz"))).select("detected", "shared", *r6("overlap")))(FL.tickets_in_faults(flt(s, d), net(s, d)))
-)
-YS = (1, 4, 6)
-query("m_sweep", O.sweep(YS) + " SELECT y::INT AS y, x::BIGINT AS x, faults, round(accuracy, 6) AS accuracy, round(coverage, 6) AS coverage, round(ntr, 6) AS ntr FROM swept WHERE faults > 0")(lambda s, d: M.ticket_sweep(verdicts(s, d), net(s, d), YS, END).select("y", "x", "faults", *r6("accuracy", "coverage", "ntr")))
-query("w_tune", O.sweep(YS) + " SELECT y::INT AS y, x::BIGINT AS x, coverage >= 0.15 AS floor_met, round(accuracy, 6) AS accuracy FROM swept WHERE faults > 0 QUALIFY row_number() OVER (PARTITION BY y ORDER BY coverage >= 0.15 DESC, ntr * accuracy DESC NULLS LAST, x DESC) = 1")(
-    lambda s, d: M.tune_window(M.ticket_sweep(verdicts(s, d), net(s, d), YS, END)).select("y", "x", "floor_met", *r6("accuracy"))
-)
-query("m_rand", """WITH l AS (SELECT label AS a, vec_id % 7 AS b FROM embeddings), c AS (SELECT a, b, count(*) AS n FROM l GROUP BY a, b),
- p AS (SELECT sum(n * (n - 1) / 2) AS ab, sum(n) AS m, (SELECT sum(t * (t - 1) / 2) FROM (SELECT sum(n) AS t FROM c GROUP BY a)) AS pa, (SELECT sum(t * (t - 1) / 2) FROM (SELECT sum(n) AS t FROM c GROUP BY b)) AS pb FROM c)
-SELECT m::BIGINT AS items, round((m * (m - 1) / 2 + 2 * ab - pa - pb) / (m * (m - 1) / 2), 6) AS ri, round((ab - pa * pb / (m * (m - 1) / 2)) / ((pa + pb) / 2 - pa * pb / (m * (m - 1) / 2)), 6) AS ari FROM p""")(
-    lambda s, d: M.cluster_agreement(read_table(s, d, "embeddings").select(F.col("label").alias("a"), (F.col("vec_id") % 7).alias("b")), "a", "b").select("items", *r6("ri", "ari"))
-)
-DETECTED = f"{O.FAULTS}, det AS (SELECT t.*, m.onset AS m_onset FROM net t JOIN (SELECT ticket_id, min(onset) AS onset FROM met GROUP BY ticket_id) m USING (ticket_id))"
-
-
-def detected(s, d) -> DataFrame:
-    return M.detected_tickets(flt(s, d), net(s, d))
-
-
-LIFE = O.HOURS.format(a="created", b="closed")
-query("st_types", f"WITH {DETECTED} SELECT action, description, count(*) AS n FROM det GROUP BY ALL")(lambda s, d: M.ticket_type_counts(detected(s, d)))
-query("st_life", f"WITH {DETECTED}, l AS (SELECT closed, {LIFE} AS v FROM det) SELECT count(*) FILTER (WHERE closed IS NULL) AS open_tickets, count(v) AS n, round(avg(v), 6) AS mean, round(median(v), 6) AS median FROM l")(lambda s, d: M.life_time_stats(detected(s, d)).select(F.col("open").alias("open_tickets"), "n", *r6("mean", "median")))
-query("st_life_cdf", f"WITH {DETECTED}, l AS (SELECT {LIFE} AS v FROM det WHERE closed IS NOT NULL), p(at) AS (VALUES (12.0::DOUBLE), (24.0), (48.0), (96.0), (192.0)) SELECT at, round(avg((v <= at)::INT), 6) AS share FROM l, p GROUP BY at".replace("p(at)", "p(limit_at)").replace("SELECT at,", 'SELECT limit_at AS "at",').replace("v <= at", "v <= limit_at").replace("GROUP BY at", "GROUP BY limit_at"))(
-    lambda s, d: M.cumulative_shares(detected(s, d).withColumn("life", C.hours_between("created", "closed")), "life", (12, 24, 48, 96, 192)).select("at", *r6("share"))
-)
-query("st_wait", f"WITH {DETECTED}, w AS (SELECT {O.HOURS.format(a='m_onset', b='created')} AS v FROM det) SELECT count(v) AS n, round(avg(v), 6) AS mean, round(median(v), 6) AS median FROM w")(lambda s, d: M.report_wait_stats(detected(s, d)).select("n", *r6("mean", "median")))
-query("st_length", f"WITH {O.FAULTS} SELECT floor(hours / 24)::BIGINT AS bin, count(*) AS n, round(count(*) / (SELECT count(*) FROM flt) / 24, 8) AS density FROM flt GROUP BY 1")(lambda s, d: M.fault_length_density(flt(s, d)).select("bin", "n", F.round("density", 8).alias("density")))
-
-# Baselines
-
-BANDED = ("snr", "tx", "rx")
-
-
-def bands(s, d) -> list[B.Band]:
-    return B.quantile_bands(tel(s, d).where("day < 19"), BANDED, exact=True)
-
-
-BAND_SQL = O.BASE + "".join(f", q_{m} AS (SELECT quantile_cont({m}, 0.01) AS a, quantile_cont({m}, 0.05) AS b, quantile_cont({m}, 0.95) AS c, quantile_cont({m}, 0.99) AS d FROM tel WHERE day < 19)" for m in BANDED)
-LEVEL = "greatest(" + ", ".join(f"CASE WHEN {m} BETWEEN q_{m}.b AND q_{m}.c THEN 0 WHEN {m} BETWEEN q_{m}.a AND q_{m}.d THEN 1 ELSE 2 END" for m in BANDED) + ")"
-POINTS = " + ".join(f"({m} < q_{m}.b)::INT + ({m} > q_{m}.c)::INT" for m in BANDED)
-query("b_bands", f"WITH {BAND_SQL} SELECT rec_id, ['green', 'yellow', 'red'][{LEVEL} + 1] AS level, {LEVEL} > 0 AS abnormal FROM tel, q_snr, q_tx, q_rx")(lambda s, d: B.colour_bands(tel(s, d), bands(s, d)).select("rec_id", "level", "abnormal"))
-query("b_board", f"WITH {BAND_SQL} SELECT rec_id, ({POINTS})::DOUBLE AS points, {POINTS} > 1 AS abnormal FROM tel, q_snr, q_tx, q_rx")(lambda s, d: B.scoreboard(tel(s, d), B.band_rules(bands(s, d))).select("rec_id", "points", "abnormal"))
-query("b_tap", "WITH t AS (SELECT vec_id, vec_id % 5 AS day, [x::DOUBLE * x::DOUBLE for x in embedding] AS e FROM embeddings), r AS (SELECT vec_id, day::INT AS day, 10 * log10((e[17] + e[18]) / (list_sum(e) - e[17] - e[18])) < -12 AS bad FROM t) SELECT day, count(DISTINCT vec_id) AS devices, count(DISTINCT vec_id) FILTER (WHERE bad) AS flagged, round(count(DISTINCT vec_id) FILTER (WHERE bad) / count(DISTINCT vec_id), 6) AS share FROM r GROUP BY ROLLUP (day)")(
-    lambda s, d: B.flagged_share(B.tap_ratio_flags(A.taps(s, d), -12.0)).select("day", "devices", "flagged", *r6("share"))
-)
-query("b_tap_18db", "SELECT NULL::INT AS day, count(DISTINCT vec_id) AS devices, count(DISTINCT vec_id) AS flagged FROM embeddings UNION ALL SELECT (vec_id % 5)::INT, count(DISTINCT vec_id), count(DISTINCT vec_id) FROM embeddings GROUP BY 1")(lambda s, d: B.flagged_share(B.tap_ratio_flags(A.taps(s, d), 18.0)).select("day", "devices", "flagged"))
-query("b_label", f"WITH {O.BASE} SELECT rec_id, EXISTS (SELECT 1 FROM tkt k WHERE k.is_network AND k.account = t.account AND k.created <= t.ts AND t.ts <= coalesce(k.closed, {O.END}))::INT AS label FROM tel t")(lambda s, d: L.label_from_tickets(tel(s, d), net(s, d), END).select("rec_id", "label"))
-query("b_balance")(lambda s, d: L.balance(L.label_from_tickets(tel(s, d), net(s, d), END)).groupBy("label").agg(F.count(F.lit(1)).alias("n")))
-
-
-def learned(kind: str):
-    def run(s, d):
-        rows = FE.build_features(L.label_from_tickets(tel(s, d), net(s, d), END), feature_grid(["snr", "tx"], (1, 2), ()), A.POINTS_PER_DAY)
-        train, valid, test = rows.where("day < 13"), rows.where("day >= 13 and day < 19"), rows.where("day >= 19")
-        inputs = [*A.METRICS, *[f.column for f in feature_grid(["snr", "tx"], (1, 2), ())]]
-        scored, _ = L.train_and_predict(kind, L.balance(train), valid, test, inputs)
-        return L.label_quality(scored)
-
-    return run
-
-
-for _kind in ("tree", "forest", "svm", "svm_fourier"):
-    query(f"b_{_kind}")(learned(_kind))
-
-# Clusters
-
-query("k_pairs", """WITH v AS (SELECT vec_id % 25 AS node, vec_id, [x[1]::DOUBLE + CASE WHEN x[2] = label THEN 0.7 ELSE 0 END for x in list_zip(embedding, range(64))] AS u FROM embeddings)
-SELECT p.node::INT AS node, p.vec_id AS a, q.vec_id AS b, round(list_dot_product(p.u, q.u) / sqrt(list_dot_product(p.u, p.u)) / sqrt(list_dot_product(q.u, q.u)), 6) AS similarity FROM v p JOIN v q ON p.node = q.node AND p.vec_id < q.vec_id""")(
-    lambda s, d: K.pair_similarity(A.vectors(s, d, 0.7, 25)).select("node", "a", "b", *r6("similarity"))
-)
-CUTS = tuple(round(0.1 * i, 1) for i in range(1, 8))
-METHODS = ("average", "single", "complete", "density")
-
-
-def clustered(method: str):
-    return lambda s, d: K.cluster_devices(A.vectors(s, d, 0.7), CUTS, method, "cosine").select("device", "cut", "cluster_id", "size")
-
-
-for _method in METHODS:
-    query(f"k_{_method}")(clustered(_method))
-
-
-@query("k_agreement")
-def k_agreement(s, d):
-    """Agreement of all four algorithms with the planted groups, at every cut and for every strength of the plant."""
-    out = None
-    for alpha in (0.0, 0.7, 1.0, 1.5):
-        vectors = A.vectors(s, d, alpha)
-        truth = vectors.select("device", "label")
-        for method in METHODS:
-            found = K.cluster_devices(vectors.drop("label"), CUTS, method, "cosine").join(truth, "device")
-            pairs = lambda c: F.col(c) * (F.col(c) - 1) / 2
-            cells = found.groupBy("cut", "cluster_id", "label").agg(F.count(F.lit(1)).alias("n"))
-            both = cells.groupBy("cut").agg(F.sum(pairs("n")).alias("p_ab"), F.sum("n").alias("items"))
-            one = cells.groupBy("cut", "cluster_id").agg(F.sum("n").alias("n")).groupBy("cut").agg(F.sum(pairs("n")).alias("p_a"))
-            two = cells.groupBy("cut", "label").agg(F.sum("n").alias("n")).groupBy("cut").agg(F.sum(pairs("n")).alias("p_b"))
-            total = F.col("items") * (F.col("items") - 1) / 2
-            expected = F.col("p_a") * F.col("p_b") / total
-            row = both.join(one, "cut").join(two, "cut").select(F.lit(alpha).alias("alpha"), F.lit(method).alias("method"), "cut", F.round((total + 2 * F.col("p_ab") - F.col("p_a") - F.col("p_b")) / total, 4).alias("ri"), F.round(F.try_divide(F.col("p_ab") - expected, (F.col("p_a") + F.col("p_b")) / 2 - expected), 4).alias("ari"))
-            out = row if out is None else out.unionByName(row)
-    return out
-
-
-query("k_corr", f"WITH {O.BASE} SELECT 'snr' AS a, 'tx' AS b, round(corr(snr, tx), 6) AS corr FROM tel UNION ALL SELECT 'snr', 'rx', round(corr(snr, rx), 6) FROM tel UNION ALL SELECT 'tx', 'rx', round(corr(tx, rx), 6) FROM tel")(lambda s, d: K.metric_correlation(tel(s, d), ("snr", "tx", "rx")).select("a", "b", *r6("corr")))
-
-
-@query("k_types")
-def k_types(s, d):
-    """Planted fault kind against the typed one, per cut: how the cut trades one error for the other."""
-    truth = tel(s, d).where("maint or serv").groupBy("device").agg(F.max("maint").alias("shared"))
-    vectors = K.device_vectors(tel(s, d), "tx", START, END, 12, truth)
-    found = K.type_faults(K.cluster_devices(vectors, (0.2, 0.3, 0.4, 0.5, 0.6, 0.7, 0.8, 0.9))).join(truth, "device")
-    return found.groupBy("cut", "shared", "fault_type").agg(F.count(F.lit(1)).alias("n"))
-
-
-def _typer() -> FaultTyper:
-    return FaultTyper(start=START, end=END, min_tickets=5)
-
-
-def ill(s, d) -> DataFrame:
-    return tel(s, d).where("maint or serv").select("device").distinct()
-
-
-@query("k_trr")
-def k_trr(s, d):
-    """The maintenance rate ratio of every cut, for each of the typer's metrics."""
-    typer = _typer()
-    scores = [typer.scores(tel(s, d), ill(s, d), A.tickets(s, d), m).withColumn("metric", F.lit(m)) for m in typer.metrics]
-    return reduce(DataFrame.unionByName, scores)
-
-
-query("k_cuts")(lambda s, d: K.cut_sensitivity(K.cluster_devices(K.device_vectors(tel(s, d), "tx", START, END, 12, ill(s, d)), CUTS)))
-query("k_combined")(lambda s, d: K.combine_types(typed(s, d, "snr").select("device", "fault_type"), typed(s, d, "tx").select("device", "fault_type")))
-
-# Experiments
-
-
-@query("q_methods")
-def q_methods(s, d):
-    """All methods side by side: thresholds and windows from the first 19 days, measures on the rest."""
-    from .experiments import compare_methods
-
-    return compare_methods(tel(s, d), net(s, d), END)
-
-
-@query("q_top_features")
-def q_top_features(s, d):
-    return S.pick_features(_detector().scores(tel(s, d).where("day < 19"), net(s, d).where("day < 19"), SPLIT), 5)
-
-
-query("q_xy")(lambda s, d: M.ticket_sweep(verdicts(s, d), net(s, d), (12,), END))
-query("q_windows")(lambda s, d: M.tune_window(M.ticket_sweep(verdicts(s, d), net(s, d), tuple(range(1, 31)), END)))
-query("q_windows_long")(lambda s, d: M.tune_window(M.ticket_sweep(S.combine(R.held_intervals(A.supply_telemetry(s, d).withColumn("rec_id", F.xxhash64("l_orderkey", "l_linenumber", "l_partkey", "l_extendedprice")), "2001-12-31", order=A.SUPPLY_ORDER), [("l_quantity", F.col("l_quantity") > 45)]), A.supply_tickets(s, d), tuple(range(5, 61, 5)), "2001-12-31", order=A.SUPPLY_ORDER)))
-
-
-@query("q_lift")
-def q_lift(s, d):
-    """Rate of each kind of ticket in time of the matching fault type, over its overall rate."""
-    kinds = typed(s, d).select("device", "fault_type")
-    rows = held(s, d).withColumn("faulty", F.col("maint") | F.col("serv"))
-    tickets = A.tickets(s, d)
-    both = R.count_tickets(rows, tickets.where("is_maintenance"), name="k_maintenance")
-    both = R.count_tickets(both, tickets.where("is_network and not is_maintenance"), name="k_service")
-    return M.typed_rate_lift(both.join(kinds, "device", "left").withColumn("fault_type", F.when(F.col("faulty"), F.col("fault_type"))))
-
-
-@query("q_traces")
-def q_traces(s, d):
-    """Daily mean transmit power of the devices of each node: shared, distinct and normal patterns side by side."""
-    rows = tel(s, d).withColumn("kind", F.when(F.col("maint"), "shared").when(F.col("serv"), "distinct").otherwise("normal"))
-    return rows.groupBy("node", F.floor("day").alias("day")).pivot("kind", ["normal", "shared", "distinct"]).agg(F.round(F.avg("tx"), 4))
-
-
-# General operators around the methods
-
-query("g_rollup", f"""WITH {O.COUNTED} SELECT n_regionkey::INT AS region, c.node, sum(tickets)::BIGINT AS tickets, round(sum(hours), 4) AS hours FROM counted c JOIN nation ON n_nationkey = c.node GROUP BY ROLLUP (n_regionkey, c.node)""")(
-    lambda s, d: counted(s, d).join(F.broadcast(read_table(s, d, "nation").select(F.col("n_nationkey").cast("int").alias("node"), F.col("n_regionkey").cast("int").alias("region"))), "node").rollup("region", "node").agg(F.sum("tickets").alias("tickets"), F.round(F.sum("hours"), 4).alias("hours"))
-)
-query("g_pivot", f"WITH {O.BASE} SELECT node, count(*) FILTER (WHERE action = 'Dispatch') AS Dispatch, count(*) FILTER (WHERE action = 'Education') AS Education, count(*) FILTER (WHERE action = 'Cancelled') AS Cancelled FROM tkt GROUP BY node")(
-    lambda s, d: A.tickets(s, d).groupBy("node").pivot("action", ["Dispatch", "Education", "Cancelled"]).agg(F.count(F.lit(1))).na.fill(0)
-)
-query("g_silent", f"WITH {O.BASE} SELECT DISTINCT device FROM tel WHERE maint AND account NOT IN (SELECT account FROM tkt WHERE is_maintenance)")(lambda s, d: tel(s, d).where("maint").select("device").distinct().join(A.tickets(s, d).where("is_maintenance").select(F.col("account").alias("device")), "device", "left_anti"))
-query("g_worst", f"WITH {O.BASE} SELECT node, rec_id, round(snr, 6) AS snr FROM tel QUALIFY row_number() OVER (PARTITION BY node ORDER BY snr, rec_id) <= 3")(lambda s, d: tel(s, d).withColumn("p", F.row_number().over(Window.partitionBy("node").orderBy("snr", "rec_id"))).where("p <= 3").select("node", "rec_id", *r6("snr")))
-query("g_sessions", f"""WITH {O.BASE}, g AS (SELECT *, CASE WHEN ts > lag(ts) OVER (PARTITION BY device ORDER BY ts) + INTERVAL 24 HOURS OR lag(ts) OVER (PARTITION BY device ORDER BY ts) IS NULL THEN 1 ELSE 0 END AS fresh FROM tel WHERE snr < 29), i AS (SELECT *, sum(fresh) OVER (PARTITION BY device ORDER BY ts) AS no FROM g)
-SELECT device, min(ts) AS onset, count(*) AS points FROM i GROUP BY device, no""")(lambda s, d: tel(s, d).where("snr < 29").groupBy("device", F.session_window("ts", "24 hours 1 microsecond")).agg(F.min("ts").alias("onset"), F.count(F.lit(1)).alias("points")).select("device", "onset", "points"))
-query("g_tumbling", f"WITH {O.BASE} SELECT node, date_trunc('day', ts) AS start, count(*) AS records, sum((snr < 29)::INT)::BIGINT AS abnormal_records FROM tel GROUP BY ALL")(lambda s, d: tel(s, d).groupBy("node", F.window("ts", "1 day")).agg(F.count(F.lit(1)).alias("records"), F.sum((F.col("snr") < 29).cast("int")).alias("abnormal_records")).select("node", F.col("window.start").cast("timestamp_ntz").alias("start"), "records", "abnormal_records"))
-query("g_ranks", f"WITH {O.BASE}, m AS (SELECT node, round(avg(snr), 6) AS snr FROM tel GROUP BY node) SELECT node, snr, rank() OVER (ORDER BY snr)::INT AS place, ntile(4) OVER (ORDER BY snr, node)::INT AS quarter, round(percent_rank() OVER (ORDER BY snr), 6) AS share FROM m")(
-    lambda s, d: tel(s, d).groupBy("node").agg(F.round(F.avg("snr"), 6).alias("snr")).select("node", "snr", F.rank().over(Window.orderBy("snr")).alias("place"), F.ntile(4).over(Window.orderBy("snr", "node")).alias("quarter"), F.round(F.percent_rank().over(Window.orderBy("snr")), 6).alias("share"))
-)
-query("g_atypical_hours", f"WITH {O.BASE} SELECT extract('hour' FROM created)::INT AS hour, extract('isodow' FROM created)::INT % 7 + 1 AS weekday, count(*) AS n FROM tkt GROUP BY ALL")(lambda s, d: A.tickets(s, d).groupBy(F.hour("created").alias("hour"), F.dayofweek("created").alias("weekday")).agg(F.count(F.lit(1)).alias("n")))
-query("g_severity", f"WITH {O.FAULTS} SELECT device, onset, round(peak * ln(1 + hours), 6) AS severity FROM flt QUALIFY row_number() OVER (ORDER BY peak * ln(1 + hours) DESC, device, onset) <= 20")(lambda s, d: flt(s, d).select("device", "onset", F.round(F.col("peak") * F.log1p("hours"), 6).alias("severity"), (F.col("peak") * F.log1p("hours")).alias("exact")).orderBy(F.desc("exact"), "device", "onset").limit(20).drop("exact"))
-query("g_reports_within", "SELECT o_orderpriority AS severity, o_orderstatus AS status, count(*) AS n, round(avg(l_quantity), 6) AS mean_hours FROM lineitem JOIN orders ON l_orderkey = o_orderkey WHERE l_returnflag = 'R' GROUP BY ALL")(lambda s, d: A.supply_tickets(s, d).groupBy("severity", "status").agg(F.count(F.lit(1)).alias("n"), F.round(F.avg(C.hours_between("created", "closed")), 6).alias("mean_hours")))
+__all__ = ["QUERIES", "SQL", "clusters_queries", "experiments_queries", "faults_queries", "features_queries", "general_queries", "tickets_queries"]

@@ -6,7 +6,7 @@ periods, so that methods can be compared with a truth; plant=False gives the unt
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.columns import add_hours, tap_ratio_db
@@ -63,14 +63,17 @@ def tickets(spark: SparkSession, sf_dir: str, plant: bool = True) -> DataFrame:
     )
 
 
-def supply_telemetry(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Long series with many ties: one per supplier, about 400 points each."""
-    nodes = read_table(spark, sf_dir, "supplier").select(F.col("s_suppkey").alias("device"), F.col("s_nationkey").cast("int").alias("node"))
-    rows = read_table(spark, sf_dir, "lineitem").where("l_returnflag <> 'R'")
-    return rows.join(nodes, rows.l_suppkey == nodes.device).select("device", F.col("device").alias("account"), "node", F.col("l_shipdate").alias("ts"), "l_orderkey", "l_linenumber", "l_partkey", "l_extendedprice", "l_quantity", "l_discount", "l_tax")
+SUPPLY_END = "2001-12-31"
+SUPPLY_ORDER = ("ts", "l_orderkey", "l_linenumber", "l_partkey", "l_extendedprice")
 
 
-SUPPLY_ORDER = ("ts", "l_orderkey", "l_linenumber", "l_partkey", "l_extendedprice")
+def supply_telemetry(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Long series with many ties: one per supplier, about 400 points each. rec_id follows the order of the series."""
+    nodes = read_table(spark, sf_dir, "supplier").select(F.col("s_suppkey").alias("device"), F.col("s_nationkey").cast("int").alias("node"))
+    rows = read_table(spark, sf_dir, "lineitem").where("l_returnflag <> 'R'").withColumn("ts", F.col("l_shipdate"))
+    place = F.row_number().over(Window.partitionBy("device").orderBy(*SUPPLY_ORDER))
+    joined = rows.join(nodes, rows.l_suppkey == nodes.device).withColumn("rec_id", F.col("device") * F.lit(10**9) + place)
+    return joined.select("rec_id", "device", F.col("device").alias("account"), "node", "ts", "l_orderkey", "l_linenumber", "l_partkey", "l_extendedprice", "l_quantity", "l_discount", "l_tax")
 
 
 def supply_tickets(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -88,12 +91,41 @@ def vectors(spark: SparkSession, sf_dir: str, alpha: float = 0.0, nodes: int = 1
     return emb.withColumn("moved", moved).withColumn("norm", norm).select((F.col("vec_id") % nodes).cast("int").alias("node"), F.lit(0).alias("slot"), F.col("vec_id").alias("device"), F.transform("moved", lambda v: v / F.col("norm")).alias("vector"), "label")
 
 
+def grouped_vectors(spark: SparkSession, sf_dir: str, alpha: float, groups: int = 16, nodes: int = 4) -> DataFrame:
+    """(node, slot, device, vector, label): the shape of a labelled set of some shared faults and some lone ones.
+
+    One device in seven (113 of 813) is alone, its own label; the others belong to one of the groups, each inside one node,
+    and have alpha added on their group's coordinate.
+    """
+    emb = read_table(spark, sf_dir, "embeddings")
+    group = F.when(F.col("vec_id") % 7 != 3, F.col("vec_id") % groups)
+    moved = F.transform("embedding", lambda v, i: v.cast("double") + F.when(i == F.col("fault"), F.lit(float(alpha))).otherwise(0.0))
+    label = F.coalesce(F.col("fault"), F.col("vec_id") + groups)
+    return emb.withColumn("fault", group).select((F.col("vec_id") % groups % nodes).cast("int").alias("node"), F.lit(0).alias("slot"), F.col("vec_id").alias("device"), moved.alias("vector"), label.alias("label"))
+
+
+def tap_vectors(spark: SparkSession, sf_dir: str, main: int = 8) -> DataFrame:
+    """(device, day, tap_db) of equalisers in health and out of it: the main tap is 9.5 to 24.5 dB above all others, by device."""
+    emb = read_table(spark, sf_dir, "embeddings")
+    energy = F.aggregate("embedding", F.lit(0.0), lambda acc, v: acc + v.cast("double") * v.cast("double"))
+    own = F.aggregate(F.slice("embedding", 2 * main + 1, 2), F.lit(0.0), lambda acc, v: acc + v.cast("double") * v.cast("double"))
+    level = F.sqrt((energy - own) * F.pow(F.lit(10.0), (F.lit(9.5) + F.col("vec_id") % 16) / 10))
+    taps_ = F.transform("embedding", lambda v, i: F.when(i == 2 * main, level).when(i == 2 * main + 1, F.lit(0.0)).otherwise(v.cast("double")))
+    return emb.select(F.col("vec_id").alias("device"), (F.col("vec_id") % 5).cast("int").alias("day"), tap_ratio_db(taps_, main).alias("tap_db"))
+
+
 def taps(spark: SparkSession, sf_dir: str, main: int = 8) -> DataFrame:
     """(device, day, tap_db): embeddings read as equaliser taps, sampled on five days."""
     return read_table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("device"), (F.col("vec_id") % 5).cast("int").alias("day"), tap_ratio_db("embedding", main).alias("tap_db"))
 
 
 def text_tickets(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """One free-text ticket per conversation: its first user turn, lower-cased."""
+    """One free-text ticket per conversation: all its user turns in order."""
     turns = read_table(spark, sf_dir, "conversations").where("role = 'user'")
-    return turns.groupBy("conv_id").agg(F.min_by("text", "turn").alias("text")).select(F.col("conv_id").alias("ticket_id"), F.lower("text").alias("description"))
+    told = turns.groupBy("conv_id").agg(F.array_sort(F.collect_list(F.struct("turn", "text"))).alias("told"))
+    return told.select(F.col("conv_id").alias("ticket_id"), F.concat_ws("\n", F.col("told.text")).alias("description"))
+
+
+def document_tickets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """documents read as ticket texts."""
+    return read_table(spark, sf_dir, "documents").select(F.col("doc_id").alias("ticket_id"), F.col("text").alias("description"))

@@ -15,22 +15,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..functions.naming import Feature
-
-
-def _value(f: Feature, history: list, average: float | None, points_per_day: int) -> float | None:
-    if f.model == "ewma":
-        return average
-    win = f.param * points_per_day
-    last = history[-win:]
-    if len(last) < win or any(v is None for v in last):
-        return None
-    x = np.array(last, float)
-    if f.model == "avg":
-        return float(x.mean())
-    if f.model == "var":
-        return float(((x - x.mean()) ** 2).mean())
-    smooth = float(x @ np.arange(1, win + 1)) / (win * (win + 1) / 2)
-    return smooth if f.model == "wma" else float(x[-1] - smooth)
+from ..operators.grid import feature_matrix
 
 
 def monitor(stream: DataFrame, thresholds: Sequence[dict], x: int, y: int, points_per_day: int, idle_minutes: int = 0, delay: str = "1 day") -> DataFrame:
@@ -43,8 +28,21 @@ def monitor(stream: DataFrame, thresholds: Sequence[dict], x: int, y: int, point
 
     tests = [(parse_feature(t["feature"]), t["low"], t["high"]) for t in thresholds]
     metrics = list(dict.fromkeys(f.metric for f, _, _ in tests))
-    most = max([1, *[f.param * points_per_day for f, _, _ in tests if f.model != "ewma"]])
+    framed = [f for f, _, _ in tests if f.model != "ewma"]
     decays = [f for f, _, _ in tests if f.model == "ewma"]
+    most = max([1, *[f.param * points_per_day for f in framed]])
+
+    def averages_of(rows: pd.DataFrame, state: list) -> dict[Feature, np.ndarray]:
+        """The exponential averages record by record, from the last ones on; the state moves along."""
+        out = {f: np.full(len(rows), np.nan) for f in decays}
+        for i, f in enumerate(decays):
+            now, lam = state[i], f.param / 10
+            for t, v in enumerate(rows[f.metric].to_numpy(float, na_value=np.nan).tolist()):
+                if v == v:
+                    now = v if now is None else lam * v + (1 - lam) * now
+                out[f][t] = np.nan if now is None else now
+            state[i] = now
+        return out
 
     def step(key, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         if state.hasTimedOut:
@@ -52,29 +50,26 @@ def monitor(stream: DataFrame, thresholds: Sequence[dict], x: int, y: int, point
             return
         history, averages, flags = ([list(h) for h in state.get[0]], list(state.get[1]), list(state.get[2])) if state.exists else ([[] for _ in metrics], [None] * len(decays), [])
         rows = pd.concat(list(batches)).sort_values(["ts", "rec_id"], kind="stable")
-        out = []
-        for row in rows.itertuples(index=False):
-            for h, m in zip(history, metrics, strict=True):
-                v = getattr(row, m)
-                h.append(None if v is None or v != v else float(v))
-                del h[:-most]
-            for i, f in enumerate(decays):
-                v = history[metrics.index(f.metric)][-1]
-                if v is not None:
-                    averages[i] = v if averages[i] is None else f.param / 10 * v + (1 - f.param / 10) * averages[i]
-            abnormal = False
-            for f, low, high in tests:
-                v = _value(f, history[metrics.index(f.metric)], averages[decays.index(f)] if f in decays else None, points_per_day)
-                abnormal |= v is not None and ((low is not None and v < low) or (high is not None and v >= high))
-            before = sum(flags[-y:]) >= x if len(flags) else False
-            flags.append(bool(abnormal))
-            del flags[:-y]
-            hits = sum(flags)
-            out.append((key[0], row.rec_id, row.ts, bool(abnormal), hits, hits >= x, hits >= x and not before))
-        state.update((history, averages, flags))
+        values = {m: np.concatenate([np.array(h, float), rows[m].to_numpy(float, na_value=np.nan)]) for h, m in zip(history, metrics, strict=True)}
+        found = averages_of(rows, averages)
+        if framed:
+            long = feature_matrix(values, np.array([len(values[metrics[0]])]), framed, points_per_day)
+            found |= {f: x[len(x) - len(rows) :] for f, x in zip(framed, long, strict=True)}
+        abnormal = np.zeros(len(rows), bool)
+        for f, low, high in tests:  # a feature that is undefined (nan) passes both
+            abnormal |= (found[f] < low) if low is not None else False
+            abnormal |= (found[f] >= high) if high is not None else False
+        held = np.concatenate([np.array(flags, bool), abnormal])
+        upto = np.concatenate([[0], np.cumsum(held)])
+        at = np.arange(len(flags), len(held))
+        hits = upto[at + 1] - upto[np.maximum(at + 1 - y, 0)]
+        before = np.concatenate([[upto[len(flags)] - upto[max(len(flags) - y, 0)] if len(flags) else -1], hits[:-1]])
+        out = pd.DataFrame({"device": key[0], "rec_id": rows["rec_id"].to_numpy(), "ts": rows["ts"].to_numpy(), "abnormal": abnormal, "hits": hits, "marked": hits >= x, "dispatch": (hits >= x) & (before < x)})
+        kept = [[None if v != v else float(v) for v in values[m][-most:]] for m in metrics]
+        state.update((kept, averages, [bool(v) for v in held[-y:]]))
         if idle_minutes:
             state.setTimeoutDuration(idle_minutes * 60_000)
-        yield pd.DataFrame(out, columns=["device", "rec_id", "ts", "abnormal", "hits", "marked", "dispatch"])
+        yield out
 
     timeout = GroupStateTimeout.ProcessingTimeTimeout if idle_minutes else GroupStateTimeout.NoTimeout
     rows = stream.withWatermark("ts", delay).dropDuplicatesWithinWatermark(["rec_id"]).select("device", "rec_id", "ts", *metrics)

@@ -1,3 +1,4 @@
+import datetime as dt
 import itertools
 
 import numpy as np
@@ -67,12 +68,21 @@ def test_strong_plant_is_found(spark, sf):
     assert cluster_agreement(found.join(v.select("device", "label"), "device"), "cluster_id", "label").first().ari > 0.99
 
 
-def test_single_linkage_is_components(spark, sf):
-    v = A.vectors(spark, sf, 0.7, 25)
-    spark.sparkContext.setCheckpointDir("/tmp/linefault-test-checkpoints")
-    parts = {r.device: r.cluster_id for r in K.single_link_components(K.pair_similarity(v), 0.4).collect()}
-    whole = {r.device: r.cluster_id for r in K.cluster_devices(v.drop("label"), [0.4], "single", "cosine").collect()}
-    assert all(whole[d] == c for d, c in parts.items()) and all(whole[d] == d for d in whole if d not in parts)
+@pytest.mark.parametrize("kind", K.SIMILARITIES)
+def test_pairs_equal_matrix(spark, sf, kind):
+    v = A.vectors(spark, sf, 0.7, 100)
+    rows = {r.device: r for r in v.collect()}
+    for r in K.pair_similarity(v, kind).limit(60).collect():
+        assert r.similarity == pytest.approx(K.similarity_matrix(np.array([rows[r.a].vector, rows[r.b].vector]), kind)[0, 1])
+
+
+def test_vectors_by_period(spark):
+    day = dt.datetime(2024, 1, 1)
+    rows = [(1, 9, i, day + dt.timedelta(hours=12 * i + 1), float(i)) for i in range(8)]
+    tel = spark.createDataFrame(rows, "device long, node int, rec_id long, ts timestamp_ntz, tx double")
+    periods = spark.createDataFrame([(1, 9, 1), (1, 9, 3)], "device long, node int, slot int")
+    v = {r.slot: r.vector for r in K.device_vectors(tel, "tx", "2024-01-01", "2024-01-05", 12, periods, 24, 48).collect()}
+    assert v == {1: [0.0, 0.0, 1.0, 2.0], 3: [3.0, 4.0, 5.0, 6.0]}
 
 
 def test_types_and_combination(spark):

@@ -7,7 +7,7 @@ from linefault.operators import faults as FL
 from linefault.operators import measures as M
 from linefault.operators import selection as S
 from linefault.operators.rates import held_intervals
-from linefault.plans import registry as Q
+from linefault.plans import base as Q
 
 DAY = dt.datetime(2024, 1, 1)
 END = "2024-01-03"
@@ -71,16 +71,47 @@ def test_jaccard(spark):
     assert M.fault_time_jaccard(make(0, 4), make(0, 4)).first().jaccard == 1
 
 
-def test_sweep_equals_single_settings(spark, sf):
-    v, t = Q.verdicts(spark, sf), Q.net(spark, sf)
-    got = {(r.y, r.x): r for r in M.ticket_sweep(v, t, (4, 6), Q.END).collect()}
-    one = M.fault_scores(FL.fault_events(S.mark_windows(v, 2, 4), Q.END, 4), t, v).first()
-    assert (got[4, 2].faults, got[4, 2].accuracy, got[4, 2].coverage, got[4, 2].ntr) == pytest.approx((one.faults, one.accuracy, one.coverage, one.ntr))
-    assert got[4, 2].faults == 14 and round(got[4, 2].accuracy, 4) == 0.5714 and round(got[4, 2].ntr, 4) == 1.6266
-    coverage = [got[6, x].coverage for x in range(1, 6) if (6, x) in got]
+@pytest.fixture(scope="module")
+def fixed(spark, sf):
+    return S.combine(Q.held(spark, sf), [("snr", F.col("snr") < 29)]).persist()
+
+
+@pytest.mark.parametrize("scope", ["device", "node"])
+def test_sweep_equals_single_settings(spark, sf, fixed, scope):
+    t = Q.net(spark, sf)
+    got = {(r.y, r.x): r for r in M.ticket_sweep(fixed, t, (1, 4, 6), Q.END, scope=scope).collect()}
+    for x, y in ((1, 1), (1, 4), (2, 4), (3, 6), (0, 6)):
+        one = M.fault_scores(FL.fault_events(S.mark_windows(fixed, x, y), Q.END, y), t, fixed, scope).first()
+        assert (got[y, x].faults, got[y, x].accuracy, got[y, x].coverage, got[y, x].ntr) == pytest.approx((one.faults, one.accuracy, one.coverage, one.ntr))
+    assert got[6, 0].ntr == pytest.approx(1)
+    coverage = [got[6, x].coverage for x in range(7) if (6, x) in got]
     assert coverage == sorted(coverage, reverse=True)
 
 
+def test_reference_setting(spark, sf, fixed):
+    one = M.fault_scores(FL.fault_events(S.mark_windows(fixed, 2, 4), Q.END, 4), Q.net(spark, sf), fixed).first()
+    assert one.faults == 14 and round(one.accuracy, 4) == 0.5714
+
+
+def test_windows_against_a_reference(spark, sf, fixed):
+    t = Q.net(spark, sf)
+    rows = {r.y: r for r in M.compare_windows(fixed, t, (3, 4, 6), 6, Q.END).collect()}
+    assert rows[6].overlap == 1 and rows[6].jaccard == pytest.approx(1)
+    faults = {y: FL.fault_events(S.mark_windows(fixed, int(r.x), y), Q.END, y) for y, r in rows.items()}
+    for y in (3, 4):
+        time = M.fault_time_jaccard(faults[y], faults[6]).first()
+        both = M.ticket_overlap(*[FL.tickets_in_faults(faults[k], t) for k in (y, 6)]).first()
+        assert (rows[y].jaccard, rows[y].overlap) == pytest.approx((time.jaccard, both.overlap))
+
+
+def test_merging_in_steps(spark):
+    """Scope 'all' merges within days first; the events are those of one pass."""
+    rows = [(d, d, d % 3, n, DAY + dt.timedelta(hours=a), DAY + dt.timedelta(hours=b)) for n, (d, a, b) in enumerate([(1, 0, 30), (2, 20, 26), (3, 29, 31), (4, 31, 40), (5, 50, 60), (1, 59, 61), (2, 61, 62)])]
+    faults = spark.createDataFrame(rows, "device long, account long, node int, fault_no int, onset timestamp_ntz, end timestamp_ntz")
+    got = [(hours(r.onset), hours(r.end), r.faults, r.accounts) for r in FL.merge_simultaneous(faults, "all").orderBy("onset").collect()]
+    assert got == [(0, 31, 3, [1, 2, 3]), (31, 40, 1, [4]), (50, 61, 2, [1, 5]), (61, 62, 1, [2])]
+
+
 def test_agreement_by_hand(spark):
     rows = spark.createDataFrame(list(zip("aaabbb", "xxyyyy")), "a string, b string")
     r = M.cluster_agreement(rows, "a", "b").first()
@@ -91,5 +122,10 @@ def test_agreement_by_hand(spark):
 
 def test_diagnosis(spark):
     m = S.mark_windows(verdicts(spark, "0110000000"), 2, 2)
+    types = spark.createDataFrame([(1, 0, "service")], "device long, slot int, fault_type string")
+    named = FL.diagnose_calls(tickets(spark, [(1, 9), (1, 30)]), m, 2, types=types, start="2024-01-01", period_hours=24).orderBy("ticket_id").collect()
+    assert [r.fault_type for r in named] == ["service", None]
+    sent = FL.dispatch_decisions(FL.fault_events(m, END, 2), types, "2024-01-01", 24).collect()
+    assert [r.technician for r in sent] == ["service"]
     got = [r.network_cause for r in FL.diagnose_calls(tickets(spark, [(1, 9), (1, 30), (2, 9)]), m, 2).orderBy("ticket_id").collect()]
     assert got == [True, False, False]

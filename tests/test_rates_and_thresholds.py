@@ -5,7 +5,7 @@ from pyspark.sql import functions as F
 
 from linefault.operators import rates as R
 from linefault.operators import thresholds as T
-from linefault.plans import registry as Q
+from linefault.plans import base as Q
 from linefault.sources import adapters as A
 
 DAY = dt.datetime(2024, 1, 1)
