@@ -34,9 +34,10 @@ SPACE = b" \t\n\x0b\x0c\r"
 LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 SLOTS, KICKS = 4, 500
 KEYS_PER_SHARD = 50_000
-#: The filters are broadcast up to this size (about 25 million shared keys); beyond it they are
-#: left out and every line meets the exact table.
+#: The filters are broadcast up to this size (about 25 million shared keys). Beyond it the keys go to the filters: 24 bytes
+#: each, dealt by shard, and by document as well, so that a group holds about so many keys and a frequent line is spread.
 MAX_FILTER_BYTES = 64 * 2**20
+KEYS_PER_GROUP = 2**20
 
 
 def line_key(line: bytes) -> bytes | None:
@@ -229,12 +230,29 @@ class LineIndex:
         return self._changed(refs, counts, touched)
 
     def probe(self):
-        """The filters in one object for all executors, or None beyond MAX_FILTER_BYTES."""
+        """The filters in one object for all executors, or None beyond MAX_FILTER_BYTES, where sharded_hits asks them."""
         if self.shards * self.buckets * SLOTS * 2 > MAX_FILTER_BYTES:
             return None
         blobs = {r.shard: bytes(r.blob) for r in self.filters.toLocalIterator()}
         return self.refs.sparkSession.sparkContext.broadcast(ShardedProbe(blobs, self.shards, self.buckets))
 
+    def sharded_hits(self, keys: DataFrame, most: int) -> DataFrame:
+        """Rows of keys (doc_id, hi, lo) that the filters may hold, each asked in the shard of its key. most: documents of the
+        most frequent key."""
+        count, buckets = self.shards, self.buckets
+        parts = max(1, -(-max(most, self.refs.count() // count) // KEYS_PER_GROUP))
+        dealt = keys.withColumn("shard", F.col("hi").bitwiseAND(F.lit(count - 1)).cast("int")).withColumn("part", F.pmod(F.xxhash64("doc_id"), F.lit(parts)).cast("int"))
+        every = self.filters.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(parts - 1))))
+
+        def ask(rows: pa.Table, held: pa.Table) -> pa.Table:
+            slim = rows.select(["doc_id", "hi", "lo"])
+            if not held.num_rows:
+                return slim.slice(0, 0)
+            probe = ShardedProbe({0: held["blob"][0].as_py()}, 1, buckets)
+            return slim.filter(pa.array(probe.hits(np.zeros(slim.num_rows, np.int64), slim["lo"].to_numpy())))
+
+        return dealt.groupBy("shard", "part").cogroup(every.groupBy("shard", "part")).applyInArrow(ask, "doc_id long, hi long, lo long")
+
     def apply(self, docs: DataFrame) -> DataFrame:
         """doc_id, n_lines, n_dropped, kept_sha256 and kept (binary) of each row of docs."""
         probe = self.probe()
@@ -273,15 +291,18 @@ class LineIndex:
                 yield pa.RecordBatch.from_arrays([batch["doc_id"], pa.array(n, pa.int64()), pa.array(dropped, pa.int64()), pa.array(shas, pa.string()), pa.array(kept, pa.binary())], ["doc_id", "n_lines", "n_dropped", "kept_sha256", "kept"])
 
         shared = self.counts.where("first_doc < last_doc").select("hi", "lo", "first_doc", "n_refs")
-        total = shared.agg(F.coalesce(F.sum("n_refs"), F.lit(0))).first()[0]
-        hits = staged(rows.where("doc_id is not null").mapInArrow(hit_rows, "doc_id long, hi long, lo long"), "hits")
+        total, most = shared.agg(F.coalesce(F.sum("n_refs"), F.lit(0)), F.coalesce(F.max("n_refs"), F.lit(0))).first()
+        hits = rows.where("doc_id is not null").mapInArrow(hit_rows, "doc_id long, hi long, lo long")
+        hits = staged(hits if probe is not None else self.sharded_hits(hits, most), "hits")
         found = join_by_weight(hits, shared, ["hi", "lo"], "n_refs", total).where("first_doc < doc_id")
         gone = found.groupBy("doc_id").agg(F.collect_set(F.struct("hi", "lo")).alias("gone"))
+        form = "doc_id long, n_lines long, n_dropped long, kept_sha256 string, kept binary"
+        if probe is None:  # only the shards know which documents are hit
+            return rows.join(gone, "doc_id", "left").select(F.col("doc_id").cast("long").alias("doc_id"), "text", "gone").mapInArrow(cut, form)
         flagged = rows.withColumn("flag", F.coalesce(may_hit("text"), F.lit(False)) & F.col("doc_id").isNotNull())
         empty = F.lit(None).cast("array<struct<hi:bigint,lo:bigint>>").alias("gone")
         met = flagged.where("flag").join(gone, "doc_id", "left").select("doc_id", "text", "gone")
         passed = flagged.where("not flag").select("doc_id", "text", empty)
-        form = "doc_id long, n_lines long, n_dropped long, kept_sha256 string, kept binary"
         return reduce(DataFrame.unionByName, [x.select(F.col("doc_id").cast("long").alias("doc_id"), "text", "gone").mapInArrow(cut, form) for x in (met, passed)])
 
 

@@ -196,10 +196,21 @@ def test_insertions_and_deletions_equal_a_fresh_build(spark, docs_of):
     assert applied(less.insert(frame([LINES[0], LINES[3]])), frame(LINES)) == lines_brute(LINES)
 
 
-def test_without_filters(spark, docs_of, monkeypatch):
+@pytest.mark.parametrize("most", [2**20, 2])
+def test_filters_that_are_not_broadcast(spark, sf, docs_of, odd, monkeypatch, most):
+    """Beyond the broadcast limit the keys go to the shards, in as many parts as it takes, with the same result."""
     monkeypatch.setattr(LD, "MAX_FILTER_BYTES", 0)
-    df = docs_of([(i, t, "a") for i, t in LINES])
-    assert applied(LD.LineIndex.build(df), df) == lines_brute(LINES)
+    monkeypatch.setattr(LD, "KEYS_PER_GROUP", most)
+    monkeypatch.setattr(LD, "KEYS_PER_SHARD", 1)
+    rows = [(i, t) for i, t, _ in odd] + [(10 + i, t) for i, t in LINES]
+    df = docs_of([(i, t, "a") for i, t in rows])
+    index = LD.LineIndex.build(df)
+    assert index.probe() is None and index.shards > 1
+    assert applied(index, df) == lines_brute(rows)
+    asked = LD.references(df)
+    kept = index.sharded_hits(asked, 5)
+    missed = asked.join(kept, ["doc_id", "hi", "lo"], "left_anti").join(index.counts.where("first_doc < last_doc"), ["hi", "lo"], "left_semi")
+    assert missed.count() == 0 and kept.count() < asked.count()
 
 
 def test_cuckoo_shard():
@@ -241,7 +252,34 @@ def test_mixing_odd(docs_of, odd):
     assert MX.mix_report(docs_of(odd)).count() == len(odd)
     assert MX.mix_report(docs_of([])).count() == 0 == MX.mix_sources(docs_of([])).count()
     assert MX.mix_report(docs_of([(1, None, None), (2, "", "a")])).agg(F.sum("taken")).first()[0] == 0
-    MX.mix_sources(docs_of(odd)).collect()
+    report, mixed = MX.mix_report(docs_of(odd)), MX.mix_sources(docs_of(odd))
+    words = lambda t: MX.word_count(F.col(t))
+    assert mixed.agg(F.sum(words("text"))).first()[0] == report.agg(F.sum("taken")).first()[0]
+
+
+def test_mix_holds_what_it_reports(docs_of):
+    """Rows of one id: the mix takes exactly the words that the report names, and no row more than thrice."""
+    rows = [(i % 30, "w " * (3 + i % 4), "abc"[i % 3]) for i in range(90)] + [(5, "same same", "a")] * 7
+    df = docs_of(rows)
+    mixed = MX.mix_sources(df).collect()
+    assert sum(len(r.text.split()) for r in mixed) == MX.mix_report(df).agg(F.sum("taken")).first()[0]
+    have, took = collections.Counter((r[0], r[1], r[2]) for r in rows), collections.Counter((r.doc_id, r.text, r.source) for r in mixed)
+    assert all(n <= 3 * have[k] for k, n in took.items())
+
+
+@pytest.mark.parametrize("slices", [64, 4096])
+def test_slices_change_nothing(docs_of, slices):
+    df = docs_of([(i, "w " * (1 + i % 3), "ab"[i % 2]) for i in range(200)])
+    sized, _ = MX._sized(df, "doc_id", "text", "source")
+    targets = MX.source_targets(sized)
+    draw = lambda n: sorted((r.doc_id, r.copies) for r in MX.systematic_copies(sized, targets, slices=n).collect())
+    assert draw(slices) == draw(1)
+
+
+def test_mixing_has_no_python(docs_of, odd):
+    for df in (MX.mix_report(docs_of(odd)), MX.mix_sources(docs_of(odd))):
+        plan = df._jdf.queryExecution().executedPlan().toString()
+        assert "Python" not in plan and "Pandas" not in plan and "Arrow" not in plan
 
 
 # URLs
