@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import small_batches, table
+from .common import columns_of, fresh, small_batches, table
 from .progressive_jpeg import GROUP, decode_coefficients, encode_payload, read_payload, to_rgb
 
 #: Rows of one Arrow batch, so that decoded tensors in flight stay small.
@@ -52,7 +52,8 @@ def store_texts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
 
 
 def decode_media(df: DataFrame, media_col: str = "media") -> DataFrame:
-    """df with width, height and rgb (height * width * 3 bytes) of its media column."""
+    """df with width, height and rgb (height * width * 3 bytes) of its media column; where df has a column of such a name, the
+    new one takes an underscore before it."""
 
     @F.pandas_udf("struct<width:int,height:int,rgb:binary>")
     def decode(media):
@@ -64,7 +65,22 @@ def decode_media(df: DataFrame, media_col: str = "media") -> DataFrame:
             rows.append((None, None, None) if rgb is None else (rgb.shape[1], rgb.shape[0], rgb.tobytes()))
         return pd.DataFrame(rows, columns=["width", "height", "rgb"])
 
-    return df.withColumn("decoded_media", decode(F.col(media_col))).select(*[F.col(f"`{c}`") for c in df.columns], "decoded_media.width", "decoded_media.height", "decoded_media.rgb")
+    small_batches(df.sparkSession)
+    held = fresh("decoded_media", df.columns)
+    new = [F.col(f"`{held}`.{x}").alias(fresh(x, df.columns)) for x in ("width", "height", "rgb")]
+    return df.withColumn(held, decode(F.col(f"`{media_col}`"))).select(*columns_of(df), *new)
+
+
+def write_tensors(df: DataFrame, path: str, media_col: str = "media") -> DataFrame:
+    """The full-resolution tensors of df's media, written as Parquet and read back: df without its media, and width, height,
+    rgb. They take about twice the stored bytes."""
+    decode_media(df, media_col).drop(media_col).write.parquet(path)
+    return df.sparkSession.read.parquet(path)
+
+
+def as_array(width: int, height: int, rgb: bytes) -> np.ndarray:
+    """One stored tensor as (height, width, 3)."""
+    return np.frombuffer(rgb, np.uint8).reshape(height, width, 3)
 
 
 def media_report(stored: DataFrame) -> DataFrame:

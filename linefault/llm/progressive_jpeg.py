@@ -6,20 +6,23 @@ table holds a single symbol has fields of one width, and is read as one bit matr
 symbol by symbol.
 
 encode_payload stores bytes without loss as coefficients, which are the format's unit: the 256 values of
-magnitude class 8 stand for the 256 bytes, and their class-8 bits are the byte itself. 192 bytes fill one 8x8
-block of each of three components.
+magnitude class 8 stand for the 256 bytes, and their class-8 bits are the byte itself. Chroma has half the resolution both
+ways, so 384 bytes fill one unit of 16x16 samples: four 8x8 blocks of luma and one of each chroma component.
 """
 
 from __future__ import annotations
 
+import re
 import struct
 from dataclasses import dataclass, field
 
 import numpy as np
 
 BLOCK, GROUP = 64, 192
-#: Blocks along a row of the stored image; the format allows 65535 samples.
-MOST_ACROSS = 8191
+#: Blocks of one unit: two rows of two of luma, and one of each chroma component.
+UNIT = 6
+#: Units along a row of the stored image; the format allows 65535 samples.
+MOST_ACROSS = 4095
 #: Groups coded at once, a multiple of 8 so that every chunk ends on a byte: bounds memory on long payloads.
 CHUNK = 8192
 LOW_BAND = (1, 5)
@@ -101,42 +104,56 @@ def _chunks(n: int):
     return ((i, min(n, i + CHUNK)) for i in range(0, n, CHUNK))
 
 
+def _planes(units: np.ndarray, down: int, across: int) -> list[np.ndarray]:
+    """The blocks of each component, row by row, from units in order."""
+    luma = units[:, :4].reshape(down, across, 2, 2, BLOCK).swapaxes(1, 2).reshape(-1, BLOCK)
+    return [luma, units[:, 4], units[:, 5]]
+
+
+def _units(planes: list[np.ndarray], down: int, across: int) -> np.ndarray:
+    """The inverse of _planes."""
+    luma = planes[0].reshape(down, 2, across, 2, BLOCK).swapaxes(1, 2).reshape(-1, 4, BLOCK)
+    return np.concatenate([luma, planes[1].reshape(-1, 1, BLOCK), planes[2].reshape(-1, 1, BLOCK)], axis=1)
+
+
 def encode_payload(payload: bytes) -> bytes:
-    """A progressive 4:4:4 file whose coefficients hold the payload; its length must be a positive multiple of 192."""
-    n = len(payload) // GROUP
-    if not n or len(payload) % GROUP:
+    """A progressive 4:2:0 file whose coefficients hold the payload; its length must be a positive multiple of 192."""
+    if not payload or len(payload) % GROUP:
         raise ValueError("a payload is a positive multiple of 192 bytes")
+    n = -(-len(payload) // (UNIT * BLOCK))
     across = min(n, MOST_ACROSS)
     down = -(-n // across)
-    data = np.full((across * down, 3, BLOCK), 128, np.uint8)
-    data[:n] = np.frombuffer(payload, np.uint8).reshape(n, 3, BLOCK)
-    n = across * down
+    data = np.full(across * down * UNIT * BLOCK, 128, np.uint8)
+    data[: len(payload)] = np.frombuffer(payload, np.uint8)
+    planes = _planes(data.reshape(-1, UNIT, BLOCK), down, across)
     out = [b"\xff\xd8", _segment(0xFE, str(len(payload)).encode()), _segment(0xDB, bytes([0] + [1] * 64))]
-    out += [_segment(0xC2, struct.pack(">BHHB", 8, down * 8, across * 8, 3) + bytes(x for c in (1, 2, 3) for x in (c, 0x11, 0)))]
-    # First coefficients: restarted at every block group, so that no prediction is carried.
-    out += [_lone_table(0, 8), _segment(0xDD, struct.pack(">H", 1)), _start([(1, 0), (2, 0), (3, 0)], 0, 0, 0, 0)]
-    for a, b in _chunks(n):
-        bits = np.ones((b - a, 32), np.uint8)
-        bits[:, :27] = _fields(data[a:b, :, 0]).reshape(-1, 27)
-        groups = np.packbits(bits, axis=1)
-        if (groups == 255).any():
-            parts = [_stuffed(g.tobytes()) + bytes([0xFF, 0xD0 + i % 8]) for i, g in enumerate(groups, a)]
-        else:
+    out += [_segment(0xC2, struct.pack(">BHHB", 8, down * 16, across * 16, 3) + bytes(x for c, size in ((1, 0x22), (2, 0x11), (3, 0x11)) for x in (c, size, 0)))]
+    # First coefficients: restarted at every block, so that no prediction is carried.
+    out += [_lone_table(0, 8), _segment(0xDD, struct.pack(">H", 1))]
+    for c, plane in enumerate(planes):
+        out += [_start([(c + 1, 0)], 0, 0, 0, 0)]
+        for a, b in _chunks(len(plane)):
+            bits = np.ones((b - a, 16), np.uint8)
+            bits[:, :9] = _fields(plane[a:b, 0]).reshape(-1, 9)
+            groups = np.packbits(bits, axis=1)  # the code's 0 comes first and 1s fill up, so only the second byte can be 255
             marks = np.stack([np.full(b - a, 0xFF), 0xD0 + np.arange(a, b) % 8], axis=1).astype(np.uint8)
-            parts = [np.hstack([groups, marks]).tobytes()]
-        out += [b"".join(parts)[: -2 if b == n else None]]
+            row = np.zeros((b - a, 5), np.uint8)
+            row[:, :2], row[:, 3:] = groups, marks
+            keep = np.ones(row.shape, bool)
+            keep[:, 2] = groups[:, 1] == 255
+            out += [row[keep].tobytes()[: -2 if b == len(plane) else None]]
     out += [_segment(0xDD, struct.pack(">H", 0))]
     low, high = slice(LOW_BAND[0], LOW_BAND[1] + 1), slice(HIGH_BAND[0], HIGH_BAND[1] + 1)
     out += [_lone_table(1, 7)]
-    for c in range(3):  # the low band without its last bit: a byte's upper seven bits behind the code
-        out += [_start([(c + 1, 0)], *LOW_BAND, 0, 1), _stuffed((data[:, c, low] >> 1).tobytes())]
+    for c, plane in enumerate(planes):  # the low band without its last bit: a byte's upper seven bits behind the code
+        out += [_start([(c + 1, 0)], *LOW_BAND, 0, 1), _stuffed((plane[:, low] >> 1).tobytes())]
     out += [_lone_table(1, 8)]
-    for c in range(3):
-        out += [_start([(c + 1, 0)], *HIGH_BAND, 0, 0), *[_stuffed(_ended(_fields(data[a:b, c, high]))) for a, b in _chunks(n)]]
+    for c, plane in enumerate(planes):
+        out += [_start([(c + 1, 0)], *HIGH_BAND, 0, 0), *[_stuffed(_ended(_fields(plane[a:b, high]))) for a, b in _chunks(len(plane))]]
     out += [_lone_table(1, 0)]
-    for c in range(3):  # the last bit of the low band's magnitudes, behind an end-of-band code for each block
-        part = data[:, c, low]
-        bits = np.zeros((n, part.shape[1] + 1), np.uint8)
+    for c, plane in enumerate(planes):  # the last bit of the low band's magnitudes, behind an end-of-band code for each block
+        part = plane[:, low]
+        bits = np.zeros((len(plane), part.shape[1] + 1), np.uint8)
         bits[:, 1:] = (part & 1) ^ (part < 128)
         out += [_start([(c + 1, 0)], *LOW_BAND, 1, 0), _stuffed(_ended(bits.ravel()))]
     return b"".join(out) + b"\xff\xd9"
@@ -186,21 +203,17 @@ def _codes(body: bytes) -> dict:
     return out
 
 
+_RESTART = re.compile(rb"\xff[\xd0-\xd7]")
+_NEXT_MARKER = re.compile(rb"\xff[^\x00\xd0-\xd7]")
+
+
 def _entropy(data: bytes, at: int) -> tuple[list[bytes], int]:
     """The restart segments from `at`, unstuffed, and where the next marker stands."""
-    segments, start = [], at
-    while True:
-        at = data.find(b"\xff", at)
-        if at < 0 or at + 1 >= len(data):
-            return [*segments, data[start:].replace(b"\xff\x00", b"\xff")], len(data)
-        code = data[at + 1]
-        if code == 0:
-            at += 2
-        elif 0xD0 <= code <= 0xD7:
-            segments.append(data[start:at].replace(b"\xff\x00", b"\xff"))
-            at = start = at + 2
-        else:
-            return [*segments, data[start:at].replace(b"\xff\x00", b"\xff")], at
+    found = _NEXT_MARKER.search(data, at)
+    end = found.start() if found else len(data)
+    body = data[at:end]
+    segments = _RESTART.split(body)
+    return [x.replace(b"\xff\x00", b"\xff") for x in segments] if b"\xff\x00" in body else segments, end
 
 
 def _extended(values: np.ndarray, size: int) -> np.ndarray:
@@ -225,7 +238,7 @@ def _uniform(scan, segments: list[bytes], interval: int) -> bool:
         return False
     (length, _), symbol = next(iter(codes.items()))
     if first == 0:
-        if high or interval != 1 or any((p[1] != codes) or p[0].h * p[0].v != 1 for p in parts) or not 0 < symbol <= 11:
+        if high or interval != 1 or any((p[1] != codes) or len(parts) > 1 and p[0].h * p[0].v != 1 for p in parts) or not 0 < symbol <= 11:
             return False
         width = (length + symbol) * len(parts)
         size = -(-width // 8)
@@ -421,5 +434,6 @@ def to_rgb(image: Decoded) -> np.ndarray:
 
 def read_payload(image: Decoded) -> bytes:
     """The bytes that encode_payload put into the coefficients."""
-    stacked = np.stack([c.coefs.reshape(-1, 64) for c in image.components], axis=1)
+    chroma = image.components[1]
+    stacked = _units([c.coefs.reshape(-1, BLOCK) for c in image.components], chroma.down, chroma.across)
     return np.where(stacked > 0, stacked, stacked + 255).astype(np.uint8).tobytes()[: int(image.comment)]

@@ -4,6 +4,7 @@ import zlib
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from linefault.llm import media as M
 from linefault.llm import progressive_jpeg as J
@@ -154,10 +155,31 @@ def test_report(docs_of, odd):
     assert M.media_report(M.store_texts(docs_of([]))).count() == 0
 
 
-def test_tensors(docs_of):
-    stored = M.store_texts(docs_of([(1, "abc", "a"), (2, None, "a")])).withColumn("media", __import__("pyspark").sql.functions.expr("CASE WHEN doc_id = 1 THEN media END"))
+def test_tensors(docs_of, tmp_path):
+    text = bytes(range(32, 127)) * 9
+    stored = M.store_texts(docs_of([(1, "abc", "a"), (2, None, "a"), (3, text.decode(), "a")])).withColumn("media", F.expr("CASE WHEN doc_id <> 2 THEN media END"))
     got = {r.doc_id: (r.width, r.height, None if r.rgb is None else len(r.rgb)) for r in M.decode_media(stored).collect()}
-    assert got == {1: (8, 8, 192), 2: (None, None, None)}
+    assert got == {1: (16, 16, 768), 2: (None, None, None), 3: (48, 16, 48 * 16 * 3)}
+    kept = {r.doc_id: r for r in M.write_tensors(stored, str(tmp_path / "tensors")).collect()}
+    want = J.to_rgb(J.decode_coefficients(J.encode_payload(M.payload_of(text))))
+    assert (M.as_array(kept[3].width, kept[3].height, kept[3].rgb) == want).all() and kept[2].rgb is None
+
+
+def test_clashing_columns_stay(docs_of):
+    stored = M.store_texts(docs_of([(1, "abc", "a")])).selectExpr("*", "7 AS width", "'x' AS decoded_media", "'y' AS RGB")
+    out = M.decode_media(stored)
+    assert out.columns == [*stored.columns, "_width", "height", "_rgb"]
+    row = out.first()
+    assert (row["width"], row["decoded_media"], row["RGB"], row["_width"], row["height"]) == (7, "x", "y", 16, 16)
+    assert M.decode_media(stored.where("false")).count() == 0
+
+
+def test_chroma_is_upsampled():
+    """The stored form has chroma at half the resolution both ways: its samples come in squares of four."""
+    image = J.decode_coefficients(J.encode_payload(np.random.default_rng(5).integers(0, 256, 40 * 192, dtype=np.uint8).tobytes()))
+    assert [(c.h, c.v) for c in image.components] == [(2, 2), (1, 1), (1, 1)]
+    assert image.components[0].coefs.shape[:2] == (2, 40) and image.components[1].coefs.shape[:2] == (1, 20)
+    assert J.to_rgb(image).shape == (16, 320, 3)
 
 
 def test_broken_media():
