@@ -2,16 +2,16 @@
 
 Suffixes are classified as smaller or larger than their right neighbour; the leftmost smaller ones (LMS) are
 sorted by their substrings through one induction, named, and sorted as a reduced string by recursion; a second
-induction places all suffixes. Induction goes bucket by bucket, each bucket as one vectorised batch, so it
-is linear with few numpy calls as long as the alphabet is small. The reduced string has a large alphabet, where a bucket
-holds a handful of suffixes; the recursive call then sorts by rank doubling over what is still tied.
+induction places all suffixes. Over a small alphabet induction goes bucket by bucket, each bucket as one vectorised
+batch. The reduced string has a large alphabet, where a bucket holds a handful of suffixes; there several buckets form a batch,
+as many as have no suffix that is induced by another of the batch. Both ways are steps of the same recursion.
 """
 
 from __future__ import annotations
 
 import numpy as np
 
-#: Alphabets up to this size are induced bucket by bucket.
+#: Alphabets up to this size are induced bucket by bucket, larger ones in batches of buckets.
 SMALL_ALPHABET = 1024
 
 
@@ -22,15 +22,15 @@ def classify(text: np.ndarray) -> np.ndarray:
     if n > 1:
         rise[:-1] = np.sign(text[1:].astype(np.int64) - text[:-1])
     rise[n - 1 :] = -1
-    decided = np.flatnonzero(rise)
-    return rise[decided[np.searchsorted(decided, np.arange(n))]] > 0
+    following = np.minimum.accumulate(np.where(rise != 0, np.arange(n), n)[::-1])[::-1]  # the next that is decided
+    return rise[following] > 0
 
 
 def leftmost_smaller(smaller: np.ndarray) -> np.ndarray:
     return np.flatnonzero(smaller[1:] & ~smaller[:-1]) + 1
 
 
-def _induce(text: np.ndarray, smaller: np.ndarray, seeds: np.ndarray, ends: np.ndarray) -> np.ndarray:
+def _induce_small(text: np.ndarray, smaller: np.ndarray, seeds: np.ndarray, ends: np.ndarray) -> np.ndarray:
     """The suffix array induced from `seeds`, the LMS suffixes in order. ends: where each symbol's bucket ends."""
     n, symbols = len(text), len(ends)
     starts = np.concatenate([[0], ends[:-1]])
@@ -89,6 +89,77 @@ def _induce(text: np.ndarray, smaller: np.ndarray, seeds: np.ndarray, ends: np.n
     return out
 
 
+def _batches(near: np.ndarray, symbols: np.ndarray):
+    """(first, last) of runs of buckets none of which needs another of its run. near: for each bucket in order the symbol,
+    nearest to its own, of a suffix that induces one of its suffixes; symbols: those of the buckets. Both grow."""
+    k, n = 0, len(symbols)
+    while k < n:
+        width, stop = 64, n
+        while True:
+            found = np.flatnonzero(near[k + 1 : k + 1 + width] >= symbols[k])
+            if len(found):
+                stop = k + 1 + int(found[0])
+                break
+            if k + 1 + width >= n:
+                break
+            width *= 2
+        yield k, stop
+        k = stop
+
+
+def _place(rank: np.ndarray, own: np.ndarray, symbol: np.ndarray, run: np.ndarray, parent: np.ndarray, follows: np.ndarray, slot: np.ndarray) -> None:
+    """Rank the suffixes `own`, sorted by symbol in the order of induction: within a bucket by the length of their run of the
+    symbol and then by the suffix behind the run, which is ranked already. follows: the symbol of that suffix where it is of
+    the same kind, else one that no bucket needs."""
+    heads = np.flatnonzero(np.concatenate([[True], symbol[1:] != symbol[:-1]])) if len(own) else np.zeros(0, np.int64)
+    if not len(heads):
+        return
+    near = np.maximum.reduceat(follows, heads)
+    ends = np.append(heads[1:], len(own))
+    for a, b in _batches(near, symbol[heads]):
+        lo, hi = heads[a], ends[b - 1]
+        part = own[lo:hi]
+        if hi - lo > 1:
+            part = part[np.lexsort((rank[parent[lo:hi]], run[lo:hi], symbol[lo:hi]))]
+        rank[part] = slot[lo:hi]
+
+
+def _induce_large(text: np.ndarray, smaller: np.ndarray, seeds: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """The same for large alphabets. A run of one symbol is taken at once: a larger suffix with a longer run comes later, a
+    smaller one earlier, and both are induced by the suffix behind the run, whose symbol is another."""
+    n, symbols, text = len(text), len(ends), text.astype(np.int64)
+    starts = np.concatenate([[0], ends[:-1]])
+    changes = text[1:] != text[:-1]
+    behind = np.append(np.flatnonzero(changes) + 1, n)[np.concatenate([[0], np.cumsum(changes)])]
+    run = behind - np.arange(n)
+    rank = np.full(n + 1, -1, np.int64)
+    after = np.append(text, -1)
+    kind = np.append(smaller, True)
+
+    def slots(symbol: np.ndarray, at_end: bool) -> np.ndarray:
+        """Where the suffixes of one kind, sorted by symbol, stand: at the beginning or the end of their buckets."""
+        count = np.bincount(symbol, minlength=symbols)
+        inside = np.arange(len(symbol)) - (np.cumsum(count) - count)[symbol]
+        return inside + (ends - count if at_end else starts)[symbol]
+
+    rank[seeds] = slots(text[seeds], True)
+    large = np.flatnonzero(~smaller)
+    large = large[np.argsort(text[large], kind="stable")]
+    parent = behind[large]
+    _place(rank, large, text[large], run[large], parent, np.where(kind[parent], -1, after[parent]), slots(text[large], False))
+    small = np.flatnonzero(smaller)
+    small = small[np.argsort(text[small], kind="stable")]
+    slot = slots(text[small], True)
+    turned = small[::-1]  # the largest symbols first, and inside a bucket the last suffix first
+    parent = behind[turned]
+    np.subtract(n, rank, out=rank)  # ranks count down, so that what comes last is placed first
+    _place(rank, turned, -text[turned], run[turned], parent, np.where(kind[parent], -after[parent], -symbols), n - slot[::-1])
+    np.subtract(n, rank, out=rank)
+    out = np.empty(n, np.int64)
+    out[rank[:n]] = np.arange(n)
+    return out
+
+
 def _names(text: np.ndarray, order: np.ndarray, lms: np.ndarray) -> np.ndarray:
     """A rank for each LMS substring of `order`, equal substrings alike."""
     n = len(text)
@@ -109,37 +180,13 @@ def _names(text: np.ndarray, order: np.ndarray, lms: np.ndarray) -> np.ndarray:
     return np.concatenate([[0], np.cumsum(differs)])
 
 
-def _by_doubling(text: np.ndarray) -> np.ndarray:
-    """Suffix array of a string over a large alphabet: only tied suffixes are sorted again."""
-    n = len(text)
-    order = np.argsort(text, kind="stable")
-    new = np.concatenate([[True], text[order][1:] != text[order][:-1]])
-    rank = np.empty(n + 1, np.int64)
-    rank[n] = -1
-    rank[order] = np.maximum.accumulate(np.where(new, np.arange(n), 0))
-    k = 1
-    tied = np.flatnonzero(~new | ~np.append(new[1:], True))
-    while len(tied):
-        part = order[tied]
-        key = rank[part] * (n + 2) + rank[np.minimum(part + k, n)] + 1
-        by = np.argsort(key, kind="stable")
-        part, key = part[by], key[by]
-        order[tied] = part
-        new = np.concatenate([[True], key[1:] != key[:-1]])
-        rank[part] = tied[np.maximum.accumulate(np.where(new, np.arange(len(tied)), 0))]
-        tied = tied[~new | ~np.append(new[1:], True)]
-        k *= 2
-    return order
-
-
 def suffix_array(text: np.ndarray) -> np.ndarray:
     """Starts of all suffixes of a string of non-negative integers, in order."""
     n = len(text)
     if n < 2:
         return np.arange(n)
     symbols = int(text.max()) + 1
-    if symbols > SMALL_ALPHABET:
-        return _by_doubling(text)
+    _induce = _induce_small if symbols <= SMALL_ALPHABET else _induce_large
     ends = np.cumsum(np.bincount(text, minlength=symbols))
     smaller = classify(text)
     lms = leftmost_smaller(smaller)

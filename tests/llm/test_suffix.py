@@ -7,20 +7,41 @@ from linefault.llm import substring_dedup as D
 from linefault.llm import suffix_array as S
 
 
-@pytest.mark.parametrize("symbols", [1, 2, 4, 200])
-def test_suffix_array_is_sorted(symbols):
+@pytest.mark.parametrize("small", [1024, 0])
+@pytest.mark.parametrize("symbols", [1, 2, 4, 200, 5000])
+def test_suffix_array_is_sorted(symbols, small, monkeypatch):
+    """By buckets and by batches of buckets, over random, repeated and stretched strings."""
+    monkeypatch.setattr(S, "SMALL_ALPHABET", small)
     rng = np.random.default_rng(symbols)
     for n in [*range(1, 30), 200]:
         t = rng.integers(0, symbols, n)
         if n % 3 == 0:
             t = np.concatenate([t, t, t[: n // 2]])
-        want = sorted(range(len(t)), key=lambda i: t[i:].tolist())
-        assert S.suffix_array(t).tolist() == want == S._by_doubling(t).tolist()
-
-
-def test_large_alphabet_goes_by_doubling():
-    t = np.random.default_rng(0).integers(0, 5000, 300)
-    assert S.suffix_array(t).tolist() == sorted(range(300), key=lambda i: t[i:].tolist())
+        if n % 3 == 1:
+            t = np.repeat(t, rng.integers(1, 5, n))
+        assert S.suffix_array(t).tolist() == sorted(range(len(t)), key=lambda i: t[i:].tolist())
+
+
+@pytest.mark.parametrize("small", [1024, 0])
+def test_one_symbol_and_long_periods(small, monkeypatch):
+    monkeypatch.setattr(S, "SMALL_ALPHABET", small)
+    assert S.suffix_array(np.zeros(5000, np.int64)).tolist() == list(range(4999, -1, -1))
+    t = np.frombuffer(b"abcabcabd" * 700, np.uint8)
+    raw = t.tobytes()
+    assert S.suffix_array(t).tolist() == sorted(range(len(t)), key=lambda i: raw[i:])
+
+
+def test_every_level_is_induced(spark, sf, monkeypatch):
+    """On real text the recursion goes down to names that are all different, and each level is placed by an induction."""
+    text = "\n".join(r.text or "" for r in spark.read.parquet(f"{sf}/documents.parquet").select("text").limit(400).collect())[:200_000].encode()
+    levels, placed, own, large = [], [], S.suffix_array, S._induce_large
+    monkeypatch.setattr(S, "suffix_array", lambda t: levels.append(len(t)) or own(t))
+    monkeypatch.setattr(S, "_induce_large", lambda t, *a: placed.append(len(t)) or large(t, *a))
+    order = S.suffix_array(np.frombuffer(text, np.uint8))
+    assert len(levels) > 2 and all(b <= a / 2 for a, b in zip(levels, levels[1:], strict=False))
+    assert placed and set(placed) <= set(levels)
+    some = order[:: max(1, len(order) // 2000)]
+    assert all(text[a:] < text[b:] for a, b in zip(some, some[1:], strict=False))
 
 
 def test_common_prefixes():
