@@ -36,7 +36,7 @@ N, SIMILARITY, RECALL, MOST_HASHES = 5, 0.8, 0.9999, 128
 SEED = 7
 #: Bins of the sketch (one permutation, the least n-gram hash of each bin, 16 bits of it), and how many standard
 #: deviations below the similarity an estimate may lie.
-SKETCH_BITS, MARGIN = 9, 3.5
+SKETCH_BITS, MARGIN = 9, 4.5
 SKETCH = 2**SKETCH_BITS
 #: Nodes of a bucket that meet in one block; larger buckets are cut into tiles that meet in pairs.
 TILE = 4096
@@ -192,19 +192,19 @@ def _near(pairs: DataFrame, texts: DataFrame, n: int, similarity: float) -> Data
     return pairs.join(one, "a").join(two, "b").select("a", "b", "text_a", "text_b").mapInArrow(run, "a binary, b binary")
 
 
+def may_reach(one: np.ndarray, two: np.ndarray, grams: np.ndarray, similarity: float) -> np.ndarray:
+    """Whether the estimate from two rows of sketches may come from a pair at the similarity, given both numbers of n-grams
+    together: its variance is that of drawing the filled bins without replacement from the union of both sets."""
+    filled = np.maximum(((one | two) != 0).sum(axis=1), 1)
+    agree = ((one == two) & (one != 0)).sum(axis=1)
+    union = np.maximum(grams / (1 + similarity), filled + 1.0)
+    spread = np.sqrt(similarity * (1 - similarity) * np.maximum((1 + 1 / (union - 1)) / filled - 1 / (union - 1), 0))
+    return agree >= (similarity - MARGIN * spread - 0.01) * filled
+
+
 def _across(part: pd.DataFrame, similarity: float) -> pd.DataFrame:
     """Pairs of different components in the buckets of one group that their sketches don't rule out."""
     out: list[tuple] = []
-
-    def alike(sketch: np.ndarray, grams: np.ndarray, p: np.ndarray, q: np.ndarray) -> np.ndarray:
-        """Whether the estimate may come from a pair at the similarity: its variance is that of drawing the
-        filled bins without replacement from the union of both sets."""
-        one, two = sketch[p], sketch[q]
-        filled = np.maximum(((one | two) != 0).sum(axis=1), 1)
-        agree = ((one == two) & (one != 0)).sum(axis=1)
-        union = np.maximum((grams[p] + grams[q]) / (1 + similarity), filled + 1.0)
-        spread = np.sqrt(similarity * (1 - similarity) * np.maximum((1 + 1 / (union - 1)) / filled - 1 / (union - 1), 0))
-        return agree >= (similarity - MARGIN * spread - 0.01) * filled
     for (band, _, low, high), rows in part.groupby(["band", "hash", "low", "high"], sort=False):
         if rows["root"].nunique() < 2:
             continue
@@ -225,7 +225,7 @@ def _across(part: pd.DataFrame, similarity: float) -> pd.DataFrame:
             x, y = i[x], two[y]
             for cut in range(0, len(x), 2**13):  # sketches and earlier bands of what is left, in pieces
                 p, q = x[cut : cut + 2**13], y[cut : cut + 2**13]
-                like = alike(sketch, grams, p, q)
+                like = may_reach(sketch[p], sketch[q], grams[p] + grams[q], similarity)
                 p, q = p[like], q[like]
                 new = ~(earlier[p] == earlier[q]).any(axis=1)
                 out += zip(node[p[new]], node[q[new]], strict=True)
