@@ -65,6 +65,28 @@ def test_bands_reach_the_recall():
         G.choose_bands(0.1, 0.999999, 4)
 
 
+def test_recall_near_the_limit():
+    """Pairs planted between 0.8 and 0.85: how many meet in a band and pass the sketch. Both together keep the target recall."""
+    rng = np.random.default_rng(4)
+    bands, rows = G.choose_bands()
+    hasher = G.Hasher(G.N, bands, rows)
+    met = passed = total = 0
+    while total < 2500:
+        words = [f"w{x}" for x in rng.integers(0, 10**6, int(rng.integers(40, 700)))]
+        other = list(words)
+        for at in rng.choice(len(words), max(1, len(words) // 45), replace=False):
+            other[at] = "changed"
+        a, b = (hasher.ngrams(" ".join(x).encode()) for x in (words, other))
+        both = len(np.intersect1d(a, b))
+        if not 0.8 <= both / (len(a) + len(b) - both) <= 0.85:
+            continue
+        total += 1
+        (h, s), (k, t) = hasher.band_hashes(a), hasher.band_hashes(b)
+        met += (h == k).any()
+        passed += G.may_reach(*[np.frombuffer(x, "<u2")[None, :] for x in (s, t)], np.array([len(a) + len(b)]), 0.8)[0]
+    assert met / total >= 0.999 and passed == total
+
+
 def near_brute(rows):
     sets, parent = [G.ngram_set((t or "").encode()) for _, t in rows], list(range(len(rows)))
 
@@ -339,6 +361,23 @@ def test_quality_never_reads_held_out_labels(spark, sf):
     assert key(labels) == key(turned)
 
 
+def test_quality_equals_its_definition(spark, sf):
+    """The discriminant again, from the statistics of all learned rows, by plain numpy and dense inverses."""
+    docs, labels = documents(spark, sf), spark.read.parquet(f"{sf}/labels.parquet")
+    texts = {r.doc_id: np.array(Q.statistics(r.text)) for r in docs.collect()}
+    known = [(r.doc_id, r.quality) for r in labels.collect() if r.quality is not None and r.doc_id in texts and zlib.crc32(str(r.doc_id).encode()) % 3 != 1]
+    parts = []
+    for k in (0, 1):
+        x = np.stack([texts[i] for i, q in known if q == k])
+        cov = np.cov(x.T, bias=True)
+        cov = (1 - Q.SHRINKAGE) * cov + Q.SHRINKAGE * np.diag(np.diag(cov)) + Q.RIDGE * np.eye(x.shape[1])
+        parts.append((x.mean(axis=0), np.linalg.inv(cov), np.linalg.slogdet(cov)[1], np.log((len(x) + 1) / (len(known) + 2))))
+    density = lambda v, m, inv, det, prior: prior - 0.5 * ((v - m) @ inv @ (v - m) + det)
+    for r in Q.quality_scores(docs, labels).collect():
+        away = np.clip(density(texts[r.doc_id], *parts[1]) - density(texts[r.doc_id], *parts[0]), -Q.CLIP, Q.CLIP)
+        assert r.score == pytest.approx(1 / (1 + np.exp(-away)), rel=1e-4, abs=1e-9) and r.predicted == int(r.score >= 0.5)
+
+
 def test_quality_odd(spark, docs_of, odd):
     none = spark.createDataFrame([], "doc_id long, quality long")
     rows = Q.quality_scores(docs_of(odd), none).collect()
