@@ -22,7 +22,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import columns_of, fresh, staged, table
+from .common import columns_of, fresh, join_by_weight, staged, table
 
 #: Fixed order of the kinds.
 KINDS = ("email", "ip", "card", "phone")
@@ -167,25 +167,36 @@ def find_personal_data(docs: DataFrame, support: int = SUPPORT, disclosure: floa
     counted = staged(found.select("doc_id", "key", *[F.size(k).cast("long").alias(f"n_{k}") for k in KINDS], base.alias("base")), "base")
     terms = staged(disclosing_terms(docs, "text", support, disclosure).select("term").distinct(), "terms")
     extra = term_spans(named.select(_text_key(F.col("text")).alias("key"), "text"), terms)
-    joined = counted.join(extra, "key", "left").withColumn("all_spans", F.concat("base", F.coalesce("extra", F.array().cast("array<struct<start:int,rank:int,end:int,kind:string>>"))))
+    none = F.array().cast("array<struct<start:int,rank:int,end:int,kind:string>>")
+    # A text with terms may stand in a third of all rows: such texts are met by broadcast, and there are few of them.
+    total = counted.count()
+    weighed = staged(extra.join(counted.groupBy("key").agg(F.count(F.lit(1)).alias("weight")), "key"), "weighed")
+    met = join_by_weight(counted, weighed, ["key"], "weight", total).drop("weight")
+    rest = counted.join(weighed.select("key"), "key", "left_anti").withColumn("extra", none)
+    joined = met.unionByName(rest).withColumn("all_spans", F.concat("base", "extra"))
     return joined.select("doc_id", *[f"n_{k}" for k in KINDS], F.sha2(_listed(F.col("base")), 256).alias("base_sha256"), _listed(F.col("all_spans")).alias("spans"), "all_spans")
 
 
-def _term_filter(terms: DataFrame) -> tuple[DataFrame, int]:
-    """(word, bits) of a filter of fixed size over column term, and its number of words."""
+def _place(name: str, words: int) -> tuple[Column, Column]:
+    """Word and bit of a value in a filter."""
+    h = F.xxhash64(name)
+    return F.pmod(h, F.lit(words)), F.call_function("shiftleft", F.lit(1).cast("long"), F.shiftrightunsigned(h, 58).cast("int"))
+
+
+def _key_filter(rows: DataFrame, name: str = "key") -> tuple[DataFrame, int]:
+    """(word, bits) of a filter of fixed size over a column, and its number of words."""
     words = TERM_FILTER_BITS // 64
-    word, bit = _term_place(words)
-    return terms.select(word.alias("word"), bit.alias("bit")).groupBy("word").agg(F.bit_or("bit").alias("bits")), words
+    word, bit = _place(name, words)
+    return rows.select(word.alias("word"), bit.alias("bit")).groupBy("word").agg(F.bit_or("bit").alias("bits")), words
 
 
-def _term_place(words: int) -> tuple[Column, Column]:
-    h = F.xxhash64("term")
-    return F.pmod(h, F.lit(words)), F.call_function("shiftleft", F.lit(1).cast("long"), F.shiftrightunsigned(h, 58).cast("int"))
+def _term_filter(terms: DataFrame) -> tuple[DataFrame, int]:
+    return _key_filter(terms, "term")
 
 
 def _possible_terms(spoken: DataFrame, bloom: DataFrame, words: int) -> DataFrame:
     """Rows whose term the filter may hold; decided where the rows are, before any shuffle."""
-    word, bit = _term_place(words)
+    word, bit = _place("term", words)
     return spoken.join(F.broadcast(bloom), word == F.col("word")).where(F.col("bits").bitwiseAND(bit) != 0).drop("word", "bits")
 
 
@@ -196,7 +207,11 @@ def term_spans(texts: DataFrame, terms: DataFrame) -> DataFrame:
     held = staged(_possible_terms(spoken, bloom, words).join(terms, "term", "left_semi").groupBy("key").agg(F.collect_set("term").alias("terms")), "held")
     if held.isEmpty():
         return held.select("key", F.array().cast("array<struct<start:int,rank:int,end:int,kind:string>>").alias("extra"))
-    placed = texts.join(held, "key").groupBy("key").agg(F.first("text").alias("text"), F.first("terms").alias("terms"))
+    # Texts without a term stay where they are; the copies of the others become one map-side before they meet their terms.
+    bloom, words = _key_filter(held)
+    word, bit = _place("key", words)
+    some = texts.join(F.broadcast(bloom), word == F.col("word")).where(F.col("bits").bitwiseAND(bit) != 0).select("key", "text")
+    placed = some.groupBy("key").agg(F.first("text").alias("text")).join(held, "key")
     own = F.filter(_located(F.col("text"), TERM), lambda x: F.array_contains("terms", F.lower(x["value"])))
     return placed.select("key", _as_spans(own, TERM_KIND, len(KINDS)).alias("extra"))
 

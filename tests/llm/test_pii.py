@@ -1,6 +1,7 @@
 import hashlib
 import re
 
+import numpy as np
 import pytest
 
 from linefault.llm import pii
@@ -86,3 +87,85 @@ def test_sanitised_text(secret):
 def test_copies_are_no_evidence(spark):
     rows = [(i, "the same Zorblax line with zorb@secret.org in it") for i in range(50)]
     assert pii.disclosing_terms(spark.createDataFrame(rows, "doc_id long, text string")).count() == 0
+
+
+def terms_by_hand(texts, support=pii.SUPPORT, disclosure=pii.DISCLOSURE):
+    """Disclosing terms by counting over distinct lines, with the published expressions."""
+    lines = {x for t in texts for x in (t or "").split("\n") if x}
+    word = lambda t: {w.lower() for w in re.findall(r"[^\W\d_]{4,}", t)}
+    held, entities, heard = {}, {}, {}
+    for line in lines:
+        found = set()
+        for start, _, end, kind in [s for s in spans_of(line)]:
+            found.add(f"{kind}:{line[start:end]}")
+        bare = line
+        for kind in PUBLISHED:
+            bare = re.sub(PUBLISHED[kind], " ", bare)
+        held[line] = (found, word(bare))
+        for e in found:
+            entities[e] = entities.get(e, 0) + 1
+        for w in word(line):
+            heard[w] = heard.get(w, 0) + 1
+    out = set()
+    for e, n in entities.items():
+        if n < support:
+            continue
+        for w in set().union(*[t for f, t in held.values() if e in f]):
+            both = sum(e in f and w in t for f, t in held.values())
+            own = np.log2(len(lines) / n)
+            if both >= support and own > 0 and np.log2(len(lines) * both / (heard[w] * n)) >= disclosure * own:
+                out.add((w, e, both, heard[w], n))
+    return out
+
+
+def spans_of(text):
+    spans = base(text)[1]
+    for part in spans.split(",") if spans else []:
+        kind, a, b = part.split(":")
+        yield int(a), 0, int(b), kind
+
+
+def planted(rng):
+    people = [(f"agent{chr(97 + i)}zz", f"user{i}@mail{i}.org") for i in range(6)]
+    rows = []
+    for i in range(260):
+        name, mail = people[int(rng.integers(0, 6))]
+        lines = [f"word{chr(97 + int(rng.integers(0, 26)))}abc filler number {i} text" for _ in range(3)]
+        if rng.random() < 0.4:
+            lines.append(f"note {i} {name.title() if rng.random() < 0.9 else 'somebody'} wrote {mail} about {chr(97 + int(rng.integers(0, 26)))}things")
+        if rng.random() < 0.1:
+            lines.append(f"note {i} {people[0][0]} alone without address")
+        rows.append((i, "\n".join(lines)))
+    return rows + [(300 + i, rows[3][1]) for i in range(40)] + [(400, None), (401, "")]
+
+
+def test_terms_and_spans_against_counting(spark):
+    """Counts, thresholds and the spans string, over a corpus with copies."""
+    rows = planted(np.random.default_rng(7))
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    want = terms_by_hand([t for _, t in rows])
+    assert {(r.term, r.entity, r.n_joint, r.n_term, r.n_entity) for r in pii.disclosing_terms(df).collect()} == want and len(want) > 2
+    terms = {w for w, *_ in want}
+    got = {r.doc_id: r.spans for r in pii.find_personal_data(df).collect()}
+    for i, text in rows:
+        every = [(a, pii.KINDS.index(k), b, k) for a, _, b, k in spans_of(text)]
+        every += [(m.start(), 4, m.end(), "term") for m in re.finditer(r"[^\W\d_]{4,}", text or "") if m.group().lower() in terms]
+        assert got[i] == ",".join(f"{k}:{a}:{b}" for a, _, b, k in sorted(every))
+
+
+def test_random_addresses(spark):
+    rng = np.random.default_rng(11)
+    texts = {i: " ".join(".".join(f"{int(rng.integers(0, 300)):0{int(rng.integers(1, 5))}d}" for _ in range(int(rng.integers(3, 6)))) for _ in range(20)) for i in range(60)}
+    same(spark.createDataFrame(list(texts.items()), "doc_id long, text string"), texts)
+
+
+def test_no_python(docs_of, odd):
+    plan = pii.find_personal_data(docs_of(odd))._jdf.queryExecution().executedPlan().toString()
+    assert "Python" not in plan and "Pandas" not in plan and "Arrow" not in plan
+
+
+def test_sanitise_odd_rows(docs_of, odd):
+    df = docs_of(odd)
+    out = pii.sanitise(df)
+    assert out.columns == df.columns and sorted(map(str, out.collect())) == sorted(map(str, df.collect()))
+    assert pii.sanitise(docs_of([])).count() == 0
