@@ -5,7 +5,9 @@ that starts so. Each URL asks for the few (host suffix, path beginning) keys who
 length occur in the list. The Bloom filter answers first: rows without a possible hit pass straight
 through, the others are exploded to their possible keys and joined with the list by hash, which
 removes the false positives. The longest rule wins (equal lengths: the longer host, then by name);
-without a rule the block list decides, and without either the URL is allowed.
+without a rule the block list decides, and without either the URL is allowed. Rules ask for host and path as they stand;
+the block list holds canonical URLs and asks for the canonical host, without user, port and final dots, and for the path `/`
+where there is none.
 
 Defined cases: null URLs and those without `://` have empty host and path, fit nothing and are
 allowed; null list entries fit nothing; repeated list entries count once; an empty list allows all; extra
@@ -41,6 +43,22 @@ def host_and_path(url: Column) -> tuple[Column, Column]:
     return F.coalesce(ascii_lower(raw), F.lit("")), F.coalesce(path, F.lit(""))
 
 
+def canonical(host: Column, path: Column) -> tuple[Column, Column]:
+    """Host without user part, port and final dots; path that begins with a slash."""
+    bare = F.regexp_replace(F.regexp_replace(F.regexp_replace(host, "^.*@", ""), ":[0-9]*$", ""), r"\.+$", "")
+    return bare, F.when(path == "", F.lit("/")).otherwise(path)
+
+
+def _asked(kind: str, host: Column, path: Column, shapes: list[tuple[int, int]]) -> Column:
+    """The keys that a URL can have in a list: one for each pair of label count and path length that the list has. The pairs
+    are one array literal, so the plan does not grow with them."""
+    labels = F.split(host, r"\.")
+    pairs = F.array(*[F.struct(F.lit(a).alias("labels"), F.lit(b).alias("chars")) for a, b in shapes]) if shapes else F.array().cast("array<struct<labels:int,chars:int>>")
+    fits = F.filter(pairs, lambda x: (F.size(labels) >= x["labels"]) & (F.length(path) >= x["chars"]) & (host != ""))
+    ending = lambda x: F.array_join(F.slice(labels, F.size(labels) - x["labels"] + 1, x["labels"]), ".")
+    return F.transform(fits, lambda x: F.concat_ws("\n", F.lit(kind), ending(x), F.substr(path, F.lit(1), x["chars"])))
+
+
 def _slots(hashes: np.ndarray, blocks: int) -> tuple[np.ndarray, np.ndarray]:
     """Block of each hash, and its eight masks, one bit in each word of the block."""
     h = hashes.astype(np.uint64)
@@ -83,14 +101,13 @@ def filter_urls(pages: DataFrame, rules: DataFrame, listed: DataFrame, url_col:
     rules has (host, path, verdict); listed has (url), canonical and without scheme, as `host/path`.
     """
     lists = listed.select(F.regexp_extract("url", r"^[^/]*", 0).alias("host"), F.regexp_extract("url", r"/.*$", 0).alias("path"), F.lit("block").alias("verdict"), F.lit(0).alias("is_rule"))
-    entries = rules.select("host", "path", "verdict", F.lit(1).alias("is_rule")).unionByName(lists).where("host is not null and path is not null").withColumn("key", F.concat_ws("\n", ascii_lower(F.col("host")), "path"))
-    shapes = entries.select(F.size(F.split("host", r"\.")).alias("labels"), F.length("path").alias("chars")).distinct().collect()  # label counts and path lengths, not entries
+    entries = rules.select("host", "path", "verdict", F.lit(1).alias("is_rule")).unionByName(lists).where("host is not null and path is not null").withColumn("key", F.concat_ws("\n", F.when(F.col("is_rule") == 1, "rule").otherwise("list"), ascii_lower(F.col("host")), "path"))
+    shapes = entries.select("is_rule", F.size(F.split("host", r"\.")).alias("labels"), F.length("path").alias("chars")).distinct().collect()  # label counts and path lengths, not entries
+    of = {kind: sorted((r.labels, r.chars) for r in shapes if r.is_rule == kind) for kind in (0, 1)}
     blocks = pages.sparkSession.sparkContext.broadcast(bloom_blocks(entries))
 
-    host, path, keys, possible, row, key, rule, verdict = (fresh(x, pages.columns) for x in ("host", "path", "url_keys", "url_possible", "url_row", "url_key", "rule", "verdict"))
+    host, path, keys, possible, row, key, rule, verdict, bare, full = (fresh(x, pages.columns) for x in ("host", "path", "url_keys", "url_possible", "url_row", "url_key", "rule", "verdict", "url_host", "url_path"))
     h, p = host_and_path(F.col(url_col))
-    labels = F.split(F.col(host), r"\.")
-    asked = [F.when((F.size(labels) >= s.labels) & (F.length(path) >= s.chars) & (F.col(host) != ""), F.concat_ws("\n", F.substring_index(F.col(host), ".", -s.labels), F.substring(F.col(path), 1, s.chars))) for s in shapes]
 
     @F.pandas_udf(T.ArrayType(T.BooleanType()))
     def hits(hashes: pd.Series) -> pd.Series:
@@ -98,8 +115,9 @@ def filter_urls(pages: DataFrame, rules: DataFrame, listed: DataFrame, url_col:
         flat = np.concatenate(hashes.to_list()) if sizes.sum() else np.zeros(0, np.int64)
         return pd.Series(np.split(may_contain(blocks.value, flat), np.cumsum(sizes)[:-1]) if len(sizes) else [], dtype=object)
 
-    every = F.array(*asked) if asked else F.array().cast("array<string>")
-    named = pages.withColumns({host: h, path: p}).withColumn(keys, F.filter(every, lambda x: x.isNotNull()))
+    named = pages.withColumns({host: h, path: p})
+    named = named.withColumns(dict(zip((bare, full), canonical(F.col(host), F.col(path)), strict=True)))
+    named = named.withColumn(keys, F.concat(_asked("rule", F.col(host), F.col(path), of[1]), _asked("list", F.col(bare), F.col(full), of[0]))).drop(bare, full)
     tested = named.withColumn(possible, hits(F.transform(F.col(keys), lambda x: F.xxhash64(x))))
     some = F.filter(F.transform(F.arrays_zip(keys, possible), lambda x: F.when(x[possible], x[keys])), lambda x: x.isNotNull())
     tested = tested.withColumn(keys, some).drop(possible)
@@ -133,7 +151,7 @@ listed(h) AS (VALUES {', '.join(f"('{x[:-1]}')" for x in LISTED)}),
 ruled AS (
   SELECT page_id, host, path, (SELECT arg_max([h || p, v], length(h || p)) FROM rules
          WHERE (host = h OR ends_with(host, '.' || h)) AND starts_with(path, p)) AS best,
-         EXISTS (SELECT 1 FROM listed WHERE (host = h OR ends_with(host, '.' || h)) AND starts_with(path, '/')) AS bad
-  FROM named)
+         EXISTS (SELECT 1 FROM listed WHERE (bare = h OR ends_with(bare, '.' || h)) AND (path = '' OR starts_with(path, '/'))) AS bad
+  FROM (SELECT *, regexp_replace(regexp_replace(regexp_replace(host, '^.*@', ''), ':[0-9]*$', ''), '\\.+$', '') AS bare FROM named))
 SELECT page_id, host, path, best[1] AS rule, coalesce(best[2], CASE WHEN bad THEN 'block' ELSE 'allow' END) AS verdict FROM ruled
 """

@@ -2,6 +2,7 @@
 
 import collections
 import hashlib
+import re
 import zlib
 
 import numpy as np
@@ -306,7 +307,7 @@ def test_mixing_has_no_python(docs_of, odd):
 
 # URLs
 
-URLS = [None, "", "no scheme/x", "http://", "http://x.net", "http://x.net/", "HTTP://WWW.Example.NET/en/1?q#f", "http://example.net/EN/", "http://a.example.com/de/x", "http://example.com/de", "http://notexample.com/de/", "http://q.org/fr/?a", "http://q.org/fr#x/fr/", "http://net/", "http://spam-farm.example.org/a", "http://www.spam-farm.example.org", "http://spam-farm.example.org/fr/1", "a://b://c.net/x", "http://x.net?/", "http://x.net:80/", "http://" + "a." * 3000 + "net/"]
+URLS = [None, "", "no scheme/x", "http://", "http://x.net", "http://x.net/", "HTTP://WWW.Example.NET/en/1?q#f", "http://example.net/EN/", "http://a.example.com/de/x", "http://example.com/de", "http://notexample.com/de/", "http://q.org/fr/?a", "http://q.org/fr#x/fr/", "http://net/", "http://spam-farm.example.org/a", "http://www.spam-farm.example.org", "http://spam-farm.example.org/fr/1", "a://b://c.net/x", "http://x.net?/", "http://x.net:80/", "http://casino-win.example.com", "https://me:pw@www.casino-win.example.com:443?x=1", "http://free-bets.example.com./", "http://me@example.net/en/", "http://" + "a." * 3000 + "net/"]
 
 
 def judge(url):
@@ -322,7 +323,9 @@ def judge(url):
     rules = [(len(h + p), h + p, v) for h, p, v in U.RULES if fits(h, p)]
     if rules:
         return host, path, *max(rules)[1:]
-    return host, path, None, "block" if any(fits(*x.split("/", 1)[:1], "/") for x in U.LISTED) else "allow"
+    bare = re.sub(r"\.+$", "", re.sub(r":[0-9]*$", "", host.rsplit("@", 1)[-1]))
+    listed = any(bare == x[:-1] or bare.endswith("." + x[:-1]) for x in U.LISTED) and (path or "/").startswith("/")
+    return host, path, None, "block" if listed else "allow"
 
 
 def test_urls(spark):
@@ -334,6 +337,20 @@ def test_urls(spark):
     assert {r.verdict for r in U.filter_urls(df, rules.where("false"), listed.where("false")).collect()} == {"allow"}
 
 
+def test_url_lists_of_odd_entries(spark):
+    """Null and repeated entries, a block list alone, rules alone, and many path lengths."""
+    df = spark.createDataFrame(list(enumerate(URLS)), "page_id long, url string")
+    rules, listed = U.default_lists(spark)
+    judged = lambda r, x: {i.page_id: (i.rule, i.verdict) for i in U.filter_urls(df, r, x).collect()}
+    more = rules.unionByName(rules).unionByName(spark.createDataFrame([(None, "/", "block"), ("net", None, "block"), (None, None, None)], rules.schema))
+    assert judged(more, listed.unionByName(listed).unionByName(spark.createDataFrame([(None,)], listed.schema))) == judged(rules, listed)
+    alone = judged(rules.where("false"), listed)
+    assert all(r is None for r, _ in alone.values()) and {v for _, v in alone.values()} == {"allow", "block"}
+    assert {v for r, v in judged(rules, listed.where("false")).values() if r is None} == {"allow"}
+    long = rules.unionByName(spark.createDataFrame([("none.example", "/" + "x" * n, "block") for n in range(150)], rules.schema))
+    assert judged(long, listed) == judged(rules, listed)
+
+
 def test_url_false_positives_are_removed(spark, monkeypatch):
     monkeypatch.setattr(U, "may_contain", lambda blocks, hashes: np.ones(len(hashes), bool))
     df = spark.createDataFrame(list(enumerate(URLS)), "page_id long, url string")
