@@ -53,6 +53,46 @@ def test_stages(spark, sf):
     assert sum(r.start == 0 for r in pieces) == len(after)
 
 
+def odd_folder(spark, folder, rows):
+    """A folder with documents of odd rows and with labels of some of them."""
+    form = "doc_id long, text string, lang string, source string, n_chars long, stats string, near_size int"
+    spark.createDataFrame([(i, t, None, s, None, "kept", k) for k, (i, t, s) in enumerate(rows)], form).write.parquet(f"{folder}/documents.parquet")
+    spark.createDataFrame([(i, None if i == 4 else 1, 0) for i, _, _ in rows], "doc_id long, quality long, toxic long").write.parquet(f"{folder}/labels.parquet")
+    return str(folder)
+
+
+def test_stages_on_odd_rows(spark, odd, tmp_path):
+    """Nulls, empty and long texts, ties, repeated rows, and columns named like the operators' own."""
+    folder = odd_folder(spark, tmp_path / "odd", [*odd, (8, "é😀 TIE", None), (9, "word " * 30_000, "b"), (10, "a b c d e f g", "c"), (11, "a b c d e  f g", "c")])
+    docs = spark.read.parquet(f"{folder}/documents.parquet")
+    columns, whole = docs.columns, {(r.doc_id, r.text): r.near_size for r in docs.collect()}
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        before = docs.count()
+        out = corpus_pipeline.staged(stage(spark, docs, folder), name)
+        rows = out.collect()
+        assert out.columns == columns and all(r.stats == "kept" and (r.doc_id, r.text) in whole for r in rows)
+        if name == "quality":
+            assert len(rows) == before
+        if name == "exact_dedup":
+            texts = [lowered(r.text) for r in rows]
+            assert len(texts) == len(set(texts)) and {r.doc_id for r in rows if r.text == "word " * 30_000} == {9}
+        if name == "near_dedup":
+            assert {r.doc_id for r in rows} & {10, 11} == {10}
+        docs = out
+    pieces = packing.pack(docs).collect()
+    assert sum(r.start == 0 for r in pieces) == docs.count()
+
+
+def test_run_on_an_empty_table(spark, tmp_path):
+    folder = odd_folder(spark, tmp_path / "none", [])
+    assert corpus_pipeline.run(spark, folder).count() == 0
+
+
+def test_run_on_one_row(spark, tmp_path):
+    folder = odd_folder(spark, tmp_path / "one", [(7, "only one", "a")])
+    assert [(r.doc_id, r.start, r.sequence_id, r.offset) for r in corpus_pipeline.run(spark, folder).collect()] == [(7, 0, 0, 0)]
+
+
 def test_run(spark, sf):
     assert corpus_pipeline.run(spark, sf).columns == ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"]
 

@@ -50,6 +50,15 @@ def test_exact_odd(docs_of, odd):
     assert E.exact_dedup(docs_of([])).count() == 0 == E.exact_dedup_report(docs_of([])).count()
 
 
+def test_clashing_columns_keep_their_values(spark, docs_of, odd):
+    """Every operator that returns rows gives the extra columns back as they were."""
+    df = docs_of([(i, t, s) for i, t, s in odd if i != 3])
+    extra = lambda x: {(r["doc_id"], r["text"]): (r["digest"], r["size.x"], r["lang"]) for r in x.collect()}
+    want = extra(df)
+    for out in (E.exact_dedup(df), G.drop_near_duplicates(df), MX.mix_sources(df), Q.keep_quality(df, spark.createDataFrame([], "doc_id long, quality long"))):
+        assert out.columns == df.columns and all(want[k] == v for k, v in extra(out).items())
+
+
 def test_exact_has_no_python(docs_of, odd):
     plan = E.exact_dedup_report(docs_of(odd))._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Pandas" not in plan and "Arrow" not in plan
