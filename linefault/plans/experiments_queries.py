@@ -8,6 +8,7 @@ from ..functions.naming import feature_grid
 from ..operators import features as FE
 from ..operators import learned as L
 from ..sources import adapters as A
+from ..sources.staging import staged
 from . import experiments as E
 from . import oracle as O
 from .base import END, TRAIN_DAYS, net, tel
@@ -33,9 +34,14 @@ def b_balance(s, d):
     return L.balance(L.label_from_tickets(tel(s, d), net(s, d), END)).groupBy("label").agg(F.count(F.lit(1)).alias("n"))
 
 
+def labelled(s, d):
+    """Labelled records with the inputs, computed once for all the passes of a learner."""
+    return staged(FE.build_features(L.label_from_tickets(tel(s, d), net(s, d), END), EXTRA, A.POINTS_PER_DAY), "labelled")
+
+
 def learned(s, d, kind: str):
     """Quality against the ticket labels of the test days; trained on the first days, tuned on the next."""
-    rows = FE.build_features(L.label_from_tickets(tel(s, d), net(s, d), END), EXTRA, A.POINTS_PER_DAY)
+    rows = labelled(s, d)
     day = F.col("day")
     train, valid, test = rows.where(day < VALID_DAYS), rows.where((day >= VALID_DAYS) & (day < TRAIN_DAYS)), rows.where(day >= TRAIN_DAYS)
     scored, _ = L.train_and_predict(kind, L.balance(train), valid, test, [*A.METRICS, *[f.column for f in EXTRA]])
@@ -65,7 +71,7 @@ def b_svm_fourier(s, d):
 @query("b_self_training")
 def b_self_training(s, d):
     """Extension: a tree that learns from a few labelled days and then from its own confident verdicts on the others."""
-    rows = FE.build_features(L.label_from_tickets(tel(s, d), net(s, d), END), EXTRA, A.POINTS_PER_DAY)
+    rows = labelled(s, d)
     day = F.col("day")
     scored = L.self_train(rows.where(day < 7), rows.where((day >= 7) & (day < TRAIN_DAYS)), rows.where(day >= TRAIN_DAYS), [*A.METRICS, *[f.column for f in EXTRA]])
     return L.label_quality(scored)

@@ -252,11 +252,12 @@ def q_window_overlap(s, d):
     return out.select("y", "x", "detected", "shared", *rounded("overlap"), F.round("both_hours", 4).alias("both_hours"), F.round("any_hours", 4).alias("any_hours"), *rounded("jaccard"))
 
 
-@query("q_windows_long")
+@query("q_windows_long", f"WITH {O.LONG},{O.islands(SIZES, 'l_quantity > 45', O.SUPPLY_CLOSE, O.SUPPLY_KEY)}{O.TUNED} SELECT {O.SWEEP_ROWS}, floor_met FROM tuned")
 def q_windows_long(s, d):
     """Every window size on the long series, whose windows of 60 are full."""
     held_ = S.combine(_long(s, d), [("l_quantity", F.col("l_quantity") > 45)])
-    return M.tune_window(M.ticket_sweep(held_, A.supply_tickets(s, d), SIZES, A.SUPPLY_END, order=A.SUPPLY_ORDER).where("x > 0"))
+    swept = M.ticket_sweep(held_, A.supply_tickets(s, d), SIZES, A.SUPPLY_END, order=A.SUPPLY_ORDER)
+    return M.tune_window(swept.where("x > 0")).select("y", "x", "faults", *rounded("accuracy", "coverage", "ntr"), "floor_met")
 
 
 def _long(s, d) -> DataFrame:

@@ -176,11 +176,7 @@ def t_curve_all_tickets(s, d):
     return curve_rows(R.rate_curve(R.count_tickets(held(s, d), A.tickets(s, d)), "snr", 20, exact_edges=True))
 
 
-@query("t_curve_long", """WITH sup AS (SELECT l_suppkey AS device, l_shipdate AS ts, l_orderkey, l_linenumber, l_partkey, l_extendedprice, l_quantity FROM lineitem JOIN supplier ON l_suppkey = s_suppkey WHERE l_returnflag <> 'R'),
-timed AS (SELECT *, coalesce(lead(ts) OVER w, TIMESTAMP '2001-12-31') AS "end", coalesce(lead(ts) OVER w, TIMESTAMP '9999-01-01') AS following FROM sup WINDOW w AS (PARTITION BY device ORDER BY ts, l_orderkey, l_linenumber, l_partkey, l_extendedprice)),
-held AS (SELECT *, date_diff('microsecond', ts, "end") / 3600000000.0::DOUBLE AS hours FROM timed),
-counted AS (SELECT l_quantity, hours, (SELECT count(*) FROM lineitem t WHERE t.l_returnflag = 'R' AND t.l_suppkey = h.device AND t.l_shipdate >= h.ts AND t.l_shipdate < h.following) AS tickets FROM held h),
-overall AS (SELECT sum(tickets) / sum(hours) AS b FROM counted)
+@query("t_curve_long", f"""WITH {O.LONG}, overall AS (SELECT sum(tickets) / sum(hours) AS b FROM counted)
 SELECT round(l_quantity, 6) AS lo, sum(tickets)::BIGINT AS tickets, round(sum(hours), 2) AS hours, round(sum(tickets) / sum(hours) / any_value(b), 6) AS rate_over_base FROM counted, overall GROUP BY l_quantity""")
 def t_curve_long(s, d):
     """The rate curve of the long series: a ticket belongs to the record in force at its day."""

@@ -238,17 +238,17 @@ event AS (SELECT node, event_no, min(onset) AS onset, max(fend) AS fend, count(*
 # Window settings
 
 
-def islands(ys) -> str:
+def islands(ys, rule: str = RULE, end: str = END, order: str = "ts, rec_id") -> str:
     """CTE isl: the faults of every y and every x in 0..y, from each record's own membership in each level."""
     return f"""
 flagged AS MATERIALIZED (
-  SELECT device, account, node, start, tickets, hours, row_number() OVER w AS i, lead(start) OVER w AS next_start, sum(({RULE})::INT) OVER (PARTITION BY device ORDER BY ts, rec_id ROWS UNBOUNDED PRECEDING) AS c
-  FROM counted WINDOW w AS (PARTITION BY device ORDER BY ts, rec_id)),
+  SELECT device, account, node, start, tickets, hours, row_number() OVER w AS i, lead(start) OVER w AS next_start, sum(({rule})::INT) OVER (PARTITION BY device ORDER BY {order} ROWS UNBOUNDED PRECEDING) AS c
+  FROM counted WINDOW w AS (PARTITION BY device ORDER BY {order})),
 levels AS (SELECT a.*, y, a.c - coalesce(b.c, 0) AS hits FROM flagged a CROSS JOIN (SELECT unnest({list(ys)}) AS y) LEFT JOIN flagged b ON b.device = a.device AND b.i = a.i - y),
 inside AS (SELECT *, unnest(range(0, hits::BIGINT + 1)) AS x FROM levels),
 numbered_levels AS (SELECT *, i - row_number() OVER (PARTITION BY device, y, x ORDER BY i) AS island FROM inside),
 isl AS MATERIALIZED (
-  SELECT device, any_value(account) AS account, any_value(node) AS node, y, x, min(start) AS onset, max(coalesce(next_start, {END})) AS fend, sum(tickets) AS tickets, sum(hours) AS hours
+  SELECT device, any_value(account) AS account, any_value(node) AS node, y, x, min(start) AS onset, max(coalesce(next_start, {end})) AS fend, sum(tickets) AS tickets, sum(hours) AS hours
   FROM numbered_levels GROUP BY device, y, x, island),
 swept AS MATERIALIZED (
   SELECT y, x, count(*) AS faults, avg((tickets > 0)::INT) AS accuracy, sum(tickets) / (SELECT count(*) FROM net) AS coverage,
@@ -393,6 +393,15 @@ rated_types AS MATERIALIZED (
 FITTED_TYPES = """,
 chosen_cut AS MATERIALIZED (
   SELECT metric, coalesce((SELECT cut FROM rated_types r WHERE r.metric = m.metric AND k_mm >= 5 AND k_ms > 0 AND h_m > 0 AND h_s > 0 ORDER BY round((k_mm / h_m) / (k_ms / h_s), 9) DESC, cut DESC LIMIT 1), 0.95) AS cut
-  FROM (SELECT DISTINCT metric FROM vec) m),
+  FROM (VALUES ('snr'), ('tx')) m(metric)),
 fitted_types AS MATERIALIZED (
   SELECT device, slot, CASE WHEN bool_or(fault_type = 'maintenance') THEN 'maintenance' ELSE 'service' END AS fault_type FROM typed JOIN chosen_cut USING (metric, cut) GROUP BY device, slot)"""
+
+SUPPLY_CLOSE = "TIMESTAMP '2001-12-31'"
+SUPPLY_KEY = "ts, l_orderkey, l_linenumber, l_partkey, l_extendedprice"
+#: The long series as records with their tickets, by the day.
+LONG = f"""sup AS (SELECT l_suppkey AS device, l_suppkey AS account, s_nationkey::INT AS node, l_shipdate AS ts, l_orderkey, l_linenumber, l_partkey, l_extendedprice, l_quantity FROM lineitem JOIN supplier ON l_suppkey = s_suppkey WHERE l_returnflag <> 'R'),
+dated AS (SELECT *, ts AS start, coalesce(lead(ts) OVER w, TIMESTAMP '2001-12-31') AS "end", coalesce(lead(ts) OVER w, TIMESTAMP '9999-01-01') AS following FROM sup WINDOW w AS (PARTITION BY device ORDER BY {SUPPLY_KEY})),
+net AS (SELECT l_suppkey AS account, l_shipdate AS created FROM lineitem WHERE l_returnflag = 'R'),
+counted AS MATERIALIZED (
+  SELECT h.*, {HOURS.format(a='start', b='"end"')} AS hours, (SELECT count(*) FROM net t WHERE t.account = h.account AND t.created >= h.start AND t.created < h.following) AS tickets FROM dated h)"""
