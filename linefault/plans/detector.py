@@ -161,4 +161,4 @@ def choose_feature_count(scores: DataFrame, telemetry: DataFrame, tickets: DataF
         faults = fault_events(mark_windows(verdicts, x, y), period_end, y)
         row = fault_scores(faults, tickets, verdicts).select(F.lit(n).alias("n"), trr(verdicts, F.col("abnormal")).select("trr").scalar().alias("trr"), "faults", "accuracy", "coverage", "ntr")
         out = row if out is None else out.unionByName(row)
-    return out
+    return spark.createDataFrame([], "n int, trr double, faults long, accuracy double, coverage double, ntr double") if out is None else out

@@ -189,14 +189,14 @@ def two_settings(y1: int, y2: int) -> str:
     return f"{O.CHAIN},{O.islands((y1, y2))}{O.TUNED}{O.against(y2)}"
 
 
-@query("m_jaccard", f"{two_settings(6, 12)} SELECT round(both_hours, 4) AS both_hours, round(any_hours, 4) AS any_hours, round(both_hours / any_hours, 6) AS jaccard FROM timed WHERE y = 6")
+@query("m_jaccard", f"{two_settings(6, 12)} SELECT round(coalesce(both_hours, 0), 4) AS both_hours, round(coalesce(any_hours, 0), 4) AS any_hours, round(both_hours / any_hours, 6) AS jaccard FROM (SELECT 6 AS y) LEFT JOIN timed USING (y)")
 def m_jaccard(s, d):
     """Faulty time of a window of 6 against one of 12, each with its tuned x."""
     a, b = tuned_pair(s, d, 6, 12)
     return M.fault_time_jaccard(a, b).select(F.round("both_hours", 4).alias("both_hours"), F.round("any_hours", 4).alias("any_hours"), *rounded("jaccard"))
 
 
-@query("m_overlap", f"{two_settings(6, 12)} SELECT detected, shared, round(shared / detected, 6) AS overlap FROM overlapping WHERE y = 6")
+@query("m_overlap", f"{two_settings(6, 12)} SELECT coalesce(detected, 0) AS detected, coalesce(shared, 0) AS shared, round(shared / detected, 6) AS overlap FROM (SELECT 6 AS y) LEFT JOIN overlapping USING (y)")
 def m_overlap(s, d):
     """Tickets that a window of 6 finds, and those of them that one of 12 finds."""
     a, b = tuned_pair(s, d, 6, 12)
