@@ -13,6 +13,7 @@ from ..operators import faults as FL
 from ..operators import rates as R
 from ..operators import selection as S
 from ..sources import adapters as A
+from ..sources.staging import staged
 from .detector import DetectorModel, FaultDetector, FaultTyper, TyperModel
 
 END, START = A.PERIOD_END, A.PERIOD_START
@@ -79,7 +80,7 @@ def typer() -> FaultTyper:
 
 
 def typer_model(spark: SparkSession, d: str) -> TyperModel:
-    return _kept(spark, "typer", d, lambda: typer().fit(marks(spark, d), A.tickets(spark, d)))
+    return _kept(spark, "typer", d, lambda: typer().fit(staged(marks(spark, d), "marks"), A.tickets(spark, d)))
 
 
 def periods(spark: SparkSession, d: str) -> DataFrame:

@@ -11,6 +11,7 @@ from ..operators import clusters as K
 from ..operators import measures as M
 from ..operators import rates as R
 from ..sources import adapters as A
+from ..sources.staging import staged
 from . import oracle as O
 from .base import END, START, marks, periods, tel, typer, typer_model, types
 from .book import query, rounded
@@ -139,8 +140,8 @@ def k_cuts(s, d):
 @query("k_trr", f"{BOTH} SELECT metric, cut, k_mm::BIGINT AS k_mm, round(h_m, 4) AS h_m, k_ms::BIGINT AS k_ms, round(h_s, 4) AS h_s, round(CASE WHEN k_mm >= 5 THEN (k_mm / nullif(h_m, 0)) / nullif(k_ms / nullif(h_s, 0), 0) END, 6) AS trr_m FROM rated_types")
 def k_trr(s, d):
     """The maintenance rate ratio of every cut, for each of the typer's metrics, over the periods diagnosed."""
-    t = typer()
-    scores = [t.scores(marks(s, d), A.tickets(s, d), m).withColumn("metric", F.lit(m)) for m in t.metrics]
+    t, seen = typer(), staged(marks(s, d), "marks")  # read several times for each metric
+    scores = [t.scores(seen, A.tickets(s, d), m).withColumn("metric", F.lit(m)) for m in t.metrics]
     return reduce(DataFrame.unionByName, scores).select("metric", "cut", "k_mm", F.round("h_m", 4).alias("h_m"), "k_ms", F.round("h_s", 4).alias("h_s"), *rounded("trr_m"))
 
 
