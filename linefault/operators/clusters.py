@@ -19,10 +19,12 @@ from .features import resample_hold
 
 LINKAGES = ("average", "single", "complete")
 SIMILARITIES = ("pearson", "cosine", "distance")
-#: Beyond so many devices a node's similarities are computed in blocks of rows; results don't depend on it.
+#: Beyond so many devices, or clusters, a node's similarities are computed in blocks of rows; results don't depend on it.
 MOST_IN_GROUP = 4000
 #: Similarities that one block of rows holds.
 BLOCK_CELLS = 2**22
+#: Pairs of a node that are listed for one cut; more are searched block by block.
+MOST_EDGES = 2**20
 
 
 def similarity_matrix(vectors: np.ndarray, kind: str = "pearson") -> np.ndarray:
@@ -40,65 +42,214 @@ def similarity_matrix(vectors: np.ndarray, kind: str = "pearson") -> np.ndarray:
     return out
 
 
-def similarity_rows(vectors: np.ndarray, kind: str = "pearson"):
-    """A function from row numbers to these rows of the similarity matrix, which is never held as a whole."""
+def prepared(vectors: np.ndarray, kind: str = "pearson"):
+    """The vectors as rows x, and a function that gives the similarities of some of these rows with others; the whole matrix is never
+    held. A row's similarity with itself is left as computed."""
     x = np.asarray(vectors, float)
     if kind == "distance":
-        squares = (x * x).sum(axis=1)
-        return lambda i: 1.0 / (1.0 + np.sqrt(np.maximum(squares[i][:, None] + squares[None, :] - 2 * x[i] @ x.T, 0.0)))
+
+        def away(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+            return 1.0 / (1.0 + np.sqrt(np.maximum((a * a).sum(axis=1)[:, None] + (b * b).sum(axis=1)[None, :] - 2 * a @ b.T, 0.0)))
+
+        return x, away
     if kind == "pearson":
         x = x - x.mean(axis=1, keepdims=True)
     norm = np.sqrt((x * x).sum(axis=1))
-    unit = np.where(norm[:, None] > 1e-12, x / np.where(norm > 1e-12, norm, 1.0)[:, None], 0.0)
+    return np.where(norm[:, None] > 1e-12, x / np.where(norm > 1e-12, norm, 1.0)[:, None], 0.0), lambda a, b: a @ b.T
+
+
+def neighbours(x: np.ndarray, similar, cuts: Sequence[float]) -> tuple[np.ndarray, list]:
+    """From one pass over all pairs: how many items reach each item at each cut (itself included), and the pairs at each cut, or None
+    where they are more than MOST_EDGES."""
+    n, step = len(x), max(1, BLOCK_CELLS // max(1, len(x)))
+    count, edges = np.zeros((len(cuts), n), int), [[] for _ in cuts]
+    for at in range(0, n, step):
+        s = similar(x[at : at + step], x)
+        s[np.arange(len(s)), np.arange(at, at + len(s))] = 1.0
+        for k, cut in enumerate(cuts):
+            near = s >= cut
+            count[k, at : at + step] = np.count_nonzero(near, axis=1)
+            if edges[k] is not None:
+                edges[k] = [*edges[k], np.flatnonzero(near) + at * n] if count[k].sum() <= MOST_EDGES else None
+    return count, [None if e is None else np.divmod(np.concatenate([*e, np.zeros(0, int)]), n) for e in edges]
+
+
+def reach(x: np.ndarray, similar, cut: float, core: np.ndarray, count: np.ndarray) -> np.ndarray:
+    """For each item the first core from which it is reached over cores at the cut, or -1. Items that are reached leave the columns
+    of later blocks. count: how many items reach each item, itself included."""
+    n = len(x)
+    label, left, held, free = np.full(n, -1), np.arange(n), x, n
+    for i in np.flatnonzero(core):
+        if label[i] >= 0:
+            continue
+        label[i], free = i, free - 1
+        todo = np.array([i] if count[i] > 1 else [], int)
+        while len(todo) and free:
+            step = max(1, BLOCK_CELLS // len(left))
+            now, todo = todo[:step], todo[step:]
+            new = left[(similar(x[now], held) >= cut).any(axis=0)]
+            new = new[label[new] < 0]
+            label[new], free = i, free - len(new)
+            todo = np.concatenate([todo, new[core[new]]])
+            if free < 0.8 * len(left):
+                left = left[label[left] < 0]
+                held = x[left]
+    return label
 
-    def rows(i: np.ndarray) -> np.ndarray:
-        out = unit[i] @ unit.T
-        out[np.arange(len(i)), i] = 1.0
-        return out
 
-    return rows
+def reach_by_edges(n: int, edges: tuple[np.ndarray, np.ndarray], core: np.ndarray) -> np.ndarray:
+    """What `reach` gives, from all pairs at the cut in both orders."""
+    a, b = edges
+    inner = core[a] & core[b]
+    label = np.arange(n)
+    while True:
+        low = label.copy()
+        np.minimum.at(low, a[inner], label[b[inner]])
+        low = low[low]
+        if (low == label).all():
+            break
+        label = low
+    first = np.full(n, n)
+    np.minimum.at(first, a[core[b]], label[b[core[b]]])
+    return np.where(core, label, np.where(first < n, first, -1))
 
 
-def reach(rows, n: int, cut: float, core: np.ndarray) -> np.ndarray:
-    """For each item the first core from which it is reached over cores at the cut, or -1; each row is computed once."""
-    label, step = np.full(n, -1), max(1, BLOCK_CELLS // max(1, n))
-    for i in range(n):
-        if core[i] and label[i] < 0:
-            label[i] = i
-            todo = np.array([i])
-            while len(todo):
-                now, todo = todo[:step], todo[step:]
-                new = np.flatnonzero((rows(now) >= cut).any(axis=0) & (label < 0))
-                label[new] = i
-                todo = np.concatenate([todo, new[core[new]]])
-    return label
-
+def merges_by_rows(x: np.ndarray, similar, linkage: str, floor: float, means: bool, most: int) -> list[tuple[int, int, float]]:
+    """The merges of average or complete linkage down to the floor, highest first, in memory for blocks of rows and for a matrix
+    of `most` clusters.
 
-def labels_by_rows(vectors: np.ndarray, kind: str, method: str, cuts: Sequence[float], min_points: int, noise: str):
+    Two clusters that are each other's most similar one merge in any order of merging, so all such pairs merge at once, round
+    by round. A cluster's best partner is sought again only after that partner has merged, and its old similarity bounds the new
+    one: where rounds find few pairs, the highest bounds are sought first. Clusters below the floor leave. Once `most` clusters
+    are left, these are merged on their matrix. means: the similarity is a product of vectors, so that of two clusters
+    on average is the product of their mean vectors; otherwise it is folded from their members.
+    """
+    n = len(x)
+    name, size, low = np.arange(n), np.ones(n, int), np.full(n, np.inf)
+    best, value, fresh = np.zeros(n, int), np.full(n, np.inf), np.zeros(n, bool)
+    owner, order = np.arange(n), np.arange(n)  # the items in x and their clusters, unless by means
+    column = np.arange(n)  # the clusters as they stand in a block: by falling size, unless by means
+    held, fold, out, tries = x.copy() if means else x, np.add if linkage == "average" else np.minimum, [], n
+
+    def layers(many: np.ndarray) -> np.ndarray:
+        """How many clusters have a first, a second, ... member."""
+        return len(many) - np.searchsorted(np.sort(many), np.arange(many.max()), "right")
+
+    def folded(part: np.ndarray, widths: np.ndarray) -> np.ndarray:
+        """One row a cluster, from all first members, then all second ones, and so on; clusters are by falling size."""
+        at = widths[0]
+        for w in widths[1:]:
+            fold(part[:w], part[at : at + w], out=part[:w])
+            at += w
+        return part[: widths[0]]
+
+    def level(q: np.ndarray):
+        """Blocks of the similarities of clusters q with all clusters in the order of `column`; with themselves -inf."""
+        step, place = max(1, BLOCK_CELLS // len(held)), np.empty(len(column), int)
+        place[column] = np.arange(len(column))
+        if not means:
+            widths = layers(size)
+            offset = np.cumsum(widths) - widths
+            q = q[np.argsort(-size[q], kind="stable")]
+        total, at = np.cumsum(size[q]) if not means else np.arange(1, len(q) + 1), 0
+        while at < len(q):
+            to = max(at + 1, int(np.searchsorted(total, (total[at - 1] if at else 0) + step, "right")))
+            now = q[at:to]
+            if means:
+                s = held[now] @ held.T
+            else:
+                own = layers(size[now])
+                items, s = np.concatenate([offset[j] + place[now[:w]] for j, w in enumerate(own)]), None
+                for k in range(0, len(items), step):  # more than one block only for a cluster that is larger than one
+                    part = similar(held[items[k : k + step]], held)
+                    part = fold.reduce(part, axis=0, keepdims=True) if len(now) == 1 else folded(part, own)
+                    s = part if s is None else fold(s, part)
+                s = folded(s.T, widths).T
+                if linkage == "average":
+                    s = s / (size[now][:, None] * size[column][None, :])
+            s[np.arange(len(now)), place[now]] = -np.inf
+            yield now, s
+            at = to
+
+    while len(name) > max(1, most):
+        q = np.flatnonzero(~fresh)
+        if len(q) > tries:
+            q = np.sort(q[np.argpartition(-value[q], tries)[:tries]])
+        for now, s in level(q):
+            most_like = s.argmax(axis=1)
+            best[now], value[now] = column[most_like], s[np.arange(len(now)), most_like]
+            if not means:  # of equals the first by name, as the columns are by size
+                equal = s == value[now][:, None]
+                for i in np.flatnonzero(np.count_nonzero(equal, axis=1) > 1):
+                    best[now[i]] = column[equal[i]].min()
+        fresh[q] = True
+        every = np.arange(len(name))
+        a = np.flatnonzero(fresh & fresh[best] & (best[best] == every) & (every < best) & (value >= floor))
+        b, height = best[a], value[a]
+        if not len(a) and fresh.all() and value.max() >= floor:  # a ring of equals
+            i = int(value.argmax())
+            a, b, height = np.array([min(i, best[i])]), np.array([max(i, best[i])]), value[[i]]
+        tries = max(64, 4 * len(a)) if len(a) else 2 * tries
+        height = np.minimum(height, np.minimum(low[a], low[b]))
+        out += zip(name[a].tolist(), name[b].tolist(), height.tolist(), strict=True)
+        low[a] = height
+        if means:
+            held[a] = (size[a][:, None] * held[a] + size[b][:, None] * held[b]) / (size[a] + size[b])[:, None]
+        size[a] += size[b]
+        keep, moved, target = value >= floor, np.zeros(len(name), bool), every.copy()
+        keep[b], moved[a], moved[b], target[b] = False, True, True, a
+        fresh &= ~moved & ~moved[best] & keep[best]
+        place = np.cumsum(keep) - 1
+        if not means:
+            stay = keep[target[owner]]
+            owner, order = place[target[owner[stay]]], order[stay]
+            by = np.argsort(owner, kind="stable")
+            owner, order = owner[by], order[by]
+            many = np.bincount(owner, minlength=int(keep.sum()))
+            column = np.argsort(-many, kind="stable")
+            rank, spot = np.arange(len(owner)) - np.repeat(np.cumsum(many) - many, many), np.empty(len(many), int)
+            spot[column] = np.arange(len(many))
+            held = x[order[np.lexsort((spot[owner], rank))]]
+        else:
+            held, column = held[keep], column[: int(keep.sum())]
+        best = place[best]
+        name, size, low, best, value, fresh = (v[keep] for v in (name, size, low, best, value, fresh))
+    if len(name) > 1:
+        whole = np.empty((len(name), len(name)))
+        for now, s in level(np.arange(len(name))):
+            whole[now[:, None], column[None, :]] = s
+        for a, b, s in merge_tree(whole, linkage, floor, True, size):
+            low[a] = min(s, low[a], low[b])
+            out.append((int(name[a]), int(name[b]), float(low[a])))
+    return sorted(out, key=lambda m: -m[2])
+
+
+def labels_by_rows(vectors: np.ndarray, kind: str, method: str, cuts: Sequence[float], min_points: int, noise: str, most: int = MOST_IN_GROUP):
     """The labels at each cut, as from the whole matrix, for nodes of many devices.
 
-    Single linkage and density clusters need one block of rows at a time. In average and complete linkage two clusters
-    that merge at or above the lowest cut hold a pair at or above it, so no cluster leaves a component of these pairs, and
-    each component is merged alone on its own whole matrix.
+    One block of rows is held at a time. In average and complete linkage two clusters that merge at or above the lowest cut hold a pair
+    at or above it, so no cluster leaves a component of these pairs; each component is merged alone, on its own matrix up to
+    `most` items.
     """
     n = len(vectors)
-    rows, every = similarity_rows(vectors, kind), np.ones(n, bool)
+    (x, similar), every = prepared(vectors, kind), np.ones(n, bool)
     if method in ("single", "density"):
-        step = max(1, BLOCK_CELLS // max(1, n))
-        for cut in cuts:
-            core = every
-            if method == "density":
-                core = np.concatenate([(rows(np.arange(at, min(at + step, n))) >= cut).sum(axis=1) for at in range(0, n, step)]) >= min_points
-            label = reach(rows, n, cut, core)
+        count, edges = neighbours(x, similar, cuts)
+        for k, cut in enumerate(cuts):
+            core = every if method == "single" else count[k] >= min_points
+            label = reach(x, similar, cut, core, count[k]) if edges[k] is None else reach_by_edges(n, edges[k], core)
             lone = np.flatnonzero(label < 0)
             label[lone] = lone if noise == "single" or not len(lone) else lone[0]
             yield label
         return
-    part = reach(rows, n, min(cuts), every)
+    part = reach(x, similar, min(cuts), every, np.full(n, 2))
     order = np.argsort(part, kind="stable")
     trees = []
     for item in np.split(order, np.flatnonzero(np.diff(part[order])) + 1):
-        trees.append((item, merge_tree(similarity_matrix(vectors[item], kind), method, min(cuts), True) if len(item) > 1 else []))
+        if len(item) > most:
+            trees.append((item, merges_by_rows(x[item], similar, method, min(cuts), method == "average" and kind != "distance", most)))
+        elif len(item) > 1:
+            trees.append((item, merge_tree(similarity_matrix(vectors[item], kind), method, min(cuts), True)))
     for cut in cuts:
         label = np.arange(n)
         for item, merges in trees:
@@ -106,15 +257,16 @@ def labels_by_rows(vectors: np.ndarray, kind: str, method: str, cuts: Sequence[f
         yield label
 
 
-def merge_tree(similar: np.ndarray, linkage: str = "average", floor: float = -np.inf, own: bool = False) -> list[tuple[int, int, float]]:
+def merge_tree(similar: np.ndarray, linkage: str = "average", floor: float = -np.inf, own: bool = False, sizes: np.ndarray | None = None) -> list[tuple[int, int, float]]:
     """Merges (kept, absorbed, similarity) in order, until no two clusters reach the floor.
 
-    Of equally similar pairs the one with the smallest members goes first. With `own` the matrix is used up, not copied.
+    Of equally similar pairs the one with the smallest members goes first. With `own` the matrix is used up, not copied. sizes: of
+    the clusters that the rows stand for, else 1 each.
     """
     n = len(similar)
     s = similar if own else similar.astype(float).copy()
     np.fill_diagonal(s, -np.inf)
-    size, alive = np.ones(n), np.ones(n, bool)
+    size, alive = np.ones(n) if sizes is None else sizes.astype(float), np.ones(n, bool)
     best = s.argmax(axis=1) if n else np.zeros(0, int)
     value = s[np.arange(n), best] if n else np.zeros(0)
     out = []
@@ -151,10 +303,12 @@ def cut_tree(n: int, merges: Sequence[tuple[int, int, float]], cut: float) -> np
     for a, b, s in merges:
         if s < cut:
             break
-        label[label == label[b]] = label[a]
-    smallest = np.full(n, n)
-    np.minimum.at(smallest, label, np.arange(n))
-    return smallest[label]
+        label[b] = a  # of two clusters the one with the smallest member is kept
+    while True:
+        up = label[label]
+        if (up == label).all():
+            return label
+        label = up
 
 
 def density_labels(similar: np.ndarray, cut: float, min_points: int = 4, noise: str = "single") -> np.ndarray:
@@ -231,8 +385,7 @@ def pair_similarity(vectors: DataFrame, kind: str = "cosine") -> DataFrame:
 def cluster_devices(vectors: DataFrame, cuts: Sequence[float], method: str = "average", similarity: str = "pearson", min_points: int = 4, noise: str = "single", most: int = MOST_IN_GROUP) -> DataFrame:
     """(node, slot, device, cut, cluster_id, size) at every cut; cluster_id is the smallest device of the cluster.
 
-    method: one of LINKAGES, or 'density'. Nodes larger than `most` give the same
-    clusters without their whole matrix, but for components of average and complete linkage.
+    method: one of LINKAGES, or 'density'. Nodes larger than `most` give the same clusters without their whole matrix.
     """
     if method not in (*LINKAGES, "density") or similarity not in SIMILARITIES:
         raise ValueError("unknown method or similarity")
@@ -243,7 +396,7 @@ def cluster_devices(vectors: DataFrame, cuts: Sequence[float], method: str = "av
         rows = part.sort_values("device")
         device, x = rows["device"].to_numpy(), np.stack(rows["vector"].to_list())
         if len(device) > most:
-            labels = labels_by_rows(x, similarity, method, wanted, min_points, noise)
+            labels = labels_by_rows(x, similarity, method, wanted, min_points, noise, most)
         else:
             s = similarity_matrix(x, similarity)
             merges = merge_tree(s, method, min(wanted)) if method != "density" else []

@@ -52,6 +52,41 @@ def test_large_node_equals_uncut(spark, method, monkeypatch):
     assert found(20) == found(100)
 
 
+@pytest.mark.parametrize("method", ["average", "complete"])
+@pytest.mark.parametrize("kind", K.SIMILARITIES)
+def test_large_component_without_its_matrix(kind, method, monkeypatch):
+    """One component of all items, with copies and vectors that are similar to nothing: no matrix beyond `most`, same clusters."""
+    rng = np.random.default_rng(5)
+    x = np.abs(rng.normal(size=(12, 8)))[rng.integers(0, 12, 150)] + rng.normal(size=(150, 8)) * 0.4
+    x[20] = x[21] = x[22]
+    x[8], x[9] = 0, 1
+    cuts = (0.0, 0.2, 0.5, 0.9)
+    merges = K.merge_tree(K.similarity_matrix(x, kind), method, 0.0)
+    want = [K.cut_tree(150, merges, c).tolist() for c in cuts]
+    seen, whole = [], K.merge_tree
+    monkeypatch.setattr(K, "merge_tree", lambda s, *a: seen.append(len(s)) or whole(s, *a))
+    for cells in (200, 4000):  # with the smaller one a single cluster is more than a block
+        monkeypatch.setattr(K, "BLOCK_CELLS", cells)
+        for most in (1, 12, 70):
+            assert [v.tolist() for v in K.labels_by_rows(x, kind, method, cuts, 4, "single", most)] == want
+            assert max(seen, default=0) <= most
+            seen.clear()
+
+
+@pytest.mark.parametrize("method", ["single", "density"])
+def test_listed_and_searched_pairs_agree(method, monkeypatch):
+    rng = np.random.default_rng(6)
+    x = rng.normal(size=(15, 6))[rng.integers(0, 15, 120)] + rng.normal(size=(120, 6)) * 0.4
+    s = K.similarity_matrix(x, "cosine")
+    cuts = (0.3, 0.6, 0.9)
+    tree = K.merge_tree(s, "single", 0.3)
+    want = [(K.cut_tree(120, tree, c) if method == "single" else K.density_labels(s, c, 4)).tolist() for c in cuts]
+    monkeypatch.setattr(K, "BLOCK_CELLS", 500)
+    for most in (0, 700, 10**6):
+        monkeypatch.setattr(K, "MOST_EDGES", most)
+        assert [v.tolist() for v in K.labels_by_rows(x, "cosine", method, cuts, 4, "single")] == want
+
+
 def test_density_and_constant_vectors():
     x = np.array([[1, 2, 3.0], [1, 2, 3.1], [3, 2, 1], [5, 5, 5]])
     s = K.similarity_matrix(x)
